@@ -76,7 +76,7 @@ def _clean() -> None:
 
 def input_bytes(df: DataFrame) -> int:
     """The optimizer's size estimate of ``df``: file sizes, no job is run."""
-    return int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().toString())
+    return int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
 
 
 def pieces_for(df: DataFrame, bytes_each: int, least: int = 1, most: int = 65536) -> int:
