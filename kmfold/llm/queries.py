@@ -10,7 +10,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from kmfold.llm import encoding, langid, packing, sharding, tokenfiles, urlfilter
+from kmfold.llm import ann, encoding, langid, packing, sharding, tokenfiles, urlfilter
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -21,6 +21,10 @@ def op3_packed_sequences(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(_table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
 
 
+def op5_permutation_index(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ann.search(_table(spark, sf_dir, "embeddings"), nearest=20, every=20)
+
+
 def op6_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     ranks = public_tokenizers.path("byte_bpe_50k.tiktoken")
     return encoding.round_trip_digests(_table(spark, sf_dir, "documents"), ranks, public_tokenizers.PATTERN)
@@ -44,6 +48,7 @@ def op10_url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op3_packed_sequences": op3_packed_sequences,
+    "op5_permutation_index": op5_permutation_index,
     "op6_byte_bpe": op6_byte_bpe,
     "op7_balanced_shards": op7_balanced_shards,
     "op8_token_files": op8_token_files,
