@@ -7,6 +7,8 @@ from pyspark.sql import functions as F
 
 from kmfold.staging import shuffle_partitions
 
+FAN = 256
+
 
 def number_within(df: DataFrame, groups: list[str], order: list[str], out: str, salts: int | None = None) -> DataFrame:
     """Number the rows of each group from 0 without gaps.
@@ -40,6 +42,12 @@ def bucket_of(col: Column, bounds: list) -> Column:
     """Index of the range that holds ``col``: 0 up to ``len(bounds)``, in order."""
     if not bounds:
         return F.lit(0)
+    if len(bounds) > FAN:  # a coarse search over every FAN-th cut, then a count inside one group
+        groups = [bounds[i : i + FAN] for i in range(0, len(bounds), FAN)]
+        coarse = bucket_of(col, [g[-1] for g in groups[:-1]])
+        table = F.array(*[F.array(*map(F.lit, g)) for g in groups])
+        inside = F.size(F.filter(F.element_at(table, coarse + 1), lambda b: b < col))
+        return (coarse * FAN + inside).cast("int")
 
     def pick(lo: int, hi: int) -> Column:
         if lo == hi:
