@@ -10,13 +10,17 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from kmfold.llm import ann, encoding, fingerprints, langid, packing, sharding, tokenfiles, urlfilter
+from kmfold.llm import ann, encoding, fingerprints, langid, packing, sharding, suffixdedup, tokenfiles, urlfilter
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffixdedup.dedup_digests(_table(spark, sf_dir, "documents"))
+
+
 def op2_minhash_fingerprints(spark: SparkSession, sf_dir: str) -> DataFrame:
     return fingerprints.fingerprint_documents(_table(spark, sf_dir, "documents"))
 
@@ -51,6 +55,7 @@ def op10_url_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_suffix_dedup": op1_suffix_dedup,
     "op2_minhash_fingerprints": op2_minhash_fingerprints,
     "op3_packed_sequences": op3_packed_sequences,
     "op5_permutation_index": op5_permutation_index,
