@@ -26,6 +26,8 @@ LEAST_MARGIN = 0.001
 #: Texts below SHORT_BYTES get a stronger level, and a run of zeros so that no block is stored raw.
 SHORT_BYTES, SHORT_LEVEL, LEVEL = 600, 15, 5
 FILLER = bytes(512)
+#: Below so many bytes sizes differ by too little to reject anything.
+JUDGED_BYTES = 32
 LETTER = re.compile(r"[^\W\d_]")
 NOT_LETTERS = re.compile(r"[\W\d_]+")
 
@@ -74,11 +76,12 @@ class DictionaryClassifier:
         d.precompute_compress(level=level)
         return zstandard.ZstdCompressor(level=level, dict_data=d, write_content_size=False, write_dict_id=False)
 
-    def judge(self, text: str | None) -> tuple[str, float]:
-        """Language and margin (0 to 1); ``und`` and 0 for a text without a letter."""
+    def judge(self, text: str | None, least_margin: float = LEAST_MARGIN) -> tuple[str, float, bool]:
+        """Language, margin (0 to 1) and rejection; ``und``, 0 and rejected for a text without a letter."""
         if not text or not self.langs or not LETTER.search(text):
-            return UNKNOWN, 0.0
+            return UNKNOWN, 0.0, True
         raw = letters_only(text)
+        judged = len(raw) >= JUDGED_BYTES
         if len(raw) < SHORT_BYTES:
             raw += FILLER
             sizes = [len(p.compress(raw)) for p in self.short_packers]
@@ -86,9 +89,10 @@ class DictionaryClassifier:
             sizes = [len(p.compress(raw)) for p in self.packers]
         best = min(range(len(sizes)), key=sizes.__getitem__)
         if len(sizes) == 1:
-            return self.langs[0], 1.0
+            return self.langs[0], 1.0, False
         second = min(s for i, s in enumerate(sizes) if i != best)
-        return self.langs[best], (second - sizes[best]) / second
+        margin = (second - sizes[best]) / second
+        return self.langs[best], margin, judged and margin < least_margin
 
 
 _classifiers: dict[int, DictionaryClassifier] = {}
@@ -98,8 +102,8 @@ def predict(docs: DataFrame, dictionaries: dict[str, bytes], least_margin: float
     """Add lang_pred, score and rejected to ``keep`` (default doc_id) of every row.
 
     A null text or one without a letter is ``und`` with score 0 and rejected; so is
-    no learned language at all. A text whose margin is below ``least_margin`` keeps
-    its language and is rejected. Rows are never dropped; repeated ids stay; an
+    no learned language at all. A text of ``JUDGED_BYTES`` or more whose margin is
+    below ``least_margin`` keeps its language and is rejected. Rows are never dropped; repeated ids stay; an
     empty table gives an empty result.
     """
     spark = docs.sparkSession
@@ -116,10 +120,10 @@ def predict(docs: DataFrame, dictionaries: dict[str, bytes], least_margin: float
         c = _classifiers[key]
         for whole in batches:
             for b in slices(whole, 8 << 20, whole.num_columns - 1):
-                got = [c.judge(t) for t in b.column(b.num_columns - 1).to_pylist()]
+                got = [c.judge(t, least_margin) for t in b.column(b.num_columns - 1).to_pylist()]
                 yield pa.RecordBatch.from_arrays(
                     [b.column(i) for i in range(len(keep))]
-                    + [pa.array([g[0] for g in got]), pa.array([float(g[1]) for g in got]), pa.array([g[0] == UNKNOWN or g[1] < least_margin for g in got])],
+                    + [pa.array([g[0] for g in got]), pa.array([float(g[1]) for g in got]), pa.array([g[2] for g in got], pa.bool_())],
                     [*keep, "lang_pred", "score", "rejected"],
                 )
 

@@ -10,7 +10,7 @@ from collections.abc import Callable
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from kmfold.llm import ann, encoding, fingerprints, langid, packing, sharding, suffixdedup, tokenfiles, urlfilter
+from kmfold.llm import ann, encoding, fingerprints, langid, ngramjoin, packing, sharding, suffixdedup, tokenfiles, urlfilter
 
 
 def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -29,6 +29,10 @@ def op3_packed_sequences(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack_documents(_table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
 
 
+def op4_ngram_links(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return ngramjoin.ngram_components(_table(spark, sf_dir, "documents"), n=4, num=85, den=100)
+
+
 def op5_permutation_index(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ann.search(_table(spark, sf_dir, "embeddings"), nearest=20, every=20)
 
@@ -58,6 +62,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_suffix_dedup": op1_suffix_dedup,
     "op2_minhash_fingerprints": op2_minhash_fingerprints,
     "op3_packed_sequences": op3_packed_sequences,
+    "op4_ngram_links": op4_ngram_links,
     "op5_permutation_index": op5_permutation_index,
     "op6_byte_bpe": op6_byte_bpe,
     "op7_balanced_shards": op7_balanced_shards,

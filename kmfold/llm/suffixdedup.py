@@ -62,7 +62,7 @@ class Part:
     def __init__(self, table: pa.Table):
         ids = [LAST_ID if d is None else d for d in table.column("doc_id").to_pylist()]
         texts = [(t or "").encode("utf-8", "surrogatepass") for t in table.column("text").to_pylist()]
-        order = sorted(range(len(ids)), key=lambda i: (ids[i], texts[i]))
+        self.order = order = sorted(range(len(ids)), key=lambda i: (ids[i], texts[i]))
         self.ids = np.array([ids[i] for i in order], np.int64)
         self.null = [table.column("doc_id")[i].as_py() is None for i in order]
         self.texts = [texts[i] for i in order]
