@@ -31,9 +31,9 @@ from kmfold.staging import pieces_for, ship_package
 
 LENGTH, GRAM = 50, 20
 ELECT = LENGTH - GRAM + 1
-PART_BYTES, EXCHANGE_BYTES, BUCKET_BYTES = 2 << 20, 6 << 20, 8 << 20
+PART_BYTES, EXCHANGE_BYTES, BUCKET_BYTES = 1 << 20, 4 << 20, 1 << 20
 INDEX = np.uint64((1 << 24) - 1)
-SLICE = 6 << 20
+SLICE = 4 << 20
 VALUES = byte_values()
 LAST_ID = np.int64(2**63 - 1)
 DIGITS = (0, GRAM, LENGTH - GRAM)
@@ -318,7 +318,7 @@ def with_spans(docs: DataFrame, finish, schema: str, columns: list[str]) -> Data
     ship_package(docs.sparkSession)
     known = docs.select("doc_id", "text")
     parts = pieces_for(known, PART_BYTES)
-    buckets = pieces_for(known, BUCKET_BYTES, most=8192)
+    buckets = pieces_for(known, BUCKET_BYTES, most=1 << 24)
     n = pieces_for(known, EXCHANGE_BYTES)
     dealt = docs.select(*columns).withColumn("part", F.pmod(F.xxhash64("doc_id"), F.lit(parts)).cast("int")).repartition(n, "part")
 
