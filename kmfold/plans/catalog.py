@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-from kmfold.plans import method_queries
+from kmfold.plans import method_queries, relational_queries
 from kmfold.plans.method_queries import flagship
 
-QUERIES = dict(method_queries.Q)
-ORACLE_SQL = dict(method_queries.SQL)
+QUERIES = {**method_queries.Q, **relational_queries.Q}
+ORACLE_SQL = {**method_queries.SQL, **relational_queries.SQL}
 
 __all__ = ["ORACLE_SQL", "QUERIES", "flagship"]
