@@ -2,12 +2,23 @@
 
 from __future__ import annotations
 
+import ctypes
 import struct
 
 import numpy as np
+import pyarrow as pa
 import zstandard
 
 
+def release() -> None:
+    """Give freed memory back to the system: workers live on between tasks and stages."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # another C library: nothing to trim
+        pass
+
+
 def pack(*arrays: np.ndarray) -> bytes:
     """Arrays of any numeric type as one compressed cell."""
     head = [struct.pack("<B", len(arrays))]
@@ -51,3 +62,24 @@ def mix(x: np.ndarray) -> np.ndarray:
 def byte_values() -> np.ndarray:
     """A fixed pseudo-random 64-bit value for each byte."""
     return mix(np.arange(1, 257, dtype=np.uint64) * np.uint64(0x9E3779B97F4A7C15))
+
+
+def tidy(f):
+    """A grouped function that gives its memory back after each group (by number of arguments: one table, or two)."""
+    if f.__code__.co_argcount == 1:
+
+        def one(table):
+            try:
+                return f(table)
+            finally:
+                release()
+
+        return one
+
+    def two(left, right):
+        try:
+            return f(left, right)
+        finally:
+            release()
+
+    return two

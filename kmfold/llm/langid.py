@@ -73,8 +73,10 @@ class DictionaryClassifier:
     @staticmethod
     def _packer(dictionary: bytes, level: int) -> zstandard.ZstdCompressor:
         d = zstandard.ZstdCompressionDict(dictionary, dict_type=zstandard.DICT_TYPE_RAWCONTENT)
-        d.precompute_compress(level=level)
-        return zstandard.ZstdCompressor(level=level, dict_data=d, write_content_size=False, write_dict_id=False)
+        # tables sized for the dictionary and short texts, not for the level's largest window
+        params = zstandard.ZstdCompressionParameters.from_level(level, source_size=1 << 16, dict_size=len(dictionary), write_content_size=False, write_dict_id=False)
+        d.precompute_compress(compression_params=params)
+        return zstandard.ZstdCompressor(dict_data=d, compression_params=params)
 
     def judge(self, text: str | None, least_margin: float = LEAST_MARGIN) -> tuple[str, float, bool]:
         """Language, margin (0 to 1) and rejection; ``und``, 0 and rejected for a text without a letter."""

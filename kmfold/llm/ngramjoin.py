@@ -20,12 +20,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from kmfold.llm.blobs import byte_values, mix, pack, unpack
+from kmfold.llm.blobs import byte_values, mix, pack, tidy, unpack
 from kmfold.llm.components import components
 from kmfold.numbering import number_within
 from kmfold.staging import pieces_for, ship_package, stage
 
-PART_BYTES, EXCHANGE_BYTES, BUCKET_BYTES, SLICE = 2 << 20, 6 << 20, 8 << 20, 4 << 20
+PART_BYTES, EXCHANGE_BYTES, BUCKET_BYTES, SLICE = 1 << 20, 4 << 20, 2 << 20, 1 << 20
 BLOCK = 4096
 BASE = 0x9E3779B97F4A7C15 | 1
 VALUES = byte_values()
@@ -371,7 +371,7 @@ def ngram_components(docs: DataFrame, n: int = 4, num: int = 85, den: int = 100)
     """
     ship_package(docs.sparkSession)
     known = docs.select("doc_id", "text")
-    parts, buckets = pieces_for(known, PART_BYTES), pieces_for(known, BUCKET_BYTES, most=8192)
+    parts, buckets = pieces_for(known, PART_BYTES), pieces_for(known, BUCKET_BYTES, most=1 << 24)
     dealt = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").withColumn("part", F.pmod(F.xxhash64("doc_id"), F.lit(parts)).cast("int")).repartition(pieces_for(known, EXCHANGE_BYTES), "part")
 
     def offer(table):
@@ -399,9 +399,9 @@ def ngram_components(docs: DataFrame, n: int = 4, num: int = 85, den: int = 100)
         columns = [sets.ids, sets.count, sets.key1.view(np.int64), sets.key2.view(np.int64), prefix, shared]
         return pa.table([pa.array(c, t) for c, t in zip(columns, types)], names)
 
-    offered = dealt.groupBy("part").applyInArrow(offer, "bucket int, part int, cell binary")
-    answered = offered.groupBy("bucket").applyInArrow(answer, "part int, bucket int, cell binary")
-    told = dealt.groupBy("part").cogroup(answered.groupBy("part")).applyInArrow(tell, "doc_id long, n_shingles long, key1 long, key2 long, prefix long, shared binary")
+    offered = dealt.groupBy("part").applyInArrow(tidy(offer), "bucket int, part int, cell binary")
+    answered = offered.groupBy("bucket").applyInArrow(tidy(answer), "part int, bucket int, cell binary")
+    told = dealt.groupBy("part").cogroup(answered.groupBy("part")).applyInArrow(tidy(tell), "doc_id long, n_shingles long, key1 long, key2 long, prefix long, shared binary")
     told = stage(told, "sets")
 
     # one row a distinct set; equal sets of different parts meet here, one row a part at most
@@ -449,4 +449,4 @@ def _walk(clusters: DataFrame, num: int, den: int) -> DataFrame:
         return pa.table({"a": pa.array([name[i] for i, _ in links], pa.int64()), "b": pa.array([name[j] for _, j in links], pa.int64())})
 
     columns = tasks.select("cluster", "t.i", "t.j", "node", "n", "shared")
-    return columns.groupBy("cluster", "i", "j").applyInArrow(walk, "a long, b long")
+    return columns.groupBy("cluster", "i", "j").applyInArrow(tidy(walk), "a long, b long")

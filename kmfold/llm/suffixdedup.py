@@ -26,14 +26,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from kmfold.llm.blobs import byte_values, gather, mix, pack
+from kmfold.llm.blobs import byte_values, gather, mix, pack, tidy, unpack
 from kmfold.staging import pieces_for, ship_package
 
 LENGTH, GRAM = 50, 20
 ELECT = LENGTH - GRAM + 1
 PART_BYTES, EXCHANGE_BYTES, BUCKET_BYTES = 1 << 20, 4 << 20, 1 << 20
 INDEX = np.uint64((1 << 24) - 1)
-SLICE = 4 << 20
+SLICE = 1 << 20
 VALUES = byte_values()
 LAST_ID = np.int64(2**63 - 1)
 DIGITS = (0, GRAM, LENGTH - GRAM)
@@ -152,8 +152,6 @@ def offered_grams(table: pa.Table, buckets: int) -> list[tuple[int, bytes]]:
 
 def repeated_grams(cells: list[bytes]) -> list[bytes | None]:
     """For each part's cell of a bucket, its codes that occur in two documents."""
-    from kmfold.llm.blobs import unpack
-
     parts = [unpack(c) for c in cells]
     code = np.concatenate([p[0] for p in parts])
     flag = np.concatenate([p[1] for p in parts]).astype(bool)
@@ -193,8 +191,6 @@ def contexts(table: pa.Table, replies: list[tuple[int, bytes]], buckets: int):
     Yields ``(bucket, cell)`` with document row, id, first window, windows and bytes,
     then ``(None, cell)`` with the settled spans.
     """
-    from kmfold.llm.blobs import unpack
-
     part = Part(table)
     wanted = np.sort(np.concatenate([(np.uint64(b) << np.uint64(32)) | unpack(c)[0].astype(np.uint64) for b, c in replies])) if replies else np.zeros(0, np.uint64)
     held = []
@@ -358,11 +354,11 @@ def with_spans(docs: DataFrame, finish, schema: str, columns: list[str]) -> Data
     from pyspark.sql.types import StructType
 
     finish_schema = list(to_arrow_schema(StructType.fromDDL(schema)))
-    offered = dealt.select("doc_id", "text", "part").groupBy("part").applyInArrow(offer, "bucket int, part int, cell binary")
-    answered = offered.groupBy("bucket").applyInArrow(answer, "part int, bucket int, cell binary")
-    sent = dealt.select("doc_id", "text", "part").groupBy("part").cogroup(answered.groupBy("part")).applyInArrow(collect, "bucket int, part int, settled boolean, cell binary")
-    spans = sent.groupBy("bucket").applyInArrow(order, "part int, cell binary")
-    return dealt.groupBy("part").cogroup(spans.groupBy("part")).applyInArrow(end, schema)
+    offered = dealt.select("doc_id", "text", "part").groupBy("part").applyInArrow(tidy(offer), "bucket int, part int, cell binary")
+    answered = offered.groupBy("bucket").applyInArrow(tidy(answer), "part int, bucket int, cell binary")
+    sent = dealt.select("doc_id", "text", "part").groupBy("part").cogroup(answered.groupBy("part")).applyInArrow(tidy(collect), "bucket int, part int, settled boolean, cell binary")
+    spans = sent.groupBy("bucket").applyInArrow(tidy(order), "part int, cell binary")
+    return dealt.groupBy("part").cogroup(spans.groupBy("part")).applyInArrow(tidy(end), schema)
 
 
 def dedup_digests(docs: DataFrame) -> DataFrame:
