@@ -25,7 +25,8 @@ from kmfold.staging import pieces_for
 BINS, BIN_BITS, LOW_BITS, SHINGLE = 256, 8, 4, 5
 A_LONG = 64 // LOW_BITS
 PROBES = 8
-RANGE_BYTES = 8 << 20
+#: Several ranges share a partition, so that their sizes even out.
+RANGE_BYTES, RANGES_A_PARTITION = 1 << 20, 4
 #: Fixed value: the lowest bit of every four.
 NIBBLE_LOW = 0x1111111111111111
 
@@ -136,7 +137,7 @@ def edited_texts(docs: DataFrame, range_bytes: int = RANGE_BYTES) -> DataFrame:
     guests = rows.select("_o", "doc_id", "text").join(F.broadcast(before), "_o")
     guests = guests.groupBy("_to").agg(F.max(F.struct("_o", "doc_id", "text")).alias("g"))
     guests = guests.select("g.doc_id", "g.text", "g._o", F.col("_to").alias("_range"), F.lit(0).alias("_home"))
-    both = rows.withColumn("_home", F.lit(1)).unionByName(guests).repartition(max(1, len(last)), "_range")
+    both = rows.withColumn("_home", F.lit(1)).unionByName(guests).repartition(-(-max(1, len(last)) // RANGES_A_PARTITION), "_range")
     both = with_fingerprint(both, "text", "packed")
     w = Window.partitionBy("_range").orderBy("_home", "_o", "text")
     seen = both.withColumn("next_text", F.lag("text").over(w)).withColumn("next_packed", F.lag("packed").over(w))
