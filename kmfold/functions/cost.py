@@ -9,7 +9,7 @@ from kmfold.functions.vectors import squared_distance
 from kmfold.staging import ship_package
 
 #: Above so many center coordinates the expression form gives way to the vectorized one.
-LITERAL_COORDINATES = 20_000
+LITERAL_COORDINATES = 512
 BROADCAST_COORDINATES = 40_000_000
 
 

@@ -71,7 +71,7 @@ def d2_seeds(pts: DataFrame, k: int, seed: int = 1) -> list:
     pts = weighted(pts)
     chosen = uniform_seeds(pts, 1, seed)
     while chosen and len(chosen) < k:
-        near = assign(pts, chosen, vectorized=False)
+        near = assign(pts, chosen)
         u = (uniform(F.col("id"), seed + len(chosen)) * (2147483647.0 - 1) + 1) / 2147483648.0
         race = -F.log(u) / (F.col("w") * F.col("d2"))
         best = near.filter("d2 > 0").agg(F.min_by(F.struct("id", "x"), F.struct(race.alias("r"), F.col("id").alias("i"))).alias("p")).first()["p"]

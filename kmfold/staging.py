@@ -16,8 +16,11 @@ import zipfile
 from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 FALLBACK_ROOT = "/tmp/checkpoints/kmfold"
+#: Estimates from here on mean that the plan does not know.
+UNKNOWN_BYTES = 1 << 58
 _made: dict[str, SparkSession] = {}
 _shipped: set[str] = set()
 
@@ -75,8 +78,16 @@ def _clean() -> None:
 
 
 def input_bytes(df: DataFrame) -> int:
-    """The optimizer's size estimate of ``df``: file sizes, no job is run."""
-    return int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    """The optimizer's size estimate of ``df``: file sizes, no job is run.
+
+    Where the plan gives none (rows from the driver, an RDD), the texts are measured.
+    """
+    size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    if size < UNKNOWN_BYTES:
+        return size
+    texts = [F.coalesce(F.sum(F.octet_length(c)), F.lit(0)) for c, kind in df.dtypes if kind in ("string", "binary")]
+    row = df.agg(F.count("*") * 16, *texts).first()
+    return int(sum(row))
 
 
 def pieces_for(df: DataFrame, bytes_each: int, least: int = 1, most: int = 65536) -> int:
