@@ -354,9 +354,10 @@ def with_spans(docs: DataFrame, finish, schema: str, columns: list[str]) -> Data
     from pyspark.sql.types import StructType
 
     finish_schema = list(to_arrow_schema(StructType.fromDDL(schema)))
-    offered = dealt.select("doc_id", "text", "part").groupBy("part").applyInArrow(tidy(offer), "bucket int, part int, cell binary")
+    # all three steps read the same columns, so that Spark reuses one exchange of the texts
+    offered = dealt.groupBy("part").applyInArrow(tidy(offer), "bucket int, part int, cell binary")
     answered = offered.groupBy("bucket").applyInArrow(tidy(answer), "part int, bucket int, cell binary")
-    sent = dealt.select("doc_id", "text", "part").groupBy("part").cogroup(answered.groupBy("part")).applyInArrow(tidy(collect), "bucket int, part int, settled boolean, cell binary")
+    sent = dealt.groupBy("part").cogroup(answered.groupBy("part")).applyInArrow(tidy(collect), "bucket int, part int, settled boolean, cell binary")
     spans = sent.groupBy("bucket").applyInArrow(tidy(order), "part int, cell binary")
     return dealt.groupBy("part").cogroup(spans.groupBy("part")).applyInArrow(tidy(end), schema)
 
