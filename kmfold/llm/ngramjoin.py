@@ -26,7 +26,7 @@ from kmfold.numbering import number_within
 from kmfold.staging import pieces_for, ship_package, stage
 
 PART_BYTES, EXCHANGE_BYTES, BUCKET_BYTES, SLICE = 1 << 20, 4 << 20, 2 << 20, 1 << 20
-BLOCK = 4096
+BLOCK = 1024
 BASE = 0x9E3779B97F4A7C15 | 1
 VALUES = byte_values()
 LOWER = np.array([b + 32 if 65 <= b <= 90 else b for b in range(256)], np.uint8)
