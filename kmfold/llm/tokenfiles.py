@@ -124,9 +124,11 @@ def replace_pairs(ids: np.ndarray, ends: np.ndarray, first: int, rounds: int = R
         here = score[1:]
         left = score[:-1]
         right = np.append(score[2:], 0)
-        chosen = np.flatnonzero((here > 0) & (here > left) & (here >= right))
-        # of equal neighbours only the leftmost is free of an overlap
-        chosen = chosen[np.append(True, np.diff(chosen) > 1)]
+        chosen = np.flatnonzero((here > 0) & (here >= left) & (here >= right))
+        # of a run of equal neighbours (one symbol repeated) every second one is free of an overlap
+        follows = np.append(False, np.diff(chosen) == 1)
+        place = np.arange(len(chosen))
+        chosen = chosen[(place - np.maximum.accumulate(np.where(follows, 0, place))) % 2 == 0]
         picked, times = np.unique(here[chosen], return_counts=True)
         good = picked[times >= LEAST_COUNT - 1]
         if not len(good):
