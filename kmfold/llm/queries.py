@@ -72,6 +72,37 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 }
 
 ORACLE_SQL: dict[str, str] = {
+    "op1_suffix_dedup": r"""
+WITH d AS (SELECT doc_id, hex(encode(coalesce(text, ''))) AS h, octet_length(encode(coalesce(text, ''))) AS n FROM documents),
+w AS (SELECT doc_id, i, substr(h, 2 * i + 1, 100) AS g FROM (SELECT doc_id, h, unnest(range(n - 49)) AS i FROM d WHERE n >= 50)),
+m AS (SELECT g, min(doc_id) AS f FROM w GROUP BY g),
+dup AS (SELECT w.doc_id, w.i FROM w JOIN m USING (g) WHERE w.doc_id > m.f),
+s AS (SELECT doc_id, i, CASE WHEN i <= lag(i) OVER (PARTITION BY doc_id ORDER BY i) + 50 THEN 0 ELSE 1 END AS new FROM dup),
+r AS (SELECT doc_id, i, sum(new) OVER (PARTITION BY doc_id ORDER BY i) AS k FROM s),
+spans AS (SELECT doc_id, min(i) AS a, max(i) + 50 AS z FROM r GROUP BY doc_id, k),
+gaps AS (SELECT doc_id, a, coalesce(lag(z) OVER (PARTITION BY doc_id ORDER BY a), 0) AS f
+         FROM (SELECT doc_id, a, z FROM spans UNION ALL SELECT doc_id, n, NULL FROM d)),
+kept AS (SELECT doc_id, string_agg(substr(h, CAST(2 * f + 1 AS BIGINT), CAST(2 * (a - f) AS BIGINT)), '' ORDER BY a) AS kh FROM gaps JOIN d USING (doc_id) GROUP BY doc_id),
+gone AS (SELECT doc_id, sum(z - a) AS removed, count(*) AS spans FROM spans GROUP BY doc_id)
+SELECT d.doc_id, CAST(d.n AS BIGINT) AS n_bytes, CAST(coalesce(g.removed, 0) AS BIGINT) AS n_removed, coalesce(g.spans, 0) AS n_spans,
+       sha256(unhex(k.kh)) AS kept_sha256
+FROM d JOIN kept k USING (doc_id) LEFT JOIN gone g USING (doc_id)
+""",
+    "op4_ngram_links": r"""
+WITH RECURSIVE w AS (
+  SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz'), '[^\x20\x09-\x0D]+') AS x FROM documents),
+g AS (
+  SELECT DISTINCT doc_id, s FROM (
+    SELECT doc_id, array_to_string(x[i : i + 3], ' ') AS s FROM (SELECT doc_id, x, unnest(range(1, len(x) - 2)) AS i FROM w WHERE len(x) >= 4)
+    UNION ALL SELECT doc_id, len(x) || ' words: ' || array_to_string(x, ' ') FROM w WHERE len(x) BETWEEN 1 AND 3)),
+n AS (SELECT doc_id, count(*) AS n FROM g GROUP BY doc_id),
+links AS MATERIALIZED (
+  SELECT c.a, c.b FROM (SELECT p.doc_id AS a, q.doc_id AS b, count(*) AS common FROM g p JOIN g q ON p.s = q.s AND p.doc_id <> q.doc_id GROUP BY 1, 2) c
+  JOIN n x ON x.doc_id = c.a JOIN n y ON y.doc_id = c.b WHERE 100 * common >= 85 * (x.n + y.n - common)),
+reach(doc_id, other) AS (SELECT doc_id, doc_id FROM w UNION SELECT r.doc_id, l.b FROM reach r JOIN links l ON l.a = r.other)
+SELECT w.doc_id, coalesce(n.n, 0) AS n_shingles, r.component_id
+FROM w LEFT JOIN n USING (doc_id) JOIN (SELECT doc_id, min(other) AS component_id FROM reach GROUP BY doc_id) r ON r.doc_id = w.doc_id
+""",
     "op10_url_rules": r"""
 WITH parsed AS (
   SELECT page_id,
