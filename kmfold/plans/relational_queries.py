@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
+import uuid
+
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from kmfold.functions import sqlapi
 from kmfold.operators import summaries
-from kmfold.sources import points
+from kmfold.sources import datasource, points
 from kmfold.staging import scratch_path, stage
 from kmfold.streaming import keyed, log, windows
 
@@ -78,6 +80,27 @@ def generated_source(spark, sf_dir):
     return spark.range(n).select(F.col("id"), (F.col("id") % 5).alias("r")).agg(F.count("*").alias("n"), F.sum("r").alias("s"))
 
 
+@query(f"SELECT CAST(round(sum(v * v)) AS BIGINT) AS cost, count(DISTINCT id) AS n FROM (SELECT i.range AS id, ((list_reduce([CAST(i.range * 16 + j.range AS BIGINT) + 1, 40503, 69069, 1013904223], lambda h, c: (h * h + c * h + 3) % 2147483647) / 2147483647.0) * 2.0 - 1.0) * 10.0 AS v FROM range(2000) i CROSS JOIN range(16) j)")
+def generator_data_source(spark, sf_dir):
+    """A generator behind the data source interface: rows do not depend on its partitions."""
+    datasource.register(spark)
+    pts = spark.read.format("kmfold_cube").options(n=2000, d=16, partitions=3).load()
+    sq = F.aggregate("x", F.lit(0.0), lambda a, v: a + v * v)
+    return pts.agg(F.round(F.sum(sq)).cast("bigint").alias("cost"), F.countDistinct("id").alias("n"))
+
+
+@query("SELECT c_mktsegment, count(*) AS n, true AS no_exchange FROM customer JOIN orders ON c_custkey = o_custkey GROUP BY 1")
+def sink_bucketed(spark, sf_dir):
+    """Two tables bucketed by the join key: the join moves no row."""
+    names = [f"kmfold_{uuid.uuid4().hex}" for _ in range(2)]
+    frames = (t(spark, sf_dir, "customer").select("c_custkey", "c_mktsegment"), t(spark, sf_dir, "orders").select("o_custkey", "o_orderkey"))
+    for df, name, key in zip(frames, names, ("c_custkey", "o_custkey")):
+        df.write.bucketBy(4, key).sortBy(key).option("path", scratch_path(spark, name)).saveAsTable(name)
+    joined = spark.table(names[0]).hint("merge").join(spark.table(names[1]), F.col("c_custkey") == F.col("o_custkey"))
+    none = "Exchange" not in joined._jdf.queryExecution().executedPlan().toString()
+    return joined.groupBy("c_mktsegment").agg(F.count("*").alias("n")).withColumn("no_exchange", F.lit(none))
+
+
 # --- projection, filter -------------------------------------------------------------------
 
 
@@ -243,6 +266,35 @@ def aggregate_min_by(spark, sf_dir):
     return t(spark, sf_dir, "orders").groupBy("o_orderstatus").agg(F.min_by("o_orderkey", s).alias("cheapest"), F.max_by("o_orderkey", s).alias("dearest"))
 
 
+@query("SELECT l_linestatus, count(*) AS n, true AS sketch_near, true AS bins_add_up FROM lineitem GROUP BY 1")
+def aggregate_sketches(spark, sf_dir):
+    """Quantile sketch and histogram beside the exact median."""
+    g = t(spark, sf_dir, "lineitem").groupBy("l_linestatus").agg(F.count("*").alias("n"), F.median("l_extendedprice").alias("m"), F.percentile_approx("l_extendedprice", 0.5, 10000).alias("a"), F.histogram_numeric("l_quantity", F.lit(10)).alias("h"))
+    bins = F.aggregate("h", F.lit(0.0), lambda s, b: s + b["y"])
+    return g.select("l_linestatus", "n", (F.abs(F.col("a") - F.col("m")) <= 0.02 * F.col("m")).alias("sketch_near"), (F.abs(bins - F.col("n")) < 0.5).alias("bins_add_up"))
+
+
+@query("SELECT n_regionkey, string_agg(n_name, ',' ORDER BY n_name) AS names FROM nation GROUP BY 1")
+def aggregate_listagg(spark, sf_dir):
+    t(spark, sf_dir, "nation").createOrReplaceTempView("kmfold_nation")
+    return spark.sql("SELECT n_regionkey, listagg(n_name, ',') WITHIN GROUP (ORDER BY n_name) AS names FROM kmfold_nation GROUP BY n_regionkey")
+
+
+@query("SELECT event_type, true AS near FROM events GROUP BY 1")
+def stratified_sample(spark, sf_dir):
+    e = t(spark, sf_dir, "events").select("event_id", "event_type")
+    kinds = {k: 0.3 for k in ("click", "error", "purchase", "signup", "view")}
+    a, b = e.groupBy("event_type").agg(F.count("*").alias("n")), e.sampleBy("event_type", kinds, seed=5).groupBy("event_type").agg(F.count("*").alias("m"))
+    return a.join(b, "event_type").select("event_type", (F.abs(F.col("m") / F.col("n") - 0.3) < 0.15).alias("near"))
+
+
+@query("SELECT l_returnflag, count(*) AS n FROM lineitem WHERE l_quantity >= 40 GROUP BY 1")
+def sql_parameters(spark, sf_dir):
+    """Named parameters in SQL text."""
+    t(spark, sf_dir, "lineitem").createOrReplaceTempView("kmfold_lineitem")
+    return spark.sql("SELECT l_returnflag, count(*) AS n FROM kmfold_lineitem WHERE l_quantity >= :low GROUP BY l_returnflag", args={"low": 40})
+
+
 # --- windows, order, sets ---------------------------------------------------------------------------
 
 
