@@ -22,13 +22,15 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from tokenizers import Tokenizer
 
+from kmfold.llm.blobs import release
 from kmfold.llm.encoding import slices
 from kmfold.numbering import bucket_of, range_bounds
 from kmfold.staging import pieces_for, scratch_path, ship_package
 
 MAGIC = b"KMTK"
-SHARD_BYTES = 8 << 20
-CHUNK_IDS = 1 << 19
+#: Several shards share a partition, so that their sizes even out.
+SHARD_BYTES, SHARDS_A_PARTITION = 2 << 20, 3
+CHUNK_IDS = 1 << 18
 ROUNDS = 4
 PAIRS_A_ROUND = 3500
 LEAST_COUNT = 8
@@ -251,7 +253,7 @@ def write_token_files(docs: DataFrame, path: str, out: str, vocabulary: int = 50
     bounds = range_bounds(rows, "doc_id", shards)
     dealt = rows.withColumn("shard", F.coalesce(bucket_of(F.col("doc_id"), bounds), F.lit(0)) if bounds else F.lit(0))
     dealt = dealt.withColumn("shard", F.when(F.col("doc_id").isNull(), 0).otherwise(F.col("shard")))
-    dealt = dealt.repartition(max(1, len(bounds) + 1), "shard").sortWithinPartitions("shard", "doc_id", "text")
+    dealt = dealt.repartition(-(-(len(bounds) + 1) // SHARDS_A_PARTITION), "shard").sortWithinPartitions("shard", "doc_id", "text")
 
     def run(batches):
         tok = tokenizer(path)
@@ -261,7 +263,8 @@ def write_token_files(docs: DataFrame, path: str, out: str, vocabulary: int = 50
             return pa.RecordBatch.from_pydict({"shard": pa.array([shard], pa.int32()), "chunk": pa.array([chunk], pa.int32()), "n_ids": pa.array([n], pa.int64()), "payload": pa.array([write_chunk(names, held, vocabulary)], pa.binary())})
 
         for whole in batches:
-            for b in slices(whole, 4 << 20):
+            release()
+            for b in slices(whole, 1 << 20):
                 for s, d, ids in zip(b.column(2).to_pylist(), b.column(0).to_pylist(), tok.encode(b.column(1).to_pylist())):
                     if names and (s != shard or n >= CHUNK_IDS):
                         yield record()
@@ -286,6 +289,7 @@ def read_token_files(spark: SparkSession, out: str) -> DataFrame:
 
     def run(batches):
         for b in batches:
+            release()
             for k in range(b.num_rows):
                 c = Chunk(b.column(2)[k].as_py())
                 ids, stop = c.ids(), np.cumsum(c.counts)
