@@ -18,6 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from kmfold.llm.blobs import release
 from kmfold.llm.encoding import slices
 from kmfold.llm.tokenfiles import END_ID, tokenizer
 from kmfold.numbering import number_within
@@ -151,7 +152,8 @@ def cut_pieces(docs: DataFrame, path: str, capacity: int = CAPACITY) -> DataFram
     def run(batches):
         tok = tokenizer(path)
         for whole in batches:
-            for b in slices(whole, 4 << 20):
+            release()
+            for b in slices(whole, 1 << 20):
                 out = [[], [], [], [], []]
                 for d, ids in zip(b.column(0).to_pylist(), tok.encode(b.column(1).to_pylist())):
                     ids.append(END_ID)
