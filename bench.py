@@ -40,6 +40,7 @@ def main() -> None:
         t = time.time()
         out = f()
         took[name] = round(time.time() - t, 3)
+        print(name, took[name], file=sys.stderr, flush=True)
         return out
 
     n = int(CPUS)
