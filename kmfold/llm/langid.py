@@ -3,7 +3,8 @@
 A bounded, documented sample of labelled rows gives each language a raw-content
 dictionary. A text is compressed with every dictionary; the smallest result names
 the language. The margin to the second smallest is the confidence, and narrow
-margins are rejected.
+margins are rejected. Long texts are compressed in blocks and their sizes added, so
+that the dictionaries count as much at the end of a text as at its start.
 """
 
 from __future__ import annotations
@@ -26,6 +27,8 @@ LEAST_MARGIN = 0.001
 #: Texts below SHORT_BYTES get a stronger level, and a run of zeros so that no block is stored raw.
 SHORT_BYTES, SHORT_LEVEL, LEVEL = 600, 15, 5
 FILLER = bytes(512)
+#: A text is judged in equal blocks of at most so many bytes, the size that the compressors are made for.
+BLOCK_BYTES = 1 << 16
 #: Below so many bytes sizes differ by too little to reject anything.
 JUDGED_BYTES = 32
 LETTER = re.compile(r"[^\W\d_]")
@@ -74,7 +77,7 @@ class DictionaryClassifier:
     def _packer(dictionary: bytes, level: int) -> zstandard.ZstdCompressor:
         d = zstandard.ZstdCompressionDict(dictionary, dict_type=zstandard.DICT_TYPE_RAWCONTENT)
         # tables sized for the dictionary and short texts, not for the level's largest window
-        params = zstandard.ZstdCompressionParameters.from_level(level, source_size=1 << 16, dict_size=len(dictionary), write_content_size=False, write_dict_id=False)
+        params = zstandard.ZstdCompressionParameters.from_level(level, source_size=BLOCK_BYTES, dict_size=len(dictionary), write_content_size=False, write_dict_id=False)
         d.precompute_compress(compression_params=params)
         return zstandard.ZstdCompressor(dict_data=d, compression_params=params)
 
@@ -88,7 +91,9 @@ class DictionaryClassifier:
             raw += FILLER
             sizes = [len(p.compress(raw)) for p in self.short_packers]
         else:
-            sizes = [len(p.compress(raw)) for p in self.packers]
+            n = -(-len(raw) // BLOCK_BYTES)
+            cuts = [len(raw) * i // n for i in range(n + 1)]
+            sizes = [sum(len(p.compress(raw[a:z])) for a, z in zip(cuts, cuts[1:])) for p in self.packers]
         best = min(range(len(sizes)), key=sizes.__getitem__)
         if len(sizes) == 1:
             return self.langs[0], 1.0, False

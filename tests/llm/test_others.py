@@ -41,6 +41,20 @@ def test_language_of_tricky_texts(tricky, rows, empty, repeated):
     assert langid.identify(empty).count() == 0 and langid.identify(repeated).count() == 6
 
 
+def test_a_long_text_is_judged_like_its_blocks():
+    rng = np.random.default_rng(2)
+
+    def prose(seed, n):
+        words = np.array(["".join(w) for w in np.random.default_rng(seed).choice(list("abcdefghijklmnopqrstuvwxyz"), (4000, 7))])
+        return " ".join(words[rng.integers(0, 4000, n)])
+
+    c = langid.DictionaryClassifier({"aa": prose(1, 40_000).encode(), "bb": prose(2, 40_000).encode()})
+    text = prose(1, 2_500_000)
+    short, long = c.judge(text[: langid.BLOCK_BYTES]), c.judge(text)
+    assert short[0] == long[0] == "aa" and not short[2] and not long[2]
+    assert abs(long[1] - short[1]) < 0.1 * short[1]
+
+
 def test_difference_is_tight():
     rng = np.random.default_rng(0)
     sizes = rng.integers(1, 5000, 3000).tolist()
