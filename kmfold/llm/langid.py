@@ -23,6 +23,8 @@ UNKNOWN = "und"
 DICTIONARY_BYTES = 400_000
 SAMPLE_ROWS = 800
 SAMPLE_CHARS = 2_000
+LONG_CHARS = 200
+LEAST_DICTIONARY = 8
 LEAST_MARGIN = 0.001
 #: Texts below SHORT_BYTES get a stronger level, and a run of zeros so that no block is stored raw.
 SHORT_BYTES, SHORT_LEVEL, LEVEL = 600, 15, 5
@@ -32,6 +34,8 @@ BLOCK_BYTES = 1 << 16
 #: Below so many bytes sizes differ by too little to reject anything.
 JUDGED_BYTES = 32
 LETTER = re.compile(r"[^\W\d_]")
+#: The same for a column.
+ANY_LETTER = r"[\p{L}\p{Nl}\p{No}]"
 NOT_LETTERS = re.compile(r"[\W\d_]+")
 
 
@@ -48,20 +52,29 @@ def learn(docs: DataFrame, rows_each: int = SAMPLE_ROWS, chars_each: int = SAMPL
     """Dictionary of each language from at most ``rows_each`` rows of it, of ``chars_each`` characters.
 
     The sample is the rows of least id hash, so it does not depend on the
-    partitioning. Rows without a language, an id or a letter are not learned from.
+    partitioning; rows of ``LONG_CHARS`` characters come first, and shorter ones fill
+    up where a language has too few. Rows without a language, an id or a letter are
+    not learned from.
     """
-    rows = docs.filter(F.col("lang").isNotNull() & F.col("doc_id").isNotNull() & ~held_out()).filter(F.length("text") >= 200)
-    order = F.xxhash64("doc_id")
-    # min_by over a bounded sketch: the hash threshold keeps the candidates few before they are ordered
-    sample = rows.select("lang", order.alias("h"), F.substring("text", 1, chars_each).alias("text"))
-    per_lang = rows.groupBy("lang").count().collect()  # one row a language
+    rows = docs.filter(F.col("lang").isNotNull() & F.col("doc_id").isNotNull() & ~held_out()).filter(F.col("text").rlike(ANY_LETTER))
+    sample = rows.select("lang", F.xxhash64("doc_id").alias("h"), (F.length("text") < LONG_CHARS).alias("short"), F.substring("text", 1, chars_each).alias("text"))
+    per_lang = sample.groupBy("lang").agg(F.count("*").alias("n"), F.count_if(~F.col("short")).alias("long")).collect()  # one row a language
     kept = {}
     for r in per_lang:
-        share = min(1.0, 4.0 * rows_each / max(1, r["count"]))
-        cut = int(-(2**63) + share * (2**64 - 1))
-        some = sample.filter((F.col("lang") == r["lang"]) & (F.col("h") <= F.lit(min(cut, 2**63 - 1)))).orderBy("h", "text").limit(rows_each)
-        texts = [x["text"] for x in some.select("text").collect()]
-        kept[r["lang"]] = b" ".join(map(letters_only, texts))[:dictionary_bytes]
+        mine = sample.filter(F.col("lang") == r["lang"])
+
+        def least(some: DataFrame) -> list[str]:
+            return [x["text"] for x in some.orderBy("short", "h", "text").limit(rows_each).collect()]
+
+        texts = []
+        if r["long"] > 4 * rows_each:
+            # the hash threshold keeps the candidates few before they are ordered
+            cut = int(-(2**63) + 4.0 * rows_each / r["long"] * (2**64 - 1))
+            texts = least(mine.filter(~F.col("short") & (F.col("h") <= F.lit(cut))))
+        if len(texts) < min(rows_each, r["n"]):
+            texts = least(mine)
+        # a compressor ignores a dictionary below LEAST_DICTIONARY bytes
+        kept[r["lang"]] = b" ".join(map(letters_only, texts))[:dictionary_bytes].rjust(LEAST_DICTIONARY)
     return kept
 
 

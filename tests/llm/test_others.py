@@ -55,6 +55,27 @@ def test_a_long_text_is_judged_like_its_blocks():
     assert abs(long[1] - short[1]) < 0.1 * short[1]
 
 
+def test_short_labelled_rows_are_learned_from(spark):
+    words = {"de": "der hund und die katze schlafen heute nicht", "en": "the dog and the cat are asleep this morning"}
+    rows = [(i, f"{words[lang]} {i}", lang) for i, lang in enumerate(["de", "en"] * 30)] + [(100, "12 - 34", "zz")]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string, lang string")
+    assert set(langid.learn(docs)) == {"de", "en"}
+    told = {r["doc_id"]: r for r in langid.identify(docs).collect()}
+    assert all((told[d]["lang_pred"], told[d]["rejected"]) == (lang, False) for d, _, lang in rows[:-1])
+    # a language with short rows only beside one with long rows
+    mixed = docs.withColumn("text", F.when(F.col("lang") == "en", F.repeat("text", 8)).otherwise(F.col("text")))
+    told = {r["doc_id"]: r["lang_pred"] for r in langid.identify(mixed).collect()}
+    assert all(told[d] == lang for d, _, lang in rows[:-1])
+
+
+def test_long_rows_are_learned_from_first(spark):
+    rows = [(i, "langes wort " * 30 if i % 2 else "kurz", "de") for i in range(40)]
+    docs = spark.createDataFrame(rows, "doc_id bigint, text string, lang string")
+    assert b"kurz" not in langid.learn(docs, rows_each=5)["de"]
+    everything = langid.learn(docs)["de"]
+    assert b"kurz" in everything and everything.index(b"kurz") > everything.rindex(b"langes")
+
+
 def test_difference_is_tight():
     rng = np.random.default_rng(0)
     sizes = rng.integers(1, 5000, 3000).tolist()
