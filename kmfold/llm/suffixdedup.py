@@ -70,10 +70,11 @@ class Part:
         self.start = np.cumsum(self.size) - self.size
 
     def slices(self):
-        """Runs of documents of a bounded total size (one document at least)."""
-        i = 0
+        """Runs of documents that start within ``SLICE`` bytes and end within ``INDEX`` (one document at least)."""
+        i, ends = 0, self.start + self.size
         while i < len(self.ids):
-            stop = max(i + 1, int(np.searchsorted(self.start, self.start[i] + SLICE)))
+            stop = min(np.searchsorted(self.start, self.start[i] + SLICE), np.searchsorted(ends, self.start[i] + int(INDEX), "right"))
+            stop = max(i + 1, int(stop))
             yield i, stop
             i = stop
 
@@ -84,8 +85,8 @@ class Part:
                 yield self._runs_of(lo, hi, base, buf)
 
     def _cuts(self, i: int, stop: int):
-        # a text above 2^24 bytes is cut with an overlap of LENGTH - 1: every window is whole in one cut
-        if stop - i > 1 or self.size[i] < int(INDEX):
+        # a text above 2^24 bytes is alone and cut with an overlap of LENGTH - 1: every window is whole in one cut
+        if self.size[i:stop].sum() <= int(INDEX):
             yield i, stop, 0, np.frombuffer(b"".join(self.texts[i:stop]), np.uint8)
             return
         whole = np.frombuffer(self.texts[i], np.uint8)

@@ -62,6 +62,41 @@ def test_a_text_longer_than_the_index_is_cut_with_overlap(spark, monkeypatch):
     assert got == want
 
 
+@pytest.mark.parametrize("parts", [1, 2])
+def test_a_text_longer_than_the_index_behind_a_short_one(monkeypatch, parts):
+    import pyarrow as pa
+
+    monkeypatch.setattr(suffixdedup, "SLICE", 200)
+    monkeypatch.setattr(suffixdedup, "INDEX", np.uint64((1 << 10) - 1))
+    rng = np.random.default_rng(0)
+
+    def text(n):
+        return bytes(rng.integers(97, 123, n, dtype=np.uint8)).decode()
+
+    long = text(6000)
+    docs = [(1, text(80)), (2, text(120)), (3, long), (4, text(30)), (5, long[1100:2900] + text(60) + long[4000:5999]), (6, text(900)), (7, text(60) + long[3000:3100])]
+    tables = [pa.table({"doc_id": [d for d, _ in docs[k::parts]], "text": [t for _, t in docs[k::parts]]}) for k in range(parts)]
+    assert all(len(buf) <= 1023 for t in tables for *_, buf, _, _ in suffixdedup.Part(t).runs())
+    offered = [suffixdedup.offered_grams(t, 1) for t in tables]
+    told = suffixdedup.repeated_grams([o[0][1] for o in offered])
+    cells, sent = {k: [] for k in range(parts)}, []
+    for k, t in enumerate(tables):
+        for bucket, cell in suffixdedup.contexts(t, [(0, told[k])] if told[k] else [], 1):
+            if bucket is None:
+                cells[k].append(cell)
+            else:
+                sent.append((k, cell))
+    for k, spans in suffixdedup.settle(sent).items():
+        cells[k].append(blobs.pack(*spans))
+    got = {}
+    for k, t in enumerate(tables):
+        part, spans = suffixdedup.removed_spans(t, cells[k])
+        for d, raw, (a, z) in zip(part.ids.tolist(), part.texts, spans):
+            kept = suffixdedup.keep_bytes(raw, a, z)
+            got[d] = (len(raw), len(raw) - len(kept), len(a), hashlib.sha256(kept).hexdigest())
+    assert got == brute_dedup(docs)
+
+
 def test_merge_spans():
     d, a, z = suffixdedup.merge_spans(np.array([1, 0, 0, 1, 0]), np.array([5, 0, 10, 7, 4]), np.array([9, 5, 12, 8, 9]))
     assert d.tolist() == [0, 0, 1] and a.tolist() == [0, 10, 5] and z.tolist() == [9, 12, 9]
