@@ -150,7 +150,7 @@ def cut_pieces(docs: DataFrame, path: str, capacity: int = CAPACITY) -> DataFram
     ship_package(docs.sparkSession)
 
     def run(batches):
-        tok = tokenizer(path)
+        tok = tokenizer(path, spell_added=False)
         for whole in batches:
             release()
             for b in slices(whole, 1 << 20):

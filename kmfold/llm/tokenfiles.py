@@ -11,6 +11,7 @@ Spark's own writer: any store that Spark reaches can hold the files.
 from __future__ import annotations
 
 import json
+import re
 import struct
 import zlib
 from array import array
@@ -51,13 +52,17 @@ class JsonTokenizer:
 
     A plain byte-level BPE file (no normalizer, the standard splitting pattern, merges
     in the order of their ids) is run by the rank-merging engine, which gives the
-    library's ids about five times as fast; any other file is run by the library.
+    library's ids about five times as fast; any other file is run by the library, and
+    so is a text that holds an added token of the file, which then has its own id (as
+    all queries ask). With ``spell_added`` such a token is text like any other.
     """
 
-    def __init__(self, path: str):
+    def __init__(self, path: str, spell_added: bool = True):
         self.library = Tokenizer.from_file(path)
-        self.library.encode_special_tokens = True
+        self.library.encode_special_tokens = spell_added
         self.engine = self._engine(path)
+        added = [] if spell_added else [t.content for t in self.library.get_added_tokens_decoder().values()]
+        self.added = re.compile("|".join(map(re.escape, added))) if added else None
 
     @staticmethod
     def _engine(path: str) -> tiktoken.Encoding | None:
@@ -82,18 +87,24 @@ class JsonTokenizer:
 
     def encode(self, texts: list[str]) -> list[array]:
         if self.engine is None:
-            return [array("I", e.ids) for e in self.library.encode_batch_fast(texts, add_special_tokens=False)]
-        return [array("I", self.engine.encode_ordinary(t)) for t in texts]
+            return self._by_library(texts)
+        if self.added is None:
+            return [array("I", self.engine.encode_ordinary(t)) for t in texts]
+        return [self._by_library([t])[0] if self.added.search(t) else array("I", self.engine.encode_ordinary(t)) for t in texts]
 
+    def _by_library(self, texts: list[str]) -> list[array]:
+        return [array("I", e.ids) for e in self.library.encode_batch_fast(texts, add_special_tokens=False)]
 
-_tokenizers: dict[str, JsonTokenizer] = {}
 
+_tokenizers: dict[tuple[str, bool], JsonTokenizer] = {}
 
-def tokenizer(path: str) -> JsonTokenizer:
+
+def tokenizer(path: str, spell_added: bool = True) -> JsonTokenizer:
     """The worker's tokenizer for a file, built once in a process."""
-    if path not in _tokenizers:
-        _tokenizers[path] = JsonTokenizer(path)
-    return _tokenizers[path]
+    key = path, spell_added
+    if key not in _tokenizers:
+        _tokenizers[key] = JsonTokenizer(path, spell_added)
+    return _tokenizers[key]
 
 
 def replace_pairs(ids: np.ndarray, ends: np.ndarray, first: int, rounds: int = ROUNDS, most: int = 65536) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -256,7 +267,7 @@ def write_token_files(docs: DataFrame, path: str, out: str, vocabulary: int = 50
     dealt = dealt.repartition(-(-(len(bounds) + 1) // SHARDS_A_PARTITION), "shard").sortWithinPartitions("shard", "doc_id", "text")
 
     def run(batches):
-        tok = tokenizer(path)
+        tok = tokenizer(path, spell_added=False)
         shard, chunk, names, held, n = None, 0, [], [], 0
 
         def record():

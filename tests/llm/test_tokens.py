@@ -87,6 +87,36 @@ def test_engine_gives_the_library_ids_on_documents(spark, sf, library):
     assert [a.tolist() for a in tokenfiles.tokenizer(JSON).encode(texts)] == [e.ids for e in library.encode_batch(texts, add_special_tokens=False)]
 
 
+ADDED = [(1, "x <|endoftext|> y"), (2, "<|endoftext|><|endoftext|> two\n"), (3, "plain <|endoftext| text"), (4, "end<|endoftext|>")]
+
+
+def test_added_tokens_have_their_ids(spark):
+    plain = Tokenizer.from_file(JSON)
+    want = {d: plain.encode(t, add_special_tokens=False).ids for d, t in ADDED}
+    assert want[1] == [87, 220, 50256, 331]
+    got = tokenfiles.tokenizer(JSON, spell_added=False).encode([t for _, t in ADDED])
+    assert [g.tolist() for g in got] == list(want.values())
+    docs, start = spark.createDataFrame(ADDED, "doc_id bigint, text string"), 0
+    files = {r["doc_id"]: r for r in tokenfiles.token_file_digests(docs, JSON).collect()}
+    packed = {r["doc_id"]: r for r in packing.pack_documents(docs, JSON).collect()}
+    for d, ids in want.items():
+        crc = zlib.crc32(np.array([*ids, 0], "<u4").tobytes())
+        assert (files[d]["start"], files[d]["n_tokens"], files[d]["ids_crc32"]) == (start, len(ids) + 1, crc)
+        assert (packed[d]["length"], packed[d]["ids_crc32"]) == (len(ids) + 1, crc)
+        start += len(ids) + 1
+
+
+@pytest.fixture(scope="module")
+def unchanged():
+    return Tokenizer.from_file(JSON)
+
+
+@settings(max_examples=100, deadline=None)
+@given(st.lists(st.sampled_from(["<|endoftext|>", "<|", "|>", " ", "a", "b's", "\n", "é", "12"]), max_size=12).map("".join))
+def test_engine_gives_the_ids_of_an_unchanged_library(unchanged, text):
+    assert tokenfiles.tokenizer(JSON, spell_added=False).encode([text])[0].tolist() == unchanged.encode(text, add_special_tokens=False).ids
+
+
 def test_other_files_run_in_the_library():
     tok = tokenfiles.JsonTokenizer(P.path("word_bpe_49k.json"))
     assert tok.engine is None and len(tok.encode(["some words"])[0]) > 0
