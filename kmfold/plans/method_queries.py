@@ -35,6 +35,13 @@ def grid(spark: SparkSession, sf_dir: str) -> DataFrame:
     return e.select("id", F.transform(lattice("x"), lambda v: v.cast("double")).alias("x"), "w", "label")
 
 
+def matrices(pts: DataFrame, rows: int = 100_000):
+    """The whole table as matrices of near equal size, of about ``rows`` rows at most."""
+    dealt = pieces.by_hash(pts, max(1, -(-pts.count() // rows)))
+    for r in dealt.select("piece").distinct().orderBy("piece").collect():
+        yield points.matrix(dealt.filter(F.col("piece") == r["piece"]))
+
+
 #: Lattice rows, lattice rows by coordinate, and fixed centers, as SQL.
 LAT = "lat AS (SELECT vec_id AS id, label, list_transform(embedding, lambda v: CAST(round(CAST(v AS DOUBLE) * 1000) AS BIGINT)) AS x FROM embeddings)"
 DIM = LAT + ", dim AS (SELECT id, label, generate_subscripts(x, 1) - 1 AS dim, unnest(x) AS v FROM lat)"
@@ -371,12 +378,11 @@ def residual_rank_l(spark, sf_dir):
 @query("SELECT kind, l, true AS not_below_optimum, true AS close FROM (VALUES ('gram'), ('random'), ('random2')) k(kind) CROSS JOIN (VALUES (10), (15), (20), (30), (50)) v(l)")
 def svd_random_vs_exact(spark, sf_dir):
     """Five seeds each: deviation from the best residual of the same rank is never negative, and below 7 percent."""
-    x = points.matrix(points.emb64(spark, sf_dir))[:500]
-    rows = []
-    for kind in ("gram", "random", "random2"):
-        for l in (10, 15, 20, 30, 50):  # noqa: E741
-            told = linalg.svd_comparison(x, l, range(5), kind)
-            rows.append((kind, l, all(t["percent"] >= -1e-6 for t in told), all(t["percent"] < 7 for t in told)))
+    told = {(kind, l): [] for kind in ("gram", "random", "random2") for l in (10, 15, 20, 30, 50)}
+    for x in matrices(points.emb64(spark, sf_dir)):
+        for kind, l in told:  # noqa: E741
+            told[kind, l] += linalg.svd_comparison(x, l, range(5), kind)
+    rows = [(kind, l, all(t["percent"] >= -1e-6 for t in ts), all(t["percent"] < 7 for t in ts)) for (kind, l), ts in told.items()]
     return spark.createDataFrame(rows, "kind string, l int, not_below_optimum boolean, close boolean")
 
 
@@ -386,12 +392,15 @@ def weighted_subspace(spark, sf_dir):
     import numpy as np
 
     e = grid(spark, sf_dir).withColumn("w", F.pmod("id", F.lit(4)) + 1)
-    x = points.matrix(e)[:300]
-    w = (np.arange(300) % 4 + 1).astype(float)
-    _, a = linalg.svd_exact(x * np.sqrt(w)[:, None], 8)
-    _, b = linalg.svd_exact(np.repeat(x, w.astype(int), axis=0), 8)
-    _, c = linalg.svd_exact(x * w[:, None], 8)
-    return spark.createDataFrame([(bool(np.abs(a.T @ a - b.T @ b).max() < 1e-8), bool(np.abs(a.T @ a - c.T @ c).max() > 1e-4))], "same_subspace boolean, multiplied_differs boolean")
+    same, differs = [], []
+    for m in matrices(e.withColumn("x", F.concat("x", F.array(F.col("w").cast("double"))))):
+        x, w = m[:, :-1], m[:, -1]
+        _, a = linalg.svd_exact(x * np.sqrt(w)[:, None], 8)
+        _, b = linalg.svd_exact(np.repeat(x, w.astype(int), axis=0), 8)
+        _, c = linalg.svd_exact(x * w[:, None], 8)
+        same.append(bool(np.abs(a.T @ a - b.T @ b).max() < 1e-8))
+        differs.append(bool(np.abs(a.T @ a - c.T @ c).max() > 1e-4))
+    return spark.createDataFrame([(all(same), all(differs))], "same_subspace boolean, multiplied_differs boolean")
 
 
 @query("SELECT k, rule, l FROM (VALUES (10, 'k', 10), (10, '1.5k', 15), (10, 'k/eps', 100), (50, 'k', 50), (50, '1.5k', 64), (50, 'k/eps', 64)) v(k, rule, l)")
@@ -456,7 +465,7 @@ def piecewise_summary_invariants(spark, sf_dir):
 
 @query("WITH n AS (SELECT count(*) AS n FROM embeddings) SELECT CAST(l.level AS INTEGER) AS level, l.nodes, n.n AS w, true AS small FROM n CROSS JOIN (WITH RECURSIVE t(level, nodes) AS (SELECT 0, CAST(ceil(ceil(count(*) / 50.0) / 3) AS BIGINT) FROM embeddings UNION ALL SELECT level + 1, CAST(ceil(nodes / 3.0) AS BIGINT) FROM t WHERE nodes > 1) SELECT * FROM t) l")
 def tree_summary_invariants(spark, sf_dir):
-    full = summaries.tree_full(points.emb64(spark, sf_dir), TreeParams(l=8, ps=50, np=3), keep_levels=True)
+    full = summaries.tree_full(points.emb64(spark, sf_dir), TreeParams(l=8, ps=50, np=3), n_points=500, keep_levels=True)
     per = full.groupBy("level", "node").agg(F.sum("w").alias("w"), F.count("*").alias("m"))
     return per.groupBy("level").agg(F.count("*").alias("nodes"), F.sum("w").alias("w"), (F.max("m") <= 50).alias("small"))
 
@@ -492,7 +501,7 @@ def tree_variants(spark, sf_dir):
 def certificate_panel(spark, sf_dir):
     """Roots of the costs on input and root summary differ by at most the certified error, for every set of the panel."""
     e = points.emb64(spark, sf_dir)
-    full = stage(summaries.tree_full(e, TreeParams(l=16, ps=60, np=3), keep_levels=True), "levels")
+    full = stage(summaries.tree_full(e, TreeParams(l=16, ps=60, np=3), n_points=500, keep_levels=True), "levels")
     top = full.agg(F.max("level")).first()[0]
     bound = summaries.total_error(full)
     dev = measures.coreset_deviation(e, full.filter(F.col("level") == top), measures.center_panel(e, 5))
@@ -563,11 +572,12 @@ def naive_against_exact(spark, sf_dir):
 
     from kmfold.operators.sphere import SphereTree
 
-    x = points.matrix(points.emb64(spark, sf_dir))[:400]
-    sizes = []
+    e = points.emb64(spark, sf_dir)
+    sizes, d = [], points.dimension(e)
     for naive in (True, False):
-        t = SphereTree(60, x.shape[1], 0, block=1, naive=naive)
-        t.offer(x, (np.arange(len(x)) % 7 + 1))
+        t = SphereTree(60, d, 0, block=1, naive=naive)
+        for x in matrices(e):
+            t.offer(x, (np.arange(len(x)) % 7 + 1))
         sizes.append(t.limit)
     g = np.random.default_rng(0).random((50, 3))
     low = all(a * b / (a + b) * c <= b * c for a, b, c in g)
