@@ -465,7 +465,7 @@ def piecewise_summary_invariants(spark, sf_dir):
 
 @query("WITH n AS (SELECT count(*) AS n FROM embeddings) SELECT CAST(l.level AS INTEGER) AS level, l.nodes, n.n AS w, true AS small FROM n CROSS JOIN (WITH RECURSIVE t(level, nodes) AS (SELECT 0, CAST(ceil(ceil(count(*) / 50.0) / 3) AS BIGINT) FROM embeddings UNION ALL SELECT level + 1, CAST(ceil(nodes / 3.0) AS BIGINT) FROM t WHERE nodes > 1) SELECT * FROM t) l")
 def tree_summary_invariants(spark, sf_dir):
-    full = summaries.tree_full(points.emb64(spark, sf_dir), TreeParams(l=8, ps=50, np=3), n_points=500, keep_levels=True)
+    full = summaries.tree_full(points.emb64(spark, sf_dir), TreeParams(l=8, ps=50, np=3), keep_levels=True)
     per = full.groupBy("level", "node").agg(F.sum("w").alias("w"), F.count("*").alias("m"))
     return per.groupBy("level").agg(F.count("*").alias("nodes"), F.sum("w").alias("w"), (F.max("m") <= 50).alias("small"))
 
@@ -501,7 +501,7 @@ def tree_variants(spark, sf_dir):
 def certificate_panel(spark, sf_dir):
     """Roots of the costs on input and root summary differ by at most the certified error, for every set of the panel."""
     e = points.emb64(spark, sf_dir)
-    full = stage(summaries.tree_full(e, TreeParams(l=16, ps=60, np=3), n_points=500, keep_levels=True), "levels")
+    full = stage(summaries.tree_full(e, TreeParams(l=16, ps=60, np=3), keep_levels=True), "levels")
     top = full.agg(F.max("level")).first()[0]
     bound = summaries.total_error(full)
     dev = measures.coreset_deviation(e, full.filter(F.col("level") == top), measures.center_panel(e, 5))
@@ -761,7 +761,7 @@ def repeated_runs(spark, sf_dir):
     e = points.emb64(spark, sf_dir)
 
     def once(seed):
-        s = summaries.tree_summary(e, 5, l=8, ps=100, seed=seed, n_points=500)
+        s = summaries.tree_summary(e, 5, l=8, ps=100, seed=seed)
         return cost.cost_value(e, clustering.center_rows(clustering.kmeanspp_summary(s, 5, restarts=2, seed=seed))), {"k": 5}
 
     runs = measures.repeat(spark, "tree", {"k": 5, "l": 8}, range(3), once)
@@ -770,7 +770,7 @@ def repeated_runs(spark, sf_dir):
 
 @query("SELECT level, true AS counted FROM (VALUES (0), (1), (2)) v(level)")
 def node_counters(spark, sf_dir):
-    full = summaries.tree_full(points.emb64(spark, sf_dir), TreeParams(l=8, ps=50, np=3), n_points=500, keep_levels=True)
+    full = summaries.tree_full(points.emb64(spark, sf_dir), TreeParams(l=8, ps=50, np=3), keep_levels=True)
     c = summaries.node_counters(full)
     return c.groupBy("level").agg(F.every((F.col("n_out") <= F.col("n_in")) & (F.col("dist_evals") > 0) & (F.col("threshold") >= 0)).alias("counted"))
 

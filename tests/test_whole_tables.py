@@ -27,3 +27,14 @@ def test_blocks_hold_the_whole_table(spark):
 
     got = [m.shape for m in matrices(points.emb64(spark, LARGE), 600)]
     assert len(got) == 4 and sum(n for n, _ in got) == 2000
+
+
+def test_trees_are_reduced_to_one_root(spark, monkeypatch):
+    from kmfold.operators import summaries
+
+    rows = catalog.QUERIES["node_counters"](spark, LARGE).collect()
+    assert {r["level"]: r["counted"] for r in rows} == {0: True, 1: True, 2: True, 3: True}
+    planned, plan = [], summaries.plan_levels
+    monkeypatch.setattr(summaries, "plan_levels", lambda n, params: planned.append(n) or plan(n, params))
+    catalog.QUERIES["repeated_runs"](spark, LARGE).collect()
+    assert set(planned) == {2000}
