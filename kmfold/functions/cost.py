@@ -14,10 +14,11 @@ BROADCAST_COORDINATES = 40_000_000
 
 
 def center_list(centers: DataFrame) -> list[tuple[int, list[float]]]:
-    """Centers ``cid, c`` on the driver: k rows, checked against a bound."""
-    rows = centers.select("cid", "c").orderBy("cid").limit(BROADCAST_COORDINATES // 64).collect()
-    if sum(len(r["c"]) for r in rows) > BROADCAST_COORDINATES:
-        raise ValueError("too many center coordinates to send to every task: assign against blocks of centers")
+    """Centers ``cid, c`` on the driver: k rows, checked against a bound on their number and one on their coordinates."""
+    most = BROADCAST_COORDINATES // 64
+    rows = centers.select("cid", "c").orderBy("cid").limit(most + 1).collect()
+    if len(rows) > most or sum(len(r["c"]) for r in rows) > BROADCAST_COORDINATES:
+        raise ValueError("too many centers or center coordinates to send to every task: assign against blocks of centers")
     return [(int(r["cid"]), [float(v) for v in r["c"]]) for r in rows]
 
 

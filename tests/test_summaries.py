@@ -130,3 +130,13 @@ def test_memory_guard_and_advice():
     with pytest.raises(ValueError):
         measures.check_memory(10, k=5, d=5, ps=10, n=100, b=2)
     assert summaries.choose(10**9, 1000, 50) == "tree" and summaries.choose(10**4, 64, 5) == "direct"
+
+
+def test_more_centers_than_the_bound_are_refused(spark, monkeypatch):
+    from kmfold.functions import cost
+
+    monkeypatch.setattr(cost, "BROADCAST_COORDINATES", 640)
+    centers = spark.createDataFrame([(i, [float(i), 0.0]) for i in range(11)], "cid int, c array<double>")
+    assert len(cost.center_list(centers.filter("cid < 10"))) == 10
+    with pytest.raises(ValueError, match="too many centers"):
+        cost.center_list(centers)
