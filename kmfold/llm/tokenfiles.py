@@ -32,7 +32,6 @@ MAGIC = b"KMTK"
 #: Several shards share a partition, so that their sizes even out.
 SHARD_BYTES, SHARDS_A_PARTITION = 2 << 20, 3
 CHUNK_IDS = 1 << 18
-ROUNDS = 4
 PAIRS_A_ROUND = 3500
 LEAST_COUNT = 8
 END_ID = 0
@@ -107,22 +106,25 @@ def tokenizer(path: str, spell_added: bool = True) -> JsonTokenizer:
     return _tokenizers[key]
 
 
-def replace_pairs(ids: np.ndarray, ends: np.ndarray, first: int, rounds: int = ROUNDS, most: int = 65536) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+def replace_pairs(ids: np.ndarray, ends: np.ndarray, first: int, most: int = 65536) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Symbols, their document-end flags and the rules (two symbols each, ids from ``first``).
 
     A round counts all pairs inside documents, takes the most frequent, and replaces
     their occurrences where no better pair overlaps. No rule spans two documents.
+    Rounds end when no pair occurs ``LEAST_COUNT`` times or no nonterminal is free.
     """
     seq, rules, free = ids.astype(np.int64), [], most - first
-    for _ in range(rounds):
-        if len(seq) < 2 or free <= 0:
-            break
+    while len(seq) >= 2 and free > 0:
         key = (seq[:-1] << 20) | seq[1:]
         key[ends[:-1]] = -1
         mixed = ((key * np.int64(0x9E3779B1)) >> 11) & 0x3FFFF
         rough = np.bincount(mixed, minlength=1 << 18) >= LEAST_COUNT
         maybe = np.flatnonzero(rough[mixed])
         maybe = maybe[key[maybe] >= 0]
+        # of a run of one symbol every second pair counts, so that the best pair is replaced as often as it is counted
+        place = np.arange(len(maybe))
+        follows = np.append(False, np.diff(key[maybe]) == 0)[: len(maybe)] & np.append(False, np.diff(maybe) == 1)[: len(maybe)]
+        maybe = maybe[(place - np.maximum.accumulate(np.where(follows, 0, place))) % 2 == 0]
         if not len(maybe):
             break
         pairs, inverse, counts = np.unique(key[maybe], return_inverse=True, return_counts=True)
@@ -138,10 +140,6 @@ def replace_pairs(ids: np.ndarray, ends: np.ndarray, first: int, rounds: int = R
         left = score[:-1]
         right = np.append(score[2:], 0)
         chosen = np.flatnonzero((here > 0) & (here >= left) & (here >= right))
-        # of a run of equal neighbours (one symbol repeated) every second one is free of an overlap
-        follows = np.append(False, np.diff(chosen) == 1)
-        place = np.arange(len(chosen))
-        chosen = chosen[(place - np.maximum.accumulate(np.where(follows, 0, place))) % 2 == 0]
         picked, times = np.unique(here[chosen], return_counts=True)
         good = picked[times >= LEAST_COUNT - 1]
         if not len(good):

@@ -159,6 +159,29 @@ def test_pair_replacement_compresses_repeats():
     assert len(c) < 20000 * 2 / 4
 
 
+def frequent_pairs(seq, ends):
+    """Pairs inside documents with eight occurrences or more that do not overlap."""
+    told, last = {}, {}
+    for i, (a, b) in enumerate(zip(seq[:-1].tolist(), seq[1:].tolist())):
+        if not ends[i] and last.get((a, b)) != i - 1:
+            told[a, b], last[a, b] = told.get((a, b), 0) + 1, i
+    return [p for p, n in told.items() if n >= tokenfiles.LEAST_COUNT]
+
+
+@pytest.mark.parametrize("kind", ["copies", "one symbol", "few symbols"])
+def test_pairs_are_replaced_until_none_is_frequent(kind):
+    rng = np.random.default_rng(4)
+    docs = {"copies": [rng.integers(0, 50000, 300)] * 400, "one symbol": [np.full(5000, 7), np.full(9, 7)], "few symbols": [rng.integers(0, 5, 700) for _ in range(40)]}[kind]
+    flat = np.concatenate(docs).astype(np.uint32)
+    ends = np.zeros(len(flat), bool)
+    ends[np.cumsum([len(d) for d in docs]) - 1] = True
+    seq, stop, rules = tokenfiles.replace_pairs(flat, ends, 50257)
+    assert tokenfiles.expand(seq, rules, 50257).tolist() == flat.tolist()
+    assert not frequent_pairs(seq, stop)
+    if kind == "copies":
+        assert len(seq) == 400
+
+
 def test_packing(tricky, rows, library, empty, repeated):
     ids = all_ids(rows, library)
     got = packing.pack_documents(tricky, JSON).collect()
