@@ -3,10 +3,11 @@
 Only the histogram of piece lengths reaches the driver: at most ``capacity``
 numbers, whatever the input. A covering program over configurations (multisets of
 lengths that fit one sequence) is solved by multiplicative weights: the weights
-price the lengths, a knapsack dynamic program finds the best configuration, the
-weights of what it covers fall. The solution is rounded down, the small rest is
-filled greedily on the histogram. The plan is a table of slots by length; pieces are numbered inside their
-length without a one-task window and look up their slot.
+price the lengths, one knapsack dynamic program finds the best configuration that
+holds each length, the weights of what they cover fall. The solution is rounded
+within what there is, and what rounding leaves is the next, smaller program. The
+plan is a table of slots by length; pieces are numbered inside their length without
+a one-task window and look up their slot.
 """
 
 from __future__ import annotations
@@ -25,36 +26,47 @@ from kmfold.numbering import number_within
 from kmfold.staging import ship_package, stage
 
 CAPACITY = 2048
-ROUNDS = 350
+ROUNDS = 80
+#: Rounds of the program for what rounding leaves, how many such programs at most, how fast weights
+#: fall, and the share of what is left that a program has to place before more room may stay unused.
+REST_ROUNDS, RESTARTS, RATE, LEAST_PROGRESS = 10, 100, 0.01, 0.2
 PIECE_SCHEMA = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
 Plan = list[tuple[int, list[tuple[int, int]]]]  # (copies, [(length, times)])
 
 
-def price(value: np.ndarray, capacity: int) -> list[tuple[int, int]]:
-    """The multiset of lengths of greatest value that fits (unbounded knapsack); value[L] is that of length L."""
-    lengths = np.flatnonzero(value > 0)
-    if not len(lengths):
-        return []
-    worth, pick = np.zeros(capacity + 1), np.zeros(capacity + 1, np.int64)
-    values = value[lengths]
-    for c in range(1, capacity + 1):
-        n = int(np.searchsorted(lengths, c, "right"))
-        worth[c] = worth[c - 1]
-        if n:
+class Pricing:
+    """Knapsack tables for one set of weights: the multiset of lengths of greatest value for every room."""
+
+    def __init__(self, value: np.ndarray, capacity: int):
+        self.worth, self.pick = np.zeros(capacity + 1), np.zeros(capacity + 1, np.int64)
+        lengths = np.flatnonzero(value > 0)
+        values, below = value[lengths], np.searchsorted(lengths, np.arange(capacity + 1), "right")
+        worth = self.worth
+        for c in range(int(lengths[0]) if len(lengths) else capacity + 1, capacity + 1):
+            n = below[c]
             total = worth[c - lengths[:n]] + values[:n]
             k = int(total.argmax())
-            if total[k] > worth[c]:
-                worth[c], pick[c] = total[k], lengths[k]
-    out: dict[int, int] = {}
-    c = capacity
-    while c > 0:
-        if pick[c]:
-            out[int(pick[c])] = out.get(int(pick[c]), 0) + 1
-            c -= int(pick[c])
-        else:
-            c -= 1
-    return sorted(out.items(), reverse=True)
+            if total[k] > worth[c - 1]:
+                worth[c], self.pick[c] = total[k], lengths[k]
+            else:
+                worth[c] = worth[c - 1]
+
+    def fill(self, room: int, config: dict[int, int], left: np.ndarray | None = None) -> dict[int, int]:
+        """Add the best content of ``room`` to ``config``, of each length at most what is left."""
+        while room > 0:
+            n = int(self.pick[room])
+            if n and (left is None or config.get(n, 0) < left[n]):
+                config[n] = config.get(n, 0) + 1
+                room -= n
+            else:
+                room -= 1
+        return config
+
+
+def price(value: np.ndarray, capacity: int) -> list[tuple[int, int]]:
+    """The multiset of lengths of greatest value that fits (unbounded knapsack); value[L] is that of length L."""
+    return sorted(Pricing(value, capacity).fill(capacity, {}).items(), reverse=True)
 
 
 def greedy(counts: np.ndarray, capacity: int) -> Plan:
@@ -80,38 +92,67 @@ def greedy(counts: np.ndarray, capacity: int) -> Plan:
         plan.append((copies, config))
 
 
-def solve(counts: np.ndarray, capacity: int = CAPACITY, rounds: int = ROUNDS, step: float = 0.1, rate: float = 1.0) -> Plan:
-    """A plan for ``counts[L]`` pieces of each length: copies of configurations that cover them exactly."""
-    there = np.flatnonzero(counts)
-    there = there[there < capacity]
-    if len(there) < 2:
-        return greedy(counts, capacity)
-    need = counts.astype(float)
-    weight = np.zeros(capacity + 1)
-    weight[there] = there / capacity
-    amounts: dict[tuple, float] = {}
-    covered = np.zeros(capacity + 1)
-    for _ in range(rounds):
-        config = price(weight, capacity)
-        n = np.array([c[0] for c in config])
-        t = np.array([c[1] for c in config])
-        amount = step * float((need[n] / t).min())
-        key = tuple(config)
-        amounts[key] = amounts.get(key, 0.0) + amount
-        covered[n] += amount * t
-        weight[n] *= np.exp(-rate * amount * t / need[n])
-        full = covered >= need
-        weight[full & (weight > 0)] = 0.0
-        if not (weight > 0).any():
-            break
-    left, plan = counts.copy(), []
-    for config, amount in sorted(amounts.items(), key=lambda x: -x[1]):
-        copies = min(int(amount), *(int(left[n]) // t for n, t in config)) if len(config) > 1 else min(int(amount), int(left[config[0][0]]) // config[0][1])
+def cover(need: np.ndarray, capacity: int, rounds: int, rate: float = RATE) -> dict[tuple, float]:
+    """A fractional cover of ``need[L]`` pieces of each length: amounts of configurations.
+
+    Each round prices the lengths by their weights. Every length that is covered less
+    than the round's share of its need, longest first, gets the best configuration
+    that holds it, in the amount that it lacks; the weights then fall exponentially
+    with what is covered beyond the share. After the last round all needs are met.
+    """
+    there = np.flatnonzero(need)
+    # full sequences first, long pieces before many short ones: the second term is below one unit of length
+    start = there + 0.2 * (there / capacity) ** 2
+    weight, covered, amounts = np.zeros(capacity + 1), np.zeros(capacity + 1), {}
+    for r in range(1, rounds + 1):
+        share = r / rounds
+        weight[there] = start * np.exp(-rate * np.maximum(covered[there] / need[there] - share, 0.0).clip(0, 100))
+        tables = Pricing(weight, capacity)
+        for n in there[::-1].tolist():
+            lack = share * need[n] - covered[n]
+            if lack <= 1e-9 * need[n]:
+                continue
+            config = tables.fill(capacity - n, {n: 1}, need)
+            amount = lack / config[n]
+            for k, t in config.items():
+                covered[k] += amount * t
+            key = tuple(sorted(config.items(), reverse=True))
+            amounts[key] = amounts.get(key, 0.0) + amount
+    return amounts
+
+
+def solve(counts: np.ndarray, capacity: int = CAPACITY, rounds: int = ROUNDS) -> tuple[Plan, int]:
+    """A plan for ``counts[L]`` pieces of each length, and how many of them the program placed.
+
+    The fractional cover is rounded down; then each of its configurations that what
+    is left can still fill gets one more copy, fullest and longest first. What rounding
+    leaves is a smaller instance of the same program, in which a little more unused
+    room is let through each time. Pieces that no program places go longest first.
+    """
+    left, plan, placed = counts.copy(), [], 0
+
+    def take(config: tuple, most: int) -> None:
+        nonlocal placed
+        copies = min(most, *(int(left[n]) // t for n, t in config)) if len(config) > 1 else min(most, int(left[config[0][0]]) // config[0][1])
         if copies > 0:
             for n, t in config:
                 left[n] -= copies * t
+            placed += copies * sum(t for _, t in config)
             plan.append((copies, list(config)))
-    return plan + greedy(left, capacity)
+
+    slack = 0
+    for k in range(RESTARTS):
+        if not left.any():
+            break
+        amounts = cover(left, capacity, rounds if k == 0 else REST_ROUNDS)
+        room = {c: capacity - sum(n * t for n, t in c) for c in amounts}
+        before = placed
+        for c in sorted(amounts, key=lambda c: (-c[0][0], room[c], -amounts[c], c)):
+            if room[c] <= slack:
+                take(c, int(np.ceil(amounts[c])))
+        if placed - before < LEAST_PROGRESS * left.sum():
+            slack = min(capacity, 2 * slack + 1)
+    return plan + greedy(left, capacity), placed
 
 
 class Slots:
@@ -177,7 +218,7 @@ def pack_pieces(pieces: DataFrame, capacity: int = CAPACITY) -> DataFrame:
     counts = np.zeros(capacity + 1, np.int64)
     for r in pieces.groupBy("length").count().collect():  # at most `capacity` rows
         counts[r["length"]] = r["count"]
-    slots = spark.sparkContext.broadcast(Slots(solve(counts, capacity)))  # bounded by rounds and capacity
+    slots = spark.sparkContext.broadcast(Slots(solve(counts, capacity)[0]))  # bounded by rounds and capacity
     names = pieces.columns
 
     def run(batches):

@@ -209,21 +209,67 @@ def test_packing(tricky, rows, library, empty, repeated):
     assert packing.pack_documents(repeated, JSON).count() == 6
 
 
+def check_plan(counts, plan, capacity=2048):
+    used = np.zeros(capacity + 1, np.int64)
+    for copies, config in plan:
+        assert sum(n * t for n, t in config) <= capacity and copies > 0
+        for n, t in config:
+            used[n] += copies * t
+    assert (used == counts).all()
+    return sum(c for c, _ in plan)
+
+
 def test_packing_plans_cover_exactly_and_stay_near_the_bound():
     rng = np.random.default_rng(1)
-    for lengths in (range(1, 2048), (700, 701, 1025, 400), range(600, 1200), (2048,), (1, 2047)):
+    for lengths in (range(1, 2048), (700, 701, 1025, 400), range(600, 1200), (2048,), (1, 2047), ()):
         counts = np.zeros(2049, np.int64)
         for n in lengths:
             counts[n] = rng.integers(1, 300)
-        plan = packing.solve(counts, rounds=120)
-        used = np.zeros(2049, np.int64)
-        for copies, config in plan:
-            assert sum(n * t for n, t in config) <= 2048 and copies > 0
-            for n, t in config:
-                used[n] += copies * t
-        assert (used == counts).all()
-        lp, plain = sum(c for c, _ in plan), sum(c for c, _ in packing.greedy(counts, 2048))
-        assert lp <= 1.03 * plain + 1
+        plan, placed = packing.solve(counts, rounds=40)
+        lp, plain = check_plan(counts, plan), sum(c for c, _ in packing.greedy(counts, 2048))
+        assert lp <= 1.03 * plain + 1 and placed >= 0.9 * counts.sum()
+
+
+@pytest.fixture(scope="module")
+def histogram():
+    """Piece lengths of the documents of sf0.1."""
+    import pyarrow.parquet as pq
+
+    counts = np.zeros(2049, np.int64)
+    texts = pq.read_table("/root/testdata/sf0.1/documents.parquet", columns=["text"]).column("text").to_pylist()
+    for ids in tokenfiles.tokenizer(JSON, spell_added=False).encode([t or "" for t in texts]):
+        counts[2048] += (len(ids) + 1) // 2048
+        counts[(len(ids) + 1) % 2048] += 1
+    counts[0] = 0
+    return counts
+
+
+@pytest.mark.parametrize("times", [1, 10])
+def test_the_program_places_the_pieces_and_beats_greedy(histogram, times):
+    counts = histogram * times
+    plan, placed = packing.solve(counts)
+    lp, plain = check_plan(counts, plan), sum(c for c, _ in packing.greedy(counts, 2048))
+    assert placed >= 0.99 * counts.sum() and lp <= plain
+    assert lp <= -(-int((counts * np.arange(2049)).sum()) // 2048) + max(1, 1e-4 * lp)
+
+
+def test_a_small_packing_is_optimal():
+    """Against all partitions of eight pieces."""
+    rng = np.random.default_rng(3)
+    for _ in range(20):
+        pieces = rng.integers(1, 21, 8).tolist()
+
+        def least(i, rooms):
+            if i == len(pieces):
+                return len(rooms)
+            best = least(i + 1, [*rooms, 20 - pieces[i]])
+            for k in range(len(rooms)):
+                if rooms[k] >= pieces[i]:
+                    best = min(best, least(i + 1, [*rooms[:k], rooms[k] - pieces[i], *rooms[k + 1 :]]))
+            return best
+
+        counts = np.bincount(pieces, minlength=21)
+        assert check_plan(counts, packing.solve(counts, 20)[0], 20) <= least(0, []) + 1
 
 
 def test_price_is_the_best_multiset():
