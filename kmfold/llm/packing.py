@@ -27,9 +27,10 @@ from kmfold.staging import ship_package, stage
 
 CAPACITY = 2048
 ROUNDS = 80
-#: Rounds of the program for what rounding leaves, how many such programs at most, how fast weights
-#: fall, and the share of what is left that a program has to place before more room may stay unused.
-REST_ROUNDS, RESTARTS, RATE, LEAST_PROGRESS = 10, 100, 0.01, 0.2
+#: Rounds of the program for what rounding leaves, how many such programs at most, and the share
+#: of what is left that a program has to place before more room may stay unused.
+REST_ROUNDS, RESTARTS, LEAST_PROGRESS = 10, 100, 0.2
+SLOW_RATE, FAST_RATE = 0.01, 3.0
 PIECE_SCHEMA = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
 Plan = list[tuple[int, list[tuple[int, int]]]]  # (copies, [(length, times)])
@@ -92,7 +93,7 @@ def greedy(counts: np.ndarray, capacity: int) -> Plan:
         plan.append((copies, config))
 
 
-def cover(need: np.ndarray, capacity: int, rounds: int, rate: float = RATE) -> dict[tuple, float]:
+def cover(need: np.ndarray, capacity: int, rounds: int, rate: float) -> dict[tuple, float]:
     """A fractional cover of ``need[L]`` pieces of each length: amounts of configurations.
 
     Each round prices the lengths by their weights. Every length that is covered less
@@ -121,13 +122,14 @@ def cover(need: np.ndarray, capacity: int, rounds: int, rate: float = RATE) -> d
     return amounts
 
 
-def solve(counts: np.ndarray, capacity: int = CAPACITY, rounds: int = ROUNDS) -> tuple[Plan, int]:
-    """A plan for ``counts[L]`` pieces of each length, and how many of them the program placed.
+def round_off(counts: np.ndarray, capacity: int, rounds: int, rate: float, slack: int) -> tuple[Plan, int]:
+    """A plan by the program with one rate, and how many pieces the program placed.
 
-    The fractional cover is rounded down; then each of its configurations that what
-    is left can still fill gets one more copy, fullest and longest first. What rounding
-    leaves is a smaller instance of the same program, in which a little more unused
-    room is let through each time. Pieces that no program places go longest first.
+    The configurations of the fractional cover are taken in whole copies, longest and
+    fullest first, as far as there are pieces; up to ``slack`` of room may stay unused.
+    What rounding leaves is a smaller instance of the same program, in which more
+    room is let through where too little was placed. Pieces that no program places go
+    longest first.
     """
     left, plan, placed = counts.copy(), [], 0
 
@@ -140,11 +142,10 @@ def solve(counts: np.ndarray, capacity: int = CAPACITY, rounds: int = ROUNDS) ->
             placed += copies * sum(t for _, t in config)
             plan.append((copies, list(config)))
 
-    slack = 0
     for k in range(RESTARTS):
         if not left.any():
             break
-        amounts = cover(left, capacity, rounds if k == 0 else REST_ROUNDS)
+        amounts = cover(left, capacity, rounds if k == 0 else REST_ROUNDS, rate)
         room = {c: capacity - sum(n * t for n, t in c) for c in amounts}
         before = placed
         for c in sorted(amounts, key=lambda c: (-c[0][0], room[c], -amounts[c], c)):
@@ -155,6 +156,17 @@ def solve(counts: np.ndarray, capacity: int = CAPACITY, rounds: int = ROUNDS) ->
     return plan + greedy(left, capacity), placed
 
 
+def solve(counts: np.ndarray, capacity: int = CAPACITY, rounds: int = ROUNDS) -> tuple[Plan, int]:
+    """A plan for ``counts[L]`` pieces of each length, and how many of them the program placed.
+
+    Slow weights keep sequences full, which is best where the lengths allow it; fast
+    weights find what lengths are scarce, which is best where they do not. The plan with
+    fewer sequences counts.
+    """
+    made = [round_off(counts, capacity, rounds, SLOW_RATE, 0), round_off(counts, capacity, rounds, FAST_RATE, capacity)]
+    return min(made, key=lambda m: sum(copies for copies, _ in m[0]))
+
+
 class Slots:
     """Place of the r-th piece of a length: sequence and offset."""
 
