@@ -13,7 +13,7 @@ import re
 
 import pyarrow as pa
 import zstandard
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from kmfold.llm.encoding import slices
@@ -26,8 +26,8 @@ SAMPLE_CHARS = 2_000
 LONG_CHARS = 200
 LEAST_DICTIONARY = 8
 LEAST_MARGIN = 0.001
-#: Texts below SHORT_BYTES get a stronger level, and a run of zeros so that no block is stored raw.
-SHORT_BYTES, SHORT_LEVEL, LEVEL = 600, 15, 5
+LEVEL = 5
+#: A run of zeros ends every block, so that none is stored raw and small sizes can be compared.
 FILLER = bytes(512)
 #: A text is judged in equal blocks of at most so many bytes, the size that the compressors are made for.
 BLOCK_BYTES = 1 << 16
@@ -59,32 +59,40 @@ def learn(docs: DataFrame, rows_each: int = SAMPLE_ROWS, chars_each: int = SAMPL
     rows = docs.filter(F.col("lang").isNotNull() & F.col("doc_id").isNotNull() & ~held_out()).filter(F.col("text").rlike(ANY_LETTER))
     sample = rows.select("lang", F.xxhash64("doc_id").alias("h"), (F.length("text") < LONG_CHARS).alias("short"), F.substring("text", 1, chars_each).alias("text"))
     per_lang = sample.groupBy("lang").agg(F.count("*").alias("n"), F.count_if(~F.col("short")).alias("long")).collect()  # one row a language
-    kept = {}
-    for r in per_lang:
-        mine = sample.filter(F.col("lang") == r["lang"])
-
-        def least(some: DataFrame) -> list[str]:
-            return [x["text"] for x in some.orderBy("short", "h", "text").limit(rows_each).collect()]
-
-        texts = []
-        if r["long"] > 4 * rows_each:
-            # the hash threshold keeps the candidates few before they are ordered
-            cut = int(-(2**63) + 4.0 * rows_each / r["long"] * (2**64 - 1))
-            texts = least(mine.filter(~F.col("short") & (F.col("h") <= F.lit(cut))))
-        if len(texts) < min(rows_each, r["n"]):
-            texts = least(mine)
-        # a compressor ignores a dictionary below LEAST_DICTIONARY bytes
-        kept[r["lang"]] = b" ".join(map(letters_only, texts))[:dictionary_bytes].rjust(LEAST_DICTIONARY)
-    return kept
+    if not per_lang:
+        return {}
+    # a threshold on the hash keeps the candidates few, so that no language is ordered as a whole
+    cuts = {r["lang"]: int(-(2**63) + 4.0 * rows_each / r["long"] * (2**64 - 1)) for r in per_lang if r["long"] > 4 * rows_each}
+    whole = [r["lang"] for r in per_lang if r["lang"] not in cuts]
+    texts = _least(sample, whole, cuts, rows_each)
+    few = [r["lang"] for r in per_lang if r["lang"] in cuts and len(texts.get(r["lang"], [])) < rows_each]
+    if few:  # hashes are even: almost never
+        texts |= _least(sample, few, {}, rows_each)
+    # a compressor ignores a dictionary below LEAST_DICTIONARY bytes
+    return {lang: b" ".join(map(letters_only, held))[:dictionary_bytes].rjust(LEAST_DICTIONARY) for lang, held in texts.items()}
+
+
+def _least(sample: DataFrame, whole: list[str], cuts: dict[str, int], rows_each: int) -> dict[str, list[str]]:
+    """The first ``rows_each`` texts of all languages in one scan: of whole ones, and of those with a cut below it."""
+    lang, h = F.col("lang"), F.col("h")
+    wanted = lang.isin(whole)
+    for name, cut in cuts.items():
+        wanted = wanted | ((lang == name) & ~F.col("short") & (h <= F.lit(cut)))
+    # each task keeps its first rows of every language before the exchange
+    first = Window.partitionBy("lang").orderBy("short", "h", "text")
+    rows = sample.filter(wanted).withColumn("at", F.row_number().over(first)).filter(F.col("at") <= rows_each)
+    texts: dict[str, list[str]] = {}
+    for r in rows.orderBy("lang", "at").collect():  # languages * rows_each
+        texts.setdefault(r["lang"], []).append(r["text"])
+    return texts
 
 
 class DictionaryClassifier:
     """Compressors of all languages, in the order of their names."""
 
-    def __init__(self, dictionaries: dict[str, bytes], level: int = LEVEL, short_level: int = SHORT_LEVEL):
+    def __init__(self, dictionaries: dict[str, bytes], level: int = LEVEL):
         self.langs = sorted(dictionaries)
         self.packers = [self._packer(dictionaries[name], level) for name in self.langs]
-        self.short_packers = [self._packer(dictionaries[name], short_level) for name in self.langs]
 
     @staticmethod
     def _packer(dictionary: bytes, level: int) -> zstandard.ZstdCompressor:
@@ -100,13 +108,10 @@ class DictionaryClassifier:
             return UNKNOWN, 0.0, True
         raw = letters_only(text)
         judged = len(raw) >= JUDGED_BYTES
-        if len(raw) < SHORT_BYTES:
-            raw += FILLER
-            sizes = [len(p.compress(raw)) for p in self.short_packers]
-        else:
-            n = -(-len(raw) // BLOCK_BYTES)
-            cuts = [len(raw) * i // n for i in range(n + 1)]
-            sizes = [sum(len(p.compress(raw[a:z])) for a, z in zip(cuts, cuts[1:])) for p in self.packers]
+        n = -(-len(raw) // BLOCK_BYTES)
+        cuts = [len(raw) * i // n for i in range(n + 1)]
+        blocks = [raw[a:z] + FILLER for a, z in zip(cuts, cuts[1:])]
+        sizes = [sum(len(p.compress(b)) for b in blocks) for p in self.packers]
         best = min(range(len(sizes)), key=sizes.__getitem__)
         if len(sizes) == 1:
             return self.langs[0], 1.0, False
@@ -152,7 +157,10 @@ def predict(docs: DataFrame, dictionaries: dict[str, bytes], least_margin: float
 
 
 def identify(docs: DataFrame, least_margin: float = LEAST_MARGIN) -> DataFrame:
-    """Learn from the rows that are not held out and predict every row."""
+    """Learn from the rows that are not held out and predict every row.
+
+    Nulls, empty texts, repeated ids and empty tables: as ``learn`` and ``predict`` say.
+    """
     dictionaries = learn(docs)
     told = predict(docs.withColumn("held_out", held_out()), dictionaries, least_margin, ["doc_id", "held_out"])
     return told.select(F.col("doc_id").cast("long").alias("doc_id"), "held_out", "lang_pred", "score", "rejected")
