@@ -9,8 +9,12 @@ inside a cluster the sets stand in a tree, most frequent n-grams first. The tree
 walked level by level with the overlap so far, common to all sets below a node;
 subtrees whose rest is too short, or that hold only sets already linked, are cut.
 
-Equal sets are one from the start. Clusters above ``BLOCK`` sets are walked in pairs
-of blocks, so no task holds an unbounded group.
+Equal sets are one from the start. Clusters above ``BLOCK`` sets are dealt to blocks.
+First each block is walked alone, with a few leaders of its cluster beside it: a tight
+group of near copies is joined by its leaders in work that grows with its size. Only
+what is not in the cluster's largest component then meets other blocks, and of these
+only those that set sizes and the triangle inequality (Jaccard distances to the
+leaders) do not exclude.
 """
 
 from __future__ import annotations
@@ -26,7 +30,7 @@ from kmfold.numbering import number_within
 from kmfold.staging import pieces_for, ship_package, stage
 
 PART_BYTES, EXCHANGE_BYTES, BUCKET_BYTES, SLICE = 1 << 20, 4 << 20, 2 << 20, 1 << 20
-BLOCK = 1024
+BLOCK, LEADERS = 512, 4
 BASE = 0x9E3779B97F4A7C15 | 1
 VALUES = byte_values()
 LOWER = np.array([b + 32 if 65 <= b <= 90 else b for b in range(256)], np.uint8)
@@ -100,7 +104,7 @@ def _grams(doc: np.ndarray, word: np.ndarray, n: int):
 
 
 class Sets:
-    """The n-gram sets of a part; ``row_of`` maps each document to its distinct set."""
+    """The n-gram sets of a part; ``distinct`` has one document of each set, known by both keys."""
 
     def __init__(self, table: pa.Table, n: int):
         self.ids = table.column("doc_id").to_pylist()
@@ -116,7 +120,9 @@ class Sets:
             two[some] = np.add.reduceat(mix(scrambled), start[some])
         self.key1, self.key2 = mix(one + count.astype(np.uint64)), mix(two)
         self.count, self.start, self.code = count, start, code
-        _, first, self.row_of = np.unique(self.key1 ^ (self.key2 << np.uint64(1)), return_index=True, return_inverse=True)
+        order = np.lexsort((self.key2, self.key1))
+        one, two = self.key1[order], self.key2[order]
+        first = order[np.append(True, (one[1:] != one[:-1]) | (two[1:] != two[:-1]))] if len(order) else order
         self.distinct = first[some[first]]
 
     def flat(self) -> tuple[np.ndarray, np.ndarray]:
@@ -359,20 +365,24 @@ def link_sets(sets: list[np.ndarray], sizes: list[int], num: int, den: int) -> l
     return links
 
 
-def ngram_components(docs: DataFrame, n: int = 4, num: int = 85, den: int = 100) -> DataFrame:
-    """Every document's set size and the least doc_id it reaches over links.
+def text_hashes():
+    """Two hashes that tell texts apart (null as empty)."""
+    text = F.coalesce("text", F.lit(""))
+    return F.xxhash64(text), F.xxhash64(F.lit(1), text)
 
-    Words are runs of bytes that are neither space nor tab to carriage return, A to Z
-    lower-cased; a set holds the distinct runs of ``n`` words, of fewer words the whole
-    sequence. A null text, or one without words, has the empty set and links with
-    nothing. Two documents link when ``den * common >= num * union``. Repeated ids are
-    separate rows (their rows may differ); a null id is a component of its own unless
-    it links. Other columns are ignored; an empty table gives an empty result.
+
+def told_sets(docs: DataFrame, n: int, num: int, den: int) -> tuple[DataFrame, DataFrame]:
+    """Every row's set (size and two keys), and the least doc_id and first row of its group by the keys.
+
+    Staged: ``doc_id, text1, text2, n_shingles, key1, key2, ...`` and ``key1, key2,
+    component_id, keeper``. ``text1, text2`` are hashes of the text.
     """
     ship_package(docs.sparkSession)
     known = docs.select("doc_id", "text")
     parts, buckets = pieces_for(known, PART_BYTES), pieces_for(known, BUCKET_BYTES, most=1 << 24)
-    dealt = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").withColumn("part", F.pmod(F.xxhash64("doc_id"), F.lit(parts)).cast("int")).repartition(pieces_for(known, EXCHANGE_BYTES), "part")
+    text1, text2 = text_hashes()
+    dealt = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", text1.alias("text1"), text2.alias("text2"))
+    dealt = dealt.withColumn("part", F.pmod(F.xxhash64("doc_id"), F.lit(parts)).cast("int")).repartition(pieces_for(known, EXCHANGE_BYTES), "part")
 
     def offer(table):
         sets = Sets(table, n)
@@ -388,25 +398,25 @@ def ngram_components(docs: DataFrame, n: int = 4, num: int = 85, den: int = 100)
         return pa.table({"part": pa.array([r[0] for r in rows], pa.int32()), "bucket": pa.array([bucket] * len(rows), pa.int32()), "cell": pa.array([r[1] for r in rows], pa.binary())})
 
     def tell(left, right):
-        names = ["doc_id", "n_shingles", "key1", "key2", "prefix", "shared"]
-        types = [pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.int64(), pa.binary()]
+        names = ["doc_id", "text1", "text2", "n_shingles", "key1", "key2", "prefix", "shared"]
+        types = [pa.int64()] * 7 + [pa.binary()]
         if not left.num_rows:
             return pa.table([pa.array([], t) for t in types], names)
         sets = Sets(left, n)
         prefix, shared = [None] * len(sets.ids), [None] * len(sets.ids)
         for d, code, width in surviving(sets, list(zip(right.column("bucket").to_pylist(), right.column("cell").to_pylist())), buckets, num, den):
             prefix[d], shared[d] = width, pack(code)
-        columns = [sets.ids, sets.count, sets.key1.view(np.int64), sets.key2.view(np.int64), prefix, shared]
-        return pa.table([pa.array(c, t) for c, t in zip(columns, types)], names)
+        columns = [sets.count, sets.key1.view(np.int64), sets.key2.view(np.int64), prefix, shared]
+        return pa.table([*(left.column(c) for c in names[:3]), *(pa.array(c, t) for c, t in zip(columns, types[3:]))], names)
 
     offered = dealt.groupBy("part").applyInArrow(tidy(offer), "bucket int, part int, cell binary")
     answered = offered.groupBy("bucket").applyInArrow(tidy(answer), "part int, bucket int, cell binary")
-    told = dealt.groupBy("part").cogroup(answered.groupBy("part")).applyInArrow(tidy(tell), "doc_id long, n_shingles long, key1 long, key2 long, prefix long, shared binary")
+    told = dealt.groupBy("part").cogroup(answered.groupBy("part")).applyInArrow(tidy(tell), "doc_id long, text1 long, text2 long, n_shingles long, key1 long, key2 long, prefix long, shared binary")
     told = stage(told, "sets")
 
-    # one row a distinct set; equal sets of different parts meet here, one row a part at most
+    # one row a distinct set; equal sets of different parts meet here, one row a part at most; the numbers are fixed by the write
     sets = told.filter("shared is not null").groupBy("key1", "key2").agg(F.first("n_shingles").alias("n"), F.first("prefix").alias("prefix"), F.first("shared").alias("shared"))
-    sets = stage(sets.withColumnRenamed("key1", "node"), "distinct_sets")
+    sets = stage(sets.withColumn("node", F.monotonically_increasing_id()), "distinct_sets")
 
     def prefixes(batches):
         for b in batches:
@@ -421,24 +431,125 @@ def ngram_components(docs: DataFrame, n: int = 4, num: int = 85, den: int = 100)
     clusters = sets.select("node", "n", "shared").join(near.withColumnRenamed("component", "cluster"), "node")
     linked = components(_walk(stage(clusters, "clusters"), num, den))
 
-    firsts = told.filter("n_shingles > 0").groupBy("key1", "key2").agg(F.min("doc_id").alias("first"))
-    owned = firsts.join(linked.withColumnRenamed("node", "key1"), "key1", "left").withColumn("set_group", F.coalesce("component", "key1"))
-    # two keys of one group agree in their component, or are one key
-    leasts = owned.groupBy("set_group", F.when(F.col("component").isNull(), F.col("key2")).alias("k")).agg(F.min("first").alias("component_id"))
-    placed = owned.select("key1", "key2", "set_group", F.when(F.col("component").isNull(), F.col("key2")).alias("k")).join(leasts.withColumnsRenamed({"set_group": "g2", "k": "k2"}), (F.col("set_group") == F.col("g2")) & F.col("k").eqNullSafe(F.col("k2"))).select("key1", "key2", "component_id")
-    out = told.select("doc_id", "n_shingles", "key1", "key2").join(placed, ["key1", "key2"], "left")
+    row = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "text1", "text2")
+    firsts = told.filter("n_shingles > 0").groupBy("key1", "key2").agg(F.min("doc_id").alias("first"), F.min(row).alias("row"))
+    owned = firsts.join(sets.select("key1", "key2", "node").join(linked, "node").drop("node"), ["key1", "key2"], "left")
+    leasts = owned.filter("component is not null").groupBy("component").agg(F.min("first").alias("least"), F.min("row").alias("least_row"))
+    placed = owned.join(leasts, "component", "left").select("key1", "key2", F.when(F.col("component").isNull(), F.col("first")).otherwise(F.col("least")).alias("component_id"), F.when(F.col("component").isNull(), F.col("row")).otherwise(F.col("least_row")).alias("keeper"))
+    return told, placed
+
+
+def ngram_components(docs: DataFrame, n: int = 4, num: int = 85, den: int = 100) -> DataFrame:
+    """Every document's set size and the least doc_id it reaches over links.
+
+    Words are runs of bytes that are neither space nor tab to carriage return, A to Z
+    lower-cased; a set holds the distinct runs of ``n`` words, of fewer words the whole
+    sequence. A null text, or one without words, has the empty set and links with
+    nothing. Two documents link when ``den * common >= num * union``. Repeated ids are
+    separate rows (their rows may differ); a null id is a component of its own unless
+    it links. Other columns are ignored; an empty table gives an empty result.
+    """
+    told, placed = told_sets(docs, n, num, den)
+    out = told.select("doc_id", "n_shingles", "key1", "key2").join(placed.drop("keeper"), ["key1", "key2"], "left")
     alone = F.col("n_shingles") == 0
     return out.select("doc_id", "n_shingles", F.when(alone, F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"))
 
 
+def first_of_each_group(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100) -> DataFrame:
+    """The rows of ``docs`` without near copies: of each group of linked rows one of least doc_id stays.
+
+    Rows are told apart by id and text, not by the id alone: a row that is linked with
+    nothing stays, whatever other rows of its id are. A null id is larger than all
+    others. Rows without words stay, repeated ones too; an empty table stays empty.
+    """
+    told, placed = told_sets(docs, n, num, den)
+    row = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "text1", "text2")
+    judged = told.filter("n_shingles > 0").select("doc_id", "text1", "text2", "key1", "key2").join(placed, ["key1", "key2"]).withColumn("gone", row != F.col("keeper"))
+    # one row for each id and text that goes, or that stays but is there more than once
+    special = judged.groupBy("doc_id", "text1", "text2").agg(F.every("gone").alias("gone"), F.count("*").alias("times")).filter("gone or times > 1")
+    special = stage(special.select(F.col("doc_id").alias("_id"), F.col("text1").alias("_1"), F.col("text2").alias("_2"), "gone"), "near_copies")
+    text1, text2 = text_hashes()
+    rows = docs.withColumn("_text1", text1).withColumn("_text2", text2)
+    here = F.col("doc_id").cast("long").eqNullSafe(F.col("_id")) & (F.col("_text1") == F.col("_1")) & (F.col("_text2") == F.col("_2"))
+    if special.filter("not gone").limit(1).count() == 0:
+        return rows.join(special, here, "left_anti").select(*docs.columns)
+    met = rows.join(special, here, "left")
+    several = met.filter("not gone").dropDuplicates(["doc_id", "_text1", "_text2"])
+    return met.filter("gone is null").unionByName(several).select(*docs.columns)
+
+
 def _walk(clusters: DataFrame, num: int, den: int) -> DataFrame:
-    """Links inside clusters of ``node, n, shared, cluster``: whole clusters, or pairs of blocks of large ones."""
-    numbered = number_within(clusters, ["cluster"], ["n", "node"], "_row")
-    sizes = clusters.groupBy("cluster").agg(F.count("*").alias("_m"))
-    blocked = numbered.join(sizes, "cluster").withColumn("_b", F.floor(F.col("_row") / BLOCK).cast("int")).withColumn("_blocks", F.ceil(F.col("_m") / BLOCK).cast("int"))
-    # each block meets every block, itself included: (smaller, larger) names the task
-    met = F.transform(F.sequence(F.lit(0), F.col("_blocks") - 1), lambda k: F.struct(F.least(F.col("_b"), k).alias("i"), F.greatest(F.col("_b"), k).alias("j")))
-    tasks = blocked.select("cluster", "node", "n", "shared", F.explode(F.when(F.col("_blocks") == 1, F.array(F.struct(F.lit(0).alias("i"), F.lit(0).alias("j")))).otherwise(met)).alias("t"))
+    """Links inside clusters of ``node, n, shared, cluster``, enough to join all that link."""
+    sizes = stage(clusters.groupBy("cluster").agg(F.count("*").alias("_m")), "cluster_sizes")
+    small = clusters.join(sizes.filter(F.col("_m") <= BLOCK), "cluster").select("cluster", "node", "n", "shared")
+    links = small.groupBy("cluster").applyInArrow(tidy(_walker(num, den)), "a long, b long")
+    if sizes.filter(F.col("_m") > BLOCK).limit(1).count() == 0:
+        return links
+    links = stage(links, "links_of_small_clusters")
+    large = clusters.join(sizes.filter(F.col("_m") > BLOCK), "cluster")
+    large = stage(number_within(large, ["cluster"], ["n", "node"], "_row").withColumn("_b", F.floor(F.col("_row") / BLOCK).cast("int")), "large_clusters")
+
+    # every block with the leaders of its cluster: LEADERS rows a block, so work grows with the cluster
+    stride = F.ceil(F.col("_m") / LEADERS)
+    leaders = large.filter(F.col("_row") % stride == 0).withColumn("leader", F.floor(F.col("_row") / stride).cast("int"))
+    beside = leaders.withColumn("_b", F.explode(F.sequence(F.lit(0), F.floor((F.col("_m") - 1) / BLOCK).cast("int"))))
+    columns = ["cluster", "_b", "leader", "node", "n", "shared"]
+    tasks = large.withColumn("leader", F.lit(-1)).select(*columns).unionByName(beside.select(*columns))
+
+    def alone(table):
+        leader = np.array(table.column("leader").to_pylist())
+        members, heads = table.take(np.flatnonzero(leader < 0)), table.take(np.flatnonzero(leader >= 0))
+        far = np.ones((members.num_rows, LEADERS))
+        size = np.array(members.column("n").to_pylist(), np.int64)
+        sets = [unpack(c)[0] for c in members.column("shared").to_pylist()]
+        flat, width = np.concatenate(sets), np.fromiter(map(len, sets), np.int64, len(sets))
+        stop = np.cumsum(width)
+        node = members.column("node").to_pylist()
+        told = walk(members)
+        a, b = told.column("a").to_pylist(), told.column("b").to_pylist()
+        for k, name, m, cell in zip(heads.column("leader").to_pylist(), heads.column("node").to_pylist(), heads.column("n").to_pylist(), heads.column("shared").to_pylist()):
+            inside = np.concatenate([[0], np.cumsum(np.isin(flat, unpack(cell)[0]))])
+            common = inside[stop] - inside[stop - width]
+            union = size + m - common
+            far[:, k] = 1.0 - common / union
+            hit = np.flatnonzero((common > 0) & (den * common >= num * union))
+            a += [name] * len(hit)
+            b += [node[i] for i in hit]
+        rows = len(node) + len(a)
+        lists = pa.ListArray.from_arrays(pa.array(np.append(np.arange(0, far.size + 1, LEADERS), np.full(len(a), far.size)).astype(np.int32)), pa.array(far.ravel()))
+        return pa.table({"node": pa.array(node + a, pa.int64()), "other": pa.array([None] * len(node) + b, pa.int64()), "far": lists.slice(0, rows)})
+
+    walk = _walker(num, den)
+    first = stage(tasks.groupBy("cluster", "_b").applyInArrow(tidy(alone), "node long, other long, far array<double>"), "blocks_alone")
+    near = first.filter("other is not null").select(F.col("node").alias("a"), F.col("other").alias("b"))
+    label = components(near)
+    members = large.drop("_b", "_row", "_m").join(first.filter("other is null").select("node", "far"), "node").join(label, "node", "left").withColumn("label", F.coalesce("component", "node")).drop("component")
+    members = stage(members, "members")
+    counts = members.groupBy("cluster", "label").agg(F.count("*").alias("c"))
+    main = counts.groupBy("cluster").agg(F.max_by("label", F.struct("c", "label")).alias("main"))
+    sided = members.join(main, "cluster").withColumn("_main", F.col("label") == F.col("main")).drop("main")
+    placed = number_within(sided, ["cluster", "_main"], ["n", "node"], "_row").withColumn("_b", F.floor(F.col("_row") / BLOCK).cast("int"))
+    placed = stage(placed.select("cluster", "_main", "_b", "node", "n", "shared", "far", "label"), "placed_members")
+    ends = [f(F.col("far")[k]).alias(f"{name}{k}") for k in range(LEADERS) for name, f in (("low", F.min), ("high", F.max))]
+    block = placed.groupBy("cluster", "_main", "_b").agg(F.min("n").alias("least"), F.max("n").alias("most"), *ends)
+    # what is in the largest component needs no meeting with its like
+    left = block.filter("not _main").select([F.col(c).alias(f"l{c}") for c in block.columns])
+    right = block.select([F.col(c).alias(f"r{c}") for c in block.columns])
+    slack = (den - num) / den + 1e-9
+    meet = (F.col("lcluster") == F.col("rcluster")) & (F.col("r_main") | (F.col("r_b") >= F.col("l_b")))
+    meet &= (F.col("lmost") * den >= F.col("rleast") * num) & (F.col("rmost") * den >= F.col("lleast") * num)
+    for k in range(LEADERS):
+        meet &= (F.col(f"llow{k}") - F.col(f"rhigh{k}") <= slack) & (F.col(f"rlow{k}") - F.col(f"lhigh{k}") <= slack)
+    pairs = stage(left.join(right, meet).select(F.col("lcluster").alias("cluster"), F.col("l_b").alias("i"), F.col("r_main").alias("side"), F.col("r_b").alias("j")), "block_pairs")
+    as_left = placed.filter("not _main").join(pairs.withColumnRenamed("i", "_b"), ["cluster", "_b"]).select("cluster", F.col("_b").alias("i"), "side", "j", "node", "n", "shared")
+    same = (F.col("side") == F.lit(False)) & (F.col("j") == F.col("i"))
+    as_right = placed.join(pairs.filter(~same).withColumnsRenamed({"side": "_main", "j": "_b"}), ["cluster", "_main", "_b"]).select("cluster", "i", F.col("_main").alias("side"), F.col("_b").alias("j"), "node", "n", "shared")
+    last = as_left.unionByName(as_right).groupBy("cluster", "i", "side", "j").applyInArrow(tidy(walk), "a long, b long")
+    return links.unionByName(near).unionByName(last)
+
+
+def _walker(num: int, den: int):
+    """A grouped function: links of the sets of one table, by the tree walk."""
 
     def walk(table):
         node, size = table.column("node").to_pylist(), table.column("n").to_pylist()
@@ -448,5 +559,4 @@ def _walk(clusters: DataFrame, num: int, den: int) -> DataFrame:
         name = [node[i] for i in order]
         return pa.table({"a": pa.array([name[i] for i, _ in links], pa.int64()), "b": pa.array([name[j] for _, j in links], pa.int64())})
 
-    columns = tasks.select("cluster", "t.i", "t.j", "node", "n", "shared")
-    return columns.groupBy("cluster", "i", "j").applyInArrow(tidy(walk), "a long, b long")
+    return walk

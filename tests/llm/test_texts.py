@@ -133,6 +133,47 @@ def test_links_on_tricky_texts(tricky, rows, monkeypatch, n, num, block):
     assert got == brute_links(rows, n, num, 100)
 
 
+def test_a_cluster_of_many_blocks(spark, monkeypatch):
+    """A tight group, a chain beside it, and sets that only share a prefix, in blocks of four."""
+    rng = np.random.default_rng(8)
+    base = [f"w{i}" for i in range(120)]
+    docs = []
+    for i in range(40):
+        words = list(base)
+        for k in rng.choice(120, 1 + i % 4, replace=False):
+            words[k] = f"x{i}y{k}"
+        docs.append((i, " ".join(words)))
+    for i in range(30):
+        docs.append((100 + i, " ".join(base[3 * i :] + [f"z{k}" for k in range(3 * i)])))
+    for i in range(15):
+        docs.append((200 + i, " ".join(base[:30] + [f"q{i}r{k}" for k in range(60 + 5 * i)])))
+    small_parts(monkeypatch)
+    monkeypatch.setattr(ngramjoin, "BLOCK", 4)
+    df = spark.createDataFrame(docs, "doc_id bigint, text string").repartition(3)
+    for n, num in ((1, 85), (1, 97), (2, 70)):
+        got = {r["doc_id"]: (r["n_shingles"], r["component_id"]) for r in ngramjoin.ngram_components(df, n, num, 100).collect()}
+        assert got == brute_links(docs, n, num, 100)
+
+
+def test_sets_of_one_key_are_told_apart_by_the_other(monkeypatch):
+    import pyarrow as pa
+
+    table = pa.table({"doc_id": [1, 2, 3], "text": ["a b c d e", "f g h i j", "a b c d e"]})
+    sets = ngramjoin.Sets(table, 4)
+    assert len(sets.distinct) == 2 and sets.key1[0] == sets.key1[2] != sets.key1[1] and sets.key2[0] == sets.key2[2] != sets.key2[1]
+
+
+def test_rows_that_stay(spark, repeated, empty):
+    a, b = "one two three four five six seven eight nine ten eleven twelve", "another text with some other words in it than the first has"
+    rows = [(2, a, "x"), (5, a, "y"), (5, b, "z"), (None, a + " and", "n"), (7, a, "y"), (9, "", "e"), (9, "", "e"), (9, None, "f"), (11, b, "late"), (12, "alone " * 3, "r"), (12, "alone " * 3, "s")]
+    df = spark.createDataFrame(rows, "doc_id bigint, text string, source string")
+    got = sorted((r["doc_id"], r["text"] or "-") for r in ngramjoin.first_of_each_group(df).collect())
+    assert got == sorted([(2, a), (5, b), (9, "-"), (9, "-"), (9, "-"), (12, "alone " * 3)], key=lambda r: (r[0], r[1]))
+    kept = [(r["doc_id"], r["text"]) for r in ngramjoin.first_of_each_group(repeated).collect()]
+    assert len(kept) == 3 and (2, "another text") in kept and (None, None) in kept
+    assert ngramjoin.first_of_each_group(empty).count() == 0
+
+
 def test_links_of_repeated_ids_and_empty_tables(repeated, empty):
     got = sorted((r["doc_id"] or 0, r["n_shingles"], r["component_id"]) for r in ngramjoin.ngram_components(repeated).collect() if r["doc_id"] is not None)
     assert got == [(2, 1, 2), (5, 1, 2), (5, 9, 5), (5, 9, 5)]
