@@ -19,16 +19,22 @@ COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Drop the documents that language ID rejects: no letters, or no clear language."""
+    """Drop the documents that language ID rejects: no letters (null and empty texts too), or no clear language.
+
+    Rows of a repeated id are judged one by one; an empty table stays empty.
+    """
     told = langid.predict(docs, langid.learn(docs), keep=COLUMNS)
     return told.filter(~F.col("rejected")).select(*COLUMNS)
 
 
 def drop_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keep the document of least id of each group linked at five words and 0.8; documents without words stay."""
-    told = ngramjoin.ngram_components(docs, n=5, num=80, den=100)
-    gone = stage(told.filter("doc_id <> component_id").select("doc_id"), "near_copies")
-    return docs.join(gone, "doc_id", "left_anti").select(*COLUMNS)
+    """Keep the document of least id of each group linked at five words and 0.8; documents without words stay.
+
+    Rows of a repeated id are separate documents: of those that are linked with one
+    another one row stays, those that are linked with nothing all stay. A null id is
+    larger than all others. An empty table stays empty.
+    """
+    return ngramjoin.first_of_each_group(docs, n=5, num=80, den=100).select(*COLUMNS)
 
 
 def drop_repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -50,7 +56,11 @@ def drop_repeated_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) ->
 
 
 def pack_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Pack what is left into sequences of 2048 ids: one row a piece with its place."""
+    """Pack what is left into sequences of 2048 ids: one row a piece with its place.
+
+    Null and empty texts have the end id alone; rows of a repeated id are separate
+    pieces; an empty table gives no piece.
+    """
     return packing.pack_documents(docs, public_tokenizers.path("byte_bpe_50k.json"))
 
 
