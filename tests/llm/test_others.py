@@ -181,6 +181,50 @@ def test_recall_against_brute_force(spark):
     assert np.mean([len(set(exact(x, ids, at[q], 20)) & set(v)) / 20 for q, v in got.items()]) >= 0.9
 
 
+def recall_of(found, rows, least_share=20):
+    ids, x = np.array([i for i, _ in rows]), np.array([v for _, v in rows], float)
+    at, got = {v: i for i, v in enumerate(ids.tolist())}, {}
+    for r in found.orderBy("query_id", "rank").collect():
+        got.setdefault(r["query_id"], []).append((r["vec_id"], r["score"]))
+    assert set(got) == {i for i in ids.tolist() if i % 20 == 0}
+    for q, v in got.items():
+        assert len(v) == 20 and len({i for i, _ in v}) == 20 and [s for _, s in v] == sorted((s for _, s in v), reverse=True)
+        assert all(abs(s - x[at[q]] @ x[at[i]]) < 1e-9 for i, s in v)
+    return np.mean([len(set(exact(x, ids, at[q], 20)) & {i for i, _ in v}) / 20 for q, v in got.items()])
+
+
+@pytest.mark.parametrize("kind", ["even", "clustered", "lengths differ"])
+def test_recall_over_split_lists(spark, monkeypatch, kind):
+    """Lists and their queries in several parts; vectors of any length rank by inner product."""
+    monkeypatch.setattr(ann, "LIST_ROWS", 100)
+    monkeypatch.setattr(ann, "QUERY_ROWS", 10)
+    rng = np.random.default_rng(6)
+    x = rng.standard_normal((3000, 24))
+    if kind == "clustered":
+        x += 4 * rng.standard_normal((30, 24))[rng.integers(0, 30, 3000)]
+    x /= np.linalg.norm(x, axis=1, keepdims=True)
+    if kind == "lengths differ":
+        x *= rng.uniform(0.5, 2.0, (3000, 1))
+    rows = [(i, v) for i, v in enumerate(x.tolist())]
+    df = spark.createDataFrame(rows, "vec_id bigint, embedding array<double>").repartition(3)
+    assert recall_of(ann.search(df), rows) >= 0.9
+
+
+def test_vectors_of_another_length_and_repeated_queries(spark):
+    rng = np.random.default_rng(1)
+    rows = [(i, rng.standard_normal(8).tolist()) for i in range(1, 60)] + [(100, [1.0] * 9)]
+    rows += [(0, [1.0] + [0.0] * 7), (0, [0.0] * 7 + [1.0])]
+    found = ann.search(spark.createDataFrame(rows, "vec_id bigint, embedding array<double>")).collect()
+    mine = [r for r in found if r["query_id"] == 0]
+    assert len(mine) == 40 and sorted(r["rank"] for r in mine) == sorted([*range(1, 21)] * 2) and {r["query_id"] for r in found} == {0, 20, 40}
+    vectors = dict(rows[:59])
+    for place in (0, 7):
+        want = sorted(vectors, key=lambda i: (-vectors[i][place], i))[:20]
+        scores = [vectors[i][place] for i in want]
+        told = [r for r in mine if abs(r["score"] - vectors[r["vec_id"]][place]) < 1e-12]
+        assert set(want) <= {r["vec_id"] for r in told} and scores[0] == max(r["score"] for r in told)
+
+
 def test_vectors_that_take_no_part(spark):
     rows = [(0, [1.0, 0.0]), (20, [0.5, 0.5]), (1, None), (2, [0.0, 0.0]), (3, [float("nan"), 1.0]), (4, [None, 1.0]), (5, [float("inf"), 0.0]), (6, [2.0, 0.0]), (7, [2.0, 0.0]), (40, [0.0, 0.0]), (8, [])]
     df = spark.createDataFrame(rows, "vec_id bigint, embedding array<double>").withColumn("rank", F.lit(1))
