@@ -22,6 +22,12 @@ def center_list(centers: DataFrame) -> list[tuple[int, list[float]]]:
     return [(int(r["cid"]), [float(v) for v in r["c"]]) for r in rows]
 
 
+def check_centers(centers: list) -> None:
+    """Refuse more centers or coordinates than every task can hold."""
+    if len(centers) > BROADCAST_COORDINATES // 64 or sum(len(c) for _, c in centers) > BROADCAST_COORDINATES:
+        raise ValueError("too many centers or center coordinates to send to every task: assign against blocks of centers")
+
+
 def _literal(centers: list[tuple[int, list[float]]]) -> Column:
     return F.array(*[F.struct(F.lit(cid).cast("int").alias("cid"), F.array(*map(F.lit, c)).alias("c")) for cid, c in centers])
 
@@ -36,6 +42,7 @@ def assign(pts: DataFrame, centers: DataFrame | list, vectorized: bool | None =
     held = centers if isinstance(centers, list) else center_list(centers)
     if not held:
         raise ValueError("no centers")
+    check_centers(held)
     n = sum(len(c) for _, c in held)
     if vectorized is None:
         vectorized = n > LITERAL_COORDINATES

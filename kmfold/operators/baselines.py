@@ -11,7 +11,7 @@ from kmfold.functions.hashing import arithmetic_hash
 from kmfold.functions.arrays import to_column, to_matrix
 from kmfold.operators import clustering, linalg
 from kmfold.operators.sphere import FeatureTree, SphereTree, sampling_coreset
-from kmfold.operators.summaries import FACTOR, SUMMARY, SUMMARY_COLUMNS, points, run_iter, tree_full
+from kmfold.operators.summaries import FACTOR, SINGLE_ROWS, SUMMARY, SUMMARY_COLUMNS, points, run_iter, tree_full
 from kmfold.plans.pieces import TreeParams
 from kmfold.staging import ship_package, stage
 
@@ -21,23 +21,45 @@ def _summary_batch(level: int, node: int, x: np.ndarray, w: np.ndarray, within:
     return pa.RecordBatch.from_pydict({"level": pa.array(np.full(n, level), pa.int32()), "node": pa.array(np.full(n, node), pa.int64()), "id": pa.array(np.arange(n), pa.int64()), "x": to_column(x), "w": pa.array(w, pa.int64()), "ss_within": pa.array(np.zeros(n) if within is None else within)})
 
 
-def cf_tree(pts: DataFrame, k: int, m: int | None = None, threshold: float = 0.0, branching: int = 50, shards: int | None = None) -> DataFrame:
-    """Fast one-pass summary: one feature tree a shard, then one over their union."""
+def cf_tree(pts: DataFrame, k: int, m: int | None = None, threshold: float = 0.0, branching: int = 50, fan: int = 4) -> DataFrame:
+    """Fast one-pass summary: one feature tree a partition, in the order of ids inside it, then a tree of them.
+
+    No point moves; a partition is read batch by batch. Entries carry their inner costs.
+    """
     spark = pts.sparkSession
     ship_package(spark)
     m = m or FACTOR * k
-    shards = shards or 8
 
-    def build(key, batches):
-        t = pa.Table.from_batches(list(batches)).sort_by("id")
-        x, w = to_matrix(t.column("x")), t.column("w").to_numpy()
-        tree = FeatureTree(m, x.shape[1], threshold, branching)
-        tree.offer(x, w)
-        yield _summary_batch(0, int(key[0].as_py()), *tree.rows())
+    def leaf(batches):
+        from pyspark import TaskContext
 
-    first = points(pts).withColumn("up", F.pmod(F.col("id"), F.lit(shards))).select("up", "id", "x", "w").groupBy("up").applyInArrow(run_iter(build), SUMMARY)
-    union = first.select(F.lit(0).cast("bigint").alias("up"), (F.col("node") * (1 << 32) + F.col("id")).alias("id"), "x", "w")
-    return union.groupBy("up").applyInArrow(run_iter(build), SUMMARY)
+        tree = None
+        for b in batches:
+            if b.num_rows:
+                x = to_matrix(b.column(1))
+                tree = tree or FeatureTree(m, x.shape[1], threshold, branching)
+                tree.offer(x, b.column(2).to_numpy())
+        if tree is not None:
+            yield _summary_batch(0, TaskContext.get().partitionId(), *tree.rows())
+
+    def join(level):
+        def run(key, batches):
+            t = pa.Table.from_batches(list(batches)).sort_by([("node", "ascending"), ("id", "ascending")])
+            x = to_matrix(t.column("x"))
+            tree = FeatureTree(m, x.shape[1], threshold, branching)
+            tree.offer(x, t.column("w").to_numpy(), t.column("ss_within").to_numpy())
+            yield _summary_batch(level, int(key[0].as_py()), *tree.rows())
+
+        return run
+
+    out = stage(points(pts).sortWithinPartitions("id").mapInArrow(leaf, SUMMARY), "feature_trees")
+    nodes, level = (out.agg(F.max("node")).first()[0] or 0) + 1, 1
+    while nodes > 1:
+        out = out.withColumn("up", F.expr(f"node div {fan}")).select("up", "node", "id", "x", "w", "ss_within").groupBy("up").applyInArrow(run_iter(join(level)), SUMMARY)
+        nodes, level = -(-nodes // fan), level + 1
+        if level % 4 == 0 and nodes > 1:
+            out = stage(out, f"feature_trees{level}")
+    return out
 
 
 def sampling_coreset_summary(pts: DataFrame, k: int, m: int | None = None, ps: int | None = None, fan_in: int = 2, seed: int = 0) -> DataFrame:
@@ -57,7 +79,10 @@ def sampling_coreset_summary(pts: DataFrame, k: int, m: int | None = None, ps: i
 
         return run
 
-    out = rows.withColumn("node", F.lit(0).cast("bigint")).withColumn("up", F.expr(f"id div {ps}")).select("up", "node", "id", "x", "w").groupBy("up").applyInArrow(run_iter(reduce(0)), SUMMARY)
+    ends = rows.agg(F.min("id").alias("low"), F.max("id").alias("high")).first()
+    if n and ends["high"] - ends["low"] + 1 != n:
+        raise ValueError("ids without gaps are needed: number the points first")
+    out = rows.withColumn("id", F.col("id") - F.lit(ends["low"])).withColumn("node", F.lit(0).cast("bigint")).withColumn("up", F.expr(f"id div {ps}")).select("up", "node", "id", "x", "w").groupBy("up").applyInArrow(run_iter(reduce(0)), SUMMARY)
     nodes, level = -(-n // ps), 1
     while nodes > 1:
         out = out.withColumn("up", F.floor(F.col("node") / fan_in).cast("bigint")).select("up", "node", "id", "x", "w").groupBy("up").applyInArrow(run_iter(reduce(level)), SUMMARY)
@@ -68,30 +93,56 @@ def sampling_coreset_summary(pts: DataFrame, k: int, m: int | None = None, ps: i
 
 
 def chain_reduce(pts: DataFrame, k: int, ps: int, m: int | None = None, seed: int = 0) -> DataFrame:
-    """Read a chunk, summarize, unite with what is held, reduce again: one task, every chunk pays for all later ones."""
+    """Read a chunk, summarize, unite with what is held, reduce again: one task, every chunk pays for all later ones.
+
+    A baseline that cannot be spread: more than ``SINGLE_ROWS`` points are refused. One
+    chunk and one summary are held at a time.
+    """
     ship_package(pts.sparkSession)
     m = m or FACTOR * k
 
     def run(batches):
-        held_x = held_w = None
-        xs = [(to_matrix(b.column(1)), b.column(2).to_numpy()) for b in batches if b.num_rows]
-        if not xs:
-            return
-        x, w = np.concatenate([a for a, _ in xs]), np.concatenate([a for _, a in xs])
-        for i in range(0, len(x), ps):
+        held = None
+        for i, (x, w) in enumerate(_chunks(batches, ps)):
             one = SphereTree(m, x.shape[1], [seed, i])
-            one.offer(x[i : i + ps], w[i : i + ps])
-            mean, weight, _ = one.rows()
-            if held_x is not None:
-                mean, weight = np.concatenate([held_x, mean]), np.concatenate([held_w, weight])
-                if len(mean) > m:
+            one.offer(x, w)
+            new = one.rows()
+            if held is not None:
+                new = tuple(np.concatenate(v) for v in zip(held, new))
+                if len(new[1]) > m:
                     again = SphereTree(m, x.shape[1], [seed, i, 1])
-                    again.offer(mean, weight)
-                    mean, weight, _ = again.rows()
-            held_x, held_w = mean, weight
-        yield _summary_batch(0, 0, held_x, held_w)
+                    again.offer(*new)
+                    new = again.rows()
+            held = new
+        if held is not None:
+            yield _summary_batch(0, 0, *held)
+
+    return _one_task(pts).mapInArrow(run, SUMMARY)
 
-    return points(pts).repartition(1).sortWithinPartitions("id").mapInArrow(run, SUMMARY)
+
+def _one_task(pts: DataFrame) -> DataFrame:
+    rows = points(pts)
+    if rows.count() > SINGLE_ROWS:
+        raise ValueError("too many points for one task: use the tree")
+    return rows.repartition(1).sortWithinPartitions("id")
+
+
+def _chunks(batches, ps: int):
+    """Points and weights of ``ps`` consecutive rows at a time."""
+    xs, ws, have = [], [], 0
+    for b in batches:
+        x, w = (to_matrix(b.column(1)), b.column(2).to_numpy()) if b.num_rows else (None, ())
+        at = 0
+        while at < len(w):
+            take = min(ps - have, len(w) - at)
+            xs.append(x[at : at + take])
+            ws.append(w[at : at + take])
+            have, at = have + take, at + take
+            if have == ps:
+                yield np.concatenate(xs), np.concatenate(ws)
+                xs, ws, have = [], [], 0
+    if have:
+        yield np.concatenate(xs), np.concatenate(ws)
 
 
 def coupled_tree(pts: DataFrame, k: int, l: int, ps: int, seed: int = 0) -> DataFrame:  # noqa: E741
@@ -113,26 +164,25 @@ def global_projection(pts: DataFrame, k: int, l: int, seed: int = 1) -> tuple[li
 
 
 def running_subspace(pts: DataFrame, k: int, l: int, ps: int, m: int | None = None, seed: int = 0) -> DataFrame:  # noqa: E741
-    """Each piece in the best-fit subspace of all points so far, into one summarizer (one task, small inputs)."""
+    """Each piece in the best-fit subspace of all points so far, into one summarizer.
+
+    Every piece needs the one before it, so this is one task: more than ``SINGLE_ROWS``
+    points are refused. One piece, one Gram matrix and one summarizer are held.
+    """
     ship_package(pts.sparkSession)
     m = m or FACTOR * k
 
     def run(batches):
-        tree, gram = None, None
-        xs = [(to_matrix(b.column(1)), b.column(2).to_numpy()) for b in batches if b.num_rows]
-        if not xs:
-            return
-        x, w = np.concatenate([a for a, _ in xs]), np.concatenate([a for _, a in xs])
-        for i in range(0, len(x), ps):
-            p, c = x[i : i + ps], w[i : i + ps]
-            g = (p * c[:, None]).T @ p
-            gram = g if gram is None else gram + g
+        tree, gram = None, 0.0
+        for p, c in _chunks(batches, ps):
+            gram = gram + (p * c[:, None]).T @ p
             v = np.linalg.eigh(gram)[1][:, ::-1][:, :l].T
-            tree = tree or SphereTree(m, x.shape[1], seed)
+            tree = tree or SphereTree(m, p.shape[1], seed)
             tree.offer((p @ v.T) @ v, c)
-        yield _summary_batch(0, 0, *tree.rows())
+        if tree is not None:
+            yield _summary_batch(0, 0, *tree.rows())
 
-    return points(pts).repartition(1).sortWithinPartitions("id").mapInArrow(run, SUMMARY)
+    return _one_task(pts).mapInArrow(run, SUMMARY)
 
 
 def uniform_sample(pts: DataFrame, size: int, seed: int = 1) -> DataFrame:

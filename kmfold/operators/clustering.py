@@ -3,17 +3,14 @@
 from __future__ import annotations
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from kmfold.functions.cost import assign
-from kmfold.functions.features import cf_agg
+from kmfold.functions.cost import assign, check_centers
 from kmfold.functions.hashing import uniform
-from kmfold.functions.arrays import block_distances, to_matrix
-from kmfold.functions.vectors import squared_distance
-from kmfold.staging import ship_package, stage
+from kmfold.functions.arrays import block_distances, to_column, to_matrix
+from kmfold.staging import ship_package
 
 CENTERS = "cid int, c array<double>"
 SUMMARY_ROWS = 2_000_000
@@ -29,16 +26,41 @@ def weighted(pts: DataFrame) -> DataFrame:
 
 
 def lloyd_step(pts: DataFrame, centers: list, vectorized: bool | None = None) -> tuple[list, float]:
-    """One assignment and one move of the centers: k rows come back, points stay where they are.
+    """One assignment and one move of the centers: one scan, points stay where they are.
 
-    A center without points stays where it was.
+    Every task sums weights, vectors and costs by center before anything is exchanged. A
+    center without points stays where it was. The bound on centers is that of ``assign``.
     """
-    near = assign(weighted(pts), centers, vectorized)
-    groups = cf_agg(near, ["cid"])
-    cost = near.groupBy("cid").agg(F.sum(F.col("w") * F.col("d2")).alias("cost"))
-    rows = {r["cid"]: r for r in groups.join(cost, "cid").collect()}
-    total = float(sum(r["cost"] for r in rows.values()))
-    return [(cid, [v / rows[cid]["cf"]["w"] for v in rows[cid]["cf"]["ls"]]) if cid in rows else (cid, c) for cid, c in centers], total
+    check_centers(centers)
+    if not centers:
+        raise ValueError("no centers")
+    ship_package(pts.sparkSession)
+    cids, c = [cid for cid, _ in centers], np.array([v for _, v in centers], float)
+
+    def run(batches):
+        w, ls, cost = np.zeros(len(c)), np.zeros_like(c), np.zeros(len(c))
+        for b in batches:
+            if not b.num_rows:
+                continue
+            x, weight = to_matrix(b.column(0)), b.column(1).to_numpy().astype(float)
+            near = block_distances(x, c).argmin(axis=1)
+            diff = x - c[near]
+            cost += np.bincount(near, weight * np.einsum("ij,ij->i", diff, diff), len(c))
+            w += np.bincount(near, weight, len(c))
+            # rows by center, so that each center's sum is one slice
+            order = np.argsort(near, kind="stable")
+            first = np.flatnonzero(np.append(True, np.diff(near[order]) != 0))
+            ls[near[order[first]]] += np.add.reduceat((x * weight[:, None])[order], first, axis=0)
+        full = np.flatnonzero(w)
+        yield pa.RecordBatch.from_pydict({"at": pa.array(full, pa.int32()), "w": pa.array(w[full]), "cost": pa.array(cost[full]), "ls": to_column(ls[full])})
+
+    part = weighted(pts).select(F.col("x").cast("array<double>").alias("x"), "w").mapInArrow(run, "at int, w double, cost double, ls array<double>")
+    flat = part.select("at", "w", "cost", F.posexplode("ls").alias("j", "v")).groupBy("at", "j").agg(F.sum("v").alias("v"), F.sum("w").alias("w"), F.sum("cost").alias("cost"))
+    moved, total = c.copy(), 0.0
+    for r in flat.collect():  # a number for each coordinate of the centers
+        moved[r["at"], r["j"]] = r["v"] / r["w"]
+        total += r["cost"] if r["j"] == 0 else 0.0
+    return list(zip(cids, moved.tolist())), total
 
 
 def lloyd(pts: DataFrame, init: list, max_iter: int = 20, tol: float = 1e-4) -> tuple[list, list[float]]:
@@ -81,9 +103,75 @@ def d2_seeds(pts: DataFrame, k: int, seed: int = 1) -> list:
     return chosen
 
 
+def race_seeds(pts: DataFrame, k: int, seed: int = 1, candidates: int = 1024) -> list:
+    """Squared-distance seeding in a few scans instead of one for each center.
+
+    Every point has one exponential clock that runs at the rate of its weighted squared
+    distance to the centers so far; the next center is the point whose clock ends
+    first, which is a draw in proportion to the distances. Rates only fall, so a clock
+    ends no earlier than it would at today's rates: the points that could end before a
+    time T, some hundreds by choice of T, are fetched once, and the race goes on among
+    them until T. Then the next scan fetches more.
+    """
+    pts = weighted(pts)
+    first = uniform_seeds(pts, 1, seed)
+    if not first or k < 2:
+        return first
+    ship_package(pts.sparkSession)
+    clock = -F.log((uniform(F.col("id"), seed + 1) * (2147483647.0 - 1) + 1) / 2147483648.0)
+    rows = pts.select(F.col("id").cast("bigint").alias("id"), F.col("x").cast("array<double>").alias("x"), F.col("w").cast("double").alias("w"), clock.alias("clock"))
+    chosen, times = [first[0][1]], [0.0]
+    while len(chosen) < k:
+        c, t = np.array(chosen), np.array(times)
+
+        def run(batches, c=c, t=t):
+            for b in batches:
+                if b.num_rows:
+                    end, cost = clock_ends(to_matrix(b.column(1)), b.column(2).to_numpy(), b.column(3).to_numpy(), c, t)
+                    yield pa.RecordBatch.from_arrays([*b.columns[:4], pa.array(end), pa.array(cost)], ["id", "x", "w", "clock", "ends", "cost"])
+
+        told = rows.mapInArrow(run, "id bigint, x array<double>, w double, clock double, ends double, cost double")
+        total = told.agg(F.sum("cost")).first()[0] or 0.0
+        if total <= 0:
+            break  # no more distinct points
+        until = times[-1] + candidates / 2 / total
+        found = told.filter(F.col("ends") <= until).select("id", "x", "w", "clock").limit(64 * candidates).collect()
+        found.sort(key=lambda r: r["id"])
+        if len(found) == 64 * candidates:
+            raise RuntimeError("the clocks are not even: choose another seed")
+        if not found:
+            candidates *= 4  # nobody ends so early: look further
+            continue
+        before = len(chosen)
+        x, w, held = np.array([r["x"] for r in found]), np.array([r["w"] for r in found]), np.array([r["clock"] for r in found])
+        while len(chosen) < k:
+            ends, _ = clock_ends(x, w, held, np.array(chosen), np.array(times))
+            i = int(ends.argmin())
+            if not ends[i] <= until:
+                break
+            chosen.append([float(v) for v in x[i]])
+            times.append(float(ends[i]))
+        if len(chosen) == before:
+            candidates *= 4
+    return list(enumerate(chosen))
+
+
+def clock_ends(x: np.ndarray, w: np.ndarray, clock: np.ndarray, centers: np.ndarray, times: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """When each point's clock ends if no center follows those of ``times``, and its rate now."""
+    d2 = np.empty((len(x), len(centers)))
+    for j, c in enumerate(centers):
+        diff = x - c
+        d2[:, j] = np.einsum("ij,ij->i", diff, diff)
+    rate = np.minimum.accumulate(d2, axis=1) * w[:, None]
+    spent = rate[:, :-1] @ np.diff(times)
+    now = rate[:, -1]
+    with np.errstate(divide="ignore", invalid="ignore"):
+        return np.where(now > 0, times[-1] + (clock - spent) / now, np.inf), now
+
+
 def kmeanspp(pts: DataFrame, k: int, seed: int = 1, max_iter: int = 20, tol: float = 1e-4) -> tuple[list, list[float]]:
-    """Squared-distance seeding and Lloyd on the full table: k + iterations passes."""
-    return lloyd(pts, d2_seeds(pts, k, seed), max_iter, tol)
+    """Squared-distance seeding (by the race) and Lloyd on the full table: a few scans and one for each iteration."""
+    return lloyd(pts, race_seeds(pts, k, seed), max_iter, tol)
 
 
 def seed_array(x: np.ndarray, w: np.ndarray, k: int, rng, how: str = "d2") -> np.ndarray:
@@ -186,4 +274,4 @@ def agreement(assigned: DataFrame, label: str = "label") -> DataFrame:
     return one.crossJoin(by_label.agg(pair.cast("bigint").alias("pairs_label"))).crossJoin(table.agg(pair.cast("bigint").alias("pairs_both")))
 
 
-__all__ = ["Window", "agreement", "center_rows", "centers_frame", "d2_seeds", "kmeanspp", "kmeanspp_runs", "kmeanspp_summary", "library_kmeans", "lloyd", "pd", "squared_distance", "stage", "uniform_seeds"]
+__all__ = ["Window", "agreement", "center_rows", "centers_frame", "d2_seeds", "kmeanspp", "kmeanspp_runs", "kmeanspp_summary", "library_kmeans", "lloyd", "race_seeds", "uniform_seeds"]

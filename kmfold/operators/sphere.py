@@ -10,6 +10,8 @@ import numpy as np
 
 ROOT = -1
 DEEPEST = 48
+#: Features taken in at once by a rebuild; share of references that the first threshold reaches.
+BLOCK, FIRST_QUANTILE = 1024, 0.1
 
 
 def copies_that_fit(w: int, s: int, c: float, dist2: float, limit: float) -> int:
@@ -23,12 +25,16 @@ def copies_that_fit(w: int, s: int, c: float, dist2: float, limit: float) -> int
 class SphereTree:
     """Features with a reference point each; a point inside a sphere joins its feature or goes below it.
 
-    ``finder``: ``full`` compares with all references of a level, ``band`` first cuts
-    them to those whose one-dimensional projection is near enough, ``auto`` chooses.
-    ``block``: points compared at once with the frozen references (1: in order).
+    ``finder`` (points one by one): ``full`` compares with all references of a level,
+    ``band`` first cuts them to those whose one-dimensional projection is near enough,
+    ``auto`` chooses. ``block``: points taken in at once, level by level (1: in order,
+    one by one). A block may pass ``m`` until it is done; then the tree is rebuilt.
+
+    Every feature also carries the inner cost that its points brought along from earlier
+    summaries. It moves with the copies and does not count against the threshold.
     """
 
-    def __init__(self, m: int, d: int, seed=0, finder: str = "auto", block: int = 1024, naive: bool = False, growth: float = 1.3):
+    def __init__(self, m: int, d: int, seed=0, finder: str = "auto", block: int = 1024, naive: bool = False, growth: float = 1.1):
         if m < 1 or d < 1:
             raise ValueError("a summary needs room for one feature of one dimension")
         if growth <= 1:
@@ -45,14 +51,26 @@ class SphereTree:
         self._clear()
 
     def _clear(self) -> None:
-        size = self.m + 1
+        size = self.m + max(self.block, 1)
         self.n = 0
         self.ref, self.mean = np.empty((size, self.d)), np.empty((size, self.d))
-        self.along, self.w, self.within = np.empty(size), np.zeros(size, np.int64), np.zeros(size)
+        self.along, self.w, self.within, self.carried = np.empty(size), np.zeros(size, np.int64), np.zeros(size), np.zeros(size)
         self.parent, self.depth = np.full(size, ROOT), np.zeros(size, np.int64)
         self.kids: dict[int, list[int]] = {}
         self.held: dict[int, np.ndarray] = {}
 
+    def _room(self, more: int) -> None:
+        """Space for ``more`` features beyond those there are."""
+        size = self.n + more
+        if size <= len(self.w):
+            return
+        size = max(size, 2 * len(self.w))
+        for name in ("ref", "mean", "along", "w", "within", "carried", "parent", "depth"):
+            old = getattr(self, name)
+            new = np.zeros((size, *old.shape[1:]), old.dtype)
+            new[: self.n] = old[: self.n]
+            setattr(self, name, new)
+
     def radius2(self, depth: int) -> float:
         return self.limit / 2.0 ** (depth + 3)
 
@@ -78,11 +96,12 @@ class SphereTree:
         k = int(d2.argmin())
         return int(at[k]), float(d2[k])
 
-    def open(self, ref: np.ndarray, mean: np.ndarray, w: int, within: float, node: int) -> int:
+    def open(self, ref: np.ndarray, mean: np.ndarray, w: int, within: float, node: int, carried: float = 0.0) -> int:
         """A new feature below ``node``."""
         i = self.n
+        self._room(1)
         self.n += 1
-        self.ref[i], self.mean[i], self.w[i], self.within[i] = ref, mean, w, within
+        self.ref[i], self.mean[i], self.w[i], self.within[i], self.carried[i] = ref, mean, w, within, carried
         self.along[i] = ref @ self.axis
         self.parent[i] = node
         self.depth[i] = 0 if node == ROOT else self.depth[node] + 1
@@ -91,21 +110,22 @@ class SphereTree:
         self.counters["opened"] += 1
         return i
 
-    def join(self, i: int, mean: np.ndarray, w: int, within: float = 0.0) -> None:
+    def join(self, i: int, mean: np.ndarray, w: int, within: float = 0.0, carried: float = 0.0) -> None:
         """Add a point's copies, or a whole feature, to feature ``i``."""
         s = int(self.w[i])
         diff = mean - self.mean[i]
         self.within[i] += within + s * w / (s + w) * float(diff @ diff)
         self.mean[i] += diff * (w / (s + w))
         self.w[i] = s + w
+        self.carried[i] += carried
 
-    def insert(self, x: np.ndarray, w: int, node: int = ROOT) -> None:
+    def insert(self, x: np.ndarray, w: int, node: int = ROOT, carried: float = 0.0) -> None:
         """Put ``w`` copies of a point into the tree below ``node``; copies that do not fit go deeper."""
         while True:
             i, d2 = self.locate(x, node)
             depth = 0 if node == ROOT else int(self.depth[node]) + 1
             if i < 0 or d2 > self.radius2(depth) or depth >= DEEPEST:
-                self.open(x, x, w, 0.0, node)
+                self.open(x, x, w, 0.0, node, carried)
                 if self.n > self.m:
                     self.rebuild()
                 return
@@ -116,58 +136,215 @@ class SphereTree:
             else:
                 fit = copies_that_fit(w, int(self.w[i]), float(self.within[i]), gap, self.limit)
             if fit:
-                self.join(i, x, fit)
+                share = carried * (fit / w)
+                self.join(i, x, fit, 0.0, share)
                 if fit == w:
                     return
                 self.counters["splits"] += 1
-                w -= fit
+                w, carried = w - fit, carried - share
             node = i
 
-    def _merge(self, old: tuple, node: int = ROOT) -> None:
-        ref, mean, w, within = old
-        while True:
-            i, d2 = self.locate(ref, node)
-            depth = 0 if node == ROOT else int(self.depth[node]) + 1
-            if i < 0 or d2 > self.radius2(depth) or depth >= DEEPEST:
-                self.open(ref, mean, w, within, node)
-                return
-            s = int(self.w[i])
-            diff = mean - self.mean[i]
-            if self.within[i] + within + s * w / (s + w) * float(diff @ diff) <= self.limit:
-                self.join(i, mean, w, within)
+    def _absorb(self, ref: np.ndarray, mean: np.ndarray, w: np.ndarray, within: np.ndarray, carried: np.ndarray, split: bool) -> None:
+        """Take in points (``split``: copies may part) or whole features, all at once on each level."""
+        w, carried = w.copy(), carried.copy()
+        todo, node = np.arange(len(ref)), np.full(len(ref), ROOT)
+        for depth in range(DEEPEST + 1):
+            if not len(todo):
                 return
-            node = i
+            r2 = self.radius2(depth) if depth < DEEPEST else -1.0
+            child, d2 = self._nearest(ref[todo], node, depth)
+            out = np.flatnonzero((child < 0) | (d2 > r2))
+            if len(out):
+                child[out], own = self._cover(todo[out], node[out], r2, ref, mean, w, within, carried)
+                stay = np.ones(len(todo), bool)
+                stay[out[own]] = False
+                todo, child = todo[stay], child[stay]
+            rest = self._join_all(todo, child, mean, w, within, carried, split)
+            todo, node = todo[rest], child[rest]
+
+    def _nearest(self, x: np.ndarray, node: np.ndarray, depth: int) -> tuple[np.ndarray, np.ndarray]:
+        """Closest child reference of each point's node (-1: none) and its exact squared distance."""
+        n = len(x)
+        best, d2 = np.full(n, -1), np.full(n, np.inf)
+        if depth == 0:
+            at = self._children(ROOT)
+            if len(at):
+                r = self.ref[at]
+                product = x @ r.T
+                product *= -2.0
+                product += np.einsum("ij,ij->i", r, r)
+                best = at[product.argmin(axis=1)]
+                diff = x - self.ref[best]
+                d2 = np.einsum("ij,ij->i", diff, diff)
+                self.counters["dist_evals"] += n * len(at)
+            return best, d2
+        known, inverse = np.unique(node, return_inverse=True)
+        kids = [self._children(int(k)) for k in known]
+        size = np.fromiter(map(len, kids), np.int64, len(kids))
+        flat, start = np.concatenate(kids), np.cumsum(size) - size
+        count = size[inverse]
+        some = np.flatnonzero(count)
+        ends = np.cumsum(count[some])
+        a = 0
+        while a < len(some):  # so many pairs at once that they take some MB
+            base = ends[a - 1] if a else 0
+            z = max(a + 1, int(np.searchsorted(ends, base + (1 << 16), "right")))
+            p, c = some[a:z], count[some[a:z]]
+            first = np.cumsum(c) - c
+            pair = flat[np.repeat(start[inverse[p]], c) + np.arange(int(c.sum())) - np.repeat(first, c)]
+            diff = self.ref[pair] - np.repeat(x[p], c, axis=0)
+            far = np.einsum("ij,ij->i", diff, diff)
+            least = np.minimum.reduceat(far, first)
+            hit = np.flatnonzero(far == np.repeat(least, c))
+            owner = np.repeat(np.arange(len(p)), c)[hit]
+            hit = hit[np.append(True, owner[1:] != owner[:-1])]
+            best[p], d2[p] = pair[hit], least
+            self.counters["dist_evals"] += len(pair)
+            a = z
+        return best, d2
+
+    def _cover(self, todo, node, r2, ref, mean, w, within, carried) -> tuple[np.ndarray, np.ndarray]:
+        """Open features for points that no sphere holds: the feature of each, and which points became one."""
+        feature, own = np.full(len(todo), -1), np.zeros(len(todo), bool)
+        x = ref[todo]
+        if node[0] == ROOT:
+            sq = np.einsum("ij,ij->i", x, x)
+            reach = r2 * (1 + 1e-9) + 1e-9 * float(sq.max())
+            near = sq[:, None] + sq[None, :] - 2.0 * (x @ x.T) <= reach if r2 >= 0 else np.zeros((len(x), len(x)), bool)
+            self.counters["dist_evals"] += near.size
+            lonely = near.sum(axis=1) <= 1
+            for i in range(len(todo)):
+                if feature[i] >= 0:
+                    continue
+                own[i] = True
+                feature[i] = self.n + int(own.sum()) - 1
+                if not lonely[i]:
+                    there = np.flatnonzero(near[i] & (feature < 0))
+                    diff = x[there] - x[i]
+                    feature[there[np.einsum("ij,ij->i", diff, diff) <= r2]] = feature[i]
+            self._open_all(todo[own], node[own], ref, mean, w, within, carried)
+            return feature, own
+        active = np.arange(len(todo))
+        while len(active):
+            known, first, inverse = np.unique(node[active], return_index=True, return_inverse=True)
+            heads = active[first]
+            base = self.n
+            self._open_all(todo[heads], node[heads], ref, mean, w, within, carried)
+            own[heads] = True
+            feature[heads] = base + np.arange(len(heads))
+            diff = x[active] - x[heads][inverse]
+            inside = (np.einsum("ij,ij->i", diff, diff) <= r2) & (feature[active] < 0)
+            self.counters["dist_evals"] += len(active)
+            feature[active[inside]] = base + inverse[inside]
+            active = active[feature[active] < 0]
+        return feature, own
+
+    def _open_all(self, todo, node, ref, mean, w, within, carried) -> None:
+        a, z = self.n, self.n + len(todo)
+        self._room(len(todo))
+        self.n = z
+        self.ref[a:z], self.mean[a:z], self.w[a:z], self.within[a:z], self.carried[a:z] = ref[todo], mean[todo], w[todo], within[todo], carried[todo]
+        self.along[a:z] = self.ref[a:z] @ self.axis
+        self.parent[a:z] = node
+        self.depth[a:z] = np.where(node == ROOT, 0, self.depth[np.maximum(node, 0)] + 1)
+        for i, k in enumerate(node.tolist(), a):
+            self.kids.setdefault(k, []).append(i)
+            self.held.pop(k, None)
+        self.counters["opened"] += z - a
+
+    def _join_all(self, todo, feature, mean, w, within, carried, split: bool) -> np.ndarray:
+        """Add to every feature the nearest of its points that fit its threshold; places of the others in ``todo``."""
+        if not len(todo):
+            return todo
+        gap = mean[todo] - self.mean[feature]
+        far = np.einsum("ij,ij->i", gap, gap)
+        order = np.lexsort((far, feature))
+        todo, feature, gap, far = todo[order], feature[order], gap[order], far[order]
+        head = np.append(True, feature[1:] != feature[:-1])
+        first = np.flatnonzero(head)
+        size = np.diff(np.append(first, len(todo)))
+        c = w[todo].astype(float)
+
+        def running(v):
+            total = np.cumsum(v, axis=0)
+            before = total[first] - v[first]
+            return total - np.repeat(before, size, axis=0)
+
+        total = self.w[feature] + running(c)
+        ls = running(c[:, None] * gap)
+        ss = c * far + within[todo]
+        cost = self.within[feature] + running(ss) - np.einsum("ij,ij->i", ls, ls) / total
+        bad = cost > self.limit * (1 + 1e-12) + 1e-14 * float(ss.sum())
+        fits = running(bad.astype(np.int64)) == 0
+        kept = np.add.reduceat(fits.astype(np.int64), first)
+        some = kept > 0
+        last = (first + kept - 1)[some]
+        f = feature[last]
+        self.within[f] = np.maximum(cost[last], 0.0)
+        self.mean[f] += ls[last] / total[last, None]
+        self.w[f] = np.rint(total[last]).astype(np.int64)
+        self.carried[f] += np.add.reduceat(np.where(fits, carried[todo], 0.0), first)[some]
+        if split:
+            part = (first + kept)[(kept < size)]
+            part = part[w[todo[part]] > 1]
+            if len(part):
+                self._part(todo[part], feature[part], mean, w, carried)
+        return order[~fits]
+
+    def _part(self, todo, f, mean, w, carried) -> None:
+        """As many copies of one point a feature as fit; the others stay with the point."""
+        gap = mean[todo] - self.mean[f]
+        far = np.einsum("ij,ij->i", gap, gap)
+        s, copies = self.w[f].astype(float), w[todo]
+        slack = s * far - self.limit + self.within[f]
+        with np.errstate(divide="ignore", invalid="ignore"):
+            fit = np.where(slack <= 0, copies - 1, np.floor(s * (self.limit - self.within[f]) / slack))
+        fit = np.clip(np.nan_to_num(fit), 0, copies - 1).astype(np.int64)
+        go = fit > 0
+        todo, f, gap, far, s, fit = todo[go], f[go], gap[go], far[go], s[go], fit[go]
+        share = carried[todo] * (fit / w[todo])
+        self.within[f] += s * fit / (s + fit) * far
+        self.mean[f] += gap * (fit / (s + fit))[:, None]
+        self.w[f] += fit
+        self.carried[f] += share
+        carried[todo] -= share
+        w[todo] -= fit
+        self.counters["splits"] += len(todo)
 
     def rebuild(self) -> None:
-        """Raise the threshold and take the features in again, top down, until they fit.
+        """Raise the threshold and take the features in again, top down, until they fit with some room to spare.
 
         Small steps keep the summary full where distances hardly differ (many dimensions):
-        doubling can take a level from no merges to nearly all.
+        doubling can take a level from no merges to nearly all. The room (a sixteenth)
+        keeps the next rebuild some blocks away.
         """
-        while self.n > self.m:
+        while self.n > self.m - self.m // 16:
             self.counters["rebuilds"] += 1
             self.limit = self.growth * self.limit if self.limit > 0 else self._first_limit()
             n = self.n
             order = np.argsort(self.depth[:n], kind="stable")
-            ref, mean, w, within = self.ref[order], self.mean[order], self.w[order], self.within[order]
+            old = [v[order] for v in (self.ref, self.mean, self.w, self.within, self.carried)]
             self._clear()
-            for k in range(n):
-                self._merge((ref[k], mean[k], int(w[k]), float(within[k])))
+            for a in range(0, n, BLOCK):
+                self._absorb(*(v[a : a + BLOCK] for v in old), split=False)
 
     def _first_limit(self) -> float:
-        """The least squared gap between references, times eight: the radius of the top level then reaches it."""
+        """Eight times a low quantile of the squared gaps to the nearest other reference: the top radius then reaches it."""
         r = self.ref[: self.n]
-        sq = (r * r).sum(1)
-        least = np.inf
+        sq = np.einsum("ij,ij->i", r, r)
+        tiny = 1e-12 * max(1.0, float(sq.max()))
+        gaps = []
         for a in range(0, self.n, 512):
-            d2 = np.maximum(sq[a : a + 512, None] - 2.0 * (r[a : a + 512] @ r.T) + sq[None, :], 0.0)
+            d2 = sq[a : a + 512, None] - 2.0 * (r[a : a + 512] @ r.T) + sq[None, :]
             d2[np.arange(len(d2)), np.arange(a, a + len(d2))] = np.inf
-            d2 = d2[d2 > 1e-12 * max(1.0, float(sq.max()))]
-            least = min(least, float(d2.min()) if len(d2) else np.inf)
-        return 8.0 * least if np.isfinite(least) else 1e-12
-
-    def offer(self, x: np.ndarray, w: np.ndarray | None = None) -> None:
-        """Take in a block of points with integral weights (default 1)."""
+            d2[d2 <= tiny] = np.inf
+            gaps.append(d2.min(axis=1))
+        gap = np.concatenate(gaps)
+        gap = gap[np.isfinite(gap)]
+        return 8.0 * float(np.quantile(gap, FIRST_QUANTILE)) if len(gap) else 1e-12
+
+    def offer(self, x: np.ndarray, w: np.ndarray | None = None, carried: np.ndarray | None = None) -> None:
+        """Take in a block of points with integral weights (default 1) and the inner costs they bring along (default 0)."""
         x = np.ascontiguousarray(x, dtype=np.float64)
         if x.ndim != 2 or x.shape[1] != self.d:
             raise ValueError(f"points of dimension {self.d} expected")
@@ -177,166 +354,236 @@ class SphereTree:
         if len(w) and ((w < 1).any() or (w != np.floor(w)).any()):
             raise ValueError("weights must be positive whole numbers")
         w = w.astype(np.int64)
+        carried = np.zeros(len(x)) if carried is None else np.asarray(carried, float)
         self.counters["n_in"] += len(x)
         self.counters["w_in"] += int(w.sum())
-        for a in range(0, len(x), self.block):
-            self._block(x[a : a + self.block], w[a : a + self.block])
-
-    def _block(self, x: np.ndarray, w: np.ndarray) -> None:
-        if self.block == 1 or self.naive or self.limit == 0 or len(x) < 8:
-            for p, c in zip(x, w.tolist()):
-                self.insert(p, c)
+        if self.block == 1 or self.naive:
+            for p, c, e in zip(x, w.tolist(), carried.tolist()):
+                self.insert(p, c, ROOT, e)
             return
-        top = self._children(ROOT)
-        r = self.ref[top]
-        d2 = (x * x).sum(1)[:, None] - 2.0 * (x @ r.T) + (r * r).sum(1)[None, :]
-        self.counters["dist_evals"] += d2.size
-        k = d2.argmin(axis=1)
-        inside = d2[np.arange(len(x)), k] <= self.radius2(0)
-        feature = top[k]
-        rest = np.flatnonzero(~inside).tolist()
-        order = np.argsort(feature, kind="stable")
-        order = order[inside[order]]
-        cuts = np.flatnonzero(np.diff(feature[order])) + 1
-        for group in np.split(order, cuts) if len(order) else []:
-            rest += self._bulk(int(feature[group[0]]), x, w, group)
-        for i in sorted(rest):
-            self.insert(x[i], int(w[i]))
-
-    def _bulk(self, i: int, x: np.ndarray, w: np.ndarray, group: np.ndarray) -> list[int]:
-        """Add the longest run of a group that fits a feature; the others are returned."""
-        p, c = x[group], w[group].astype(float)
-        shift = p - self.mean[i]
-        total = self.w[i] + np.cumsum(c)
-        ls = np.cumsum(c[:, None] * shift, axis=0)
-        cost = self.within[i] + np.cumsum(c * (shift * shift).sum(1)) - (ls * ls).sum(1) / total
-        fit = int(np.searchsorted(np.maximum.accumulate(cost), self.limit, "right"))
-        if fit:
-            self.within[i] = max(float(cost[fit - 1]), 0.0)
-            self.mean[i] += ls[fit - 1] / total[fit - 1]
-            self.w[i] = int(total[fit - 1])
-        return group[fit:].tolist()
+        for a in range(0, len(x), self.block):
+            at = slice(a, a + self.block)
+            self._absorb(x[at], x[at], w[at], np.zeros(len(w[at])), carried[at], split=True)
+            if self.n > self.m:
+                self.rebuild()
 
     def rows(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """Centroid, weight and inner cost of each feature."""
+        """Centroid, weight and inner cost (that brought along included) of each feature."""
         n = self.n
-        return self.mean[:n].copy(), self.w[:n].copy(), self.within[:n].copy()
+        return self.mean[:n].copy(), self.w[:n].copy(), self.within[:n] + self.carried[:n]
+
+    def merged(self) -> float:
+        """The inner cost that this tree's own joins made."""
+        return float(self.within[: self.n].sum())
 
     def features(self) -> list[dict]:
         """The tree itself, one record a feature."""
+        inner = self.within + self.carried
         return [
-            {"feature_id": i, "parent_id": int(self.parent[i]), "depth": int(self.depth[i]), "ref": self.ref[i].tolist(), "radius": float(np.sqrt(self.radius2(int(self.depth[i])))), "w": int(self.w[i]), "ls": (self.mean[i] * self.w[i]).tolist(), "ss": float(self.within[i] + self.w[i] * (self.mean[i] @ self.mean[i]))}
+            {"feature_id": i, "parent_id": int(self.parent[i]), "depth": int(self.depth[i]), "ref": self.ref[i].tolist(), "radius": float(np.sqrt(self.radius2(int(self.depth[i])))), "w": int(self.w[i]), "ls": (self.mean[i] * self.w[i]).tolist(), "ss": float(inner[i] + self.w[i] * (self.mean[i] @ self.mean[i]))}
             for i in range(self.n)
         ]
 
     def snapshot(self) -> dict:
         """State for a checkpoint."""
         n = self.n
-        return {"m": self.m, "d": self.d, "limit": self.limit, "block": self.block, "finder": self.finder, "growth": self.growth, "axis": self.axis, "counters": dict(self.counters), "ref": self.ref[:n].copy(), "mean": self.mean[:n].copy(), "w": self.w[:n].copy(), "within": self.within[:n].copy(), "parent": self.parent[:n].copy()}
+        arrays = {name: getattr(self, name)[:n].copy() for name in ("ref", "mean", "w", "within", "carried", "parent")}
+        return {"m": self.m, "d": self.d, "limit": self.limit, "block": self.block, "finder": self.finder, "growth": self.growth, "axis": self.axis, "counters": dict(self.counters), **arrays}
 
     @classmethod
     def restore(cls, state: dict) -> SphereTree:
         tree = cls(state["m"], state["d"], finder=state["finder"], block=state["block"], growth=state["growth"])
         tree.axis = state["axis"]
         for i in range(len(state["w"])):
-            tree.open(state["ref"][i], state["mean"][i], int(state["w"][i]), float(state["within"][i]), int(state["parent"][i]))
+            tree.open(state["ref"][i], state["mean"][i], int(state["w"][i]), float(state["within"][i]), int(state["parent"][i]), float(state["carried"][i]))
         tree.limit, tree.counters = state["limit"], dict(state["counters"])
         return tree
 
 
+class _Page:
+    """A node of the feature tree: entries with weight, mean and inner cost, and a page below each unless it is a leaf."""
+
+    __slots__ = ("n", "w", "mean", "within", "below")
+
+    def __init__(self, room: int, d: int, leaf: bool):
+        self.n, self.w, self.mean, self.within = 0, np.zeros(room + 1), np.zeros((room + 1, d)), np.zeros(room + 1)
+        self.below: list[_Page] | None = None if leaf else []
+
+    def nearest(self, x: np.ndarray) -> tuple[int, float]:
+        diff = self.mean[: self.n] - x
+        d2 = np.einsum("ij,ij->i", diff, diff)
+        i = int(d2.argmin())
+        return i, float(d2[i])
+
+    def add(self, i: int, mean: np.ndarray, w: float, within: float, d2: float) -> None:
+        s = self.w[i]
+        self.within[i] += within + s * w / (s + w) * d2
+        self.mean[i] += (mean - self.mean[i]) * (w / (s + w))
+        self.w[i] = s + w
+
+    def append(self, mean: np.ndarray, w: float, within: float, below: _Page | None = None) -> None:
+        i = self.n
+        self.mean[i], self.w[i], self.within[i] = mean, w, within
+        if self.below is not None:
+            self.below.append(below)
+        self.n += 1
+
+    def sums(self) -> tuple[np.ndarray, float, float]:
+        w = self.w[: self.n]
+        mean = w @ self.mean[: self.n] / w.sum()
+        diff = self.mean[: self.n] - mean
+        return mean, float(w.sum()), float(self.within[: self.n].sum() + w @ np.einsum("ij,ij->i", diff, diff))
+
+
 class FeatureTree:
-    """Baseline: a balanced tree of features with an absorption radius, rebuilt with a larger one when full.
+    """Baseline: a height-balanced tree of clustering features with an absorption radius.
 
-    Fast and coarse: each point follows the nearest centroid down and is absorbed
-    where the radius allows.
+    Each point follows the nearest centroid down; every feature on its way counts it. A
+    leaf's feature absorbs it where the radius allows, else it is a new entry. Pages
+    above ``branching`` entries split at their farthest pair, up to the root, so all
+    leaves stay at one height. With more than ``m`` leaf entries the tree is rebuilt
+    from them with a larger radius.
     """
 
     def __init__(self, m: int, d: int, threshold: float = 0.0, branching: int = 50):
-        self.m, self.d, self.threshold, self.branching = m, d, threshold, branching
-        self.w, self.mean, self.within = [], [], []
-        self.groups: list[list[int]] = [[]]
-        self.heads: np.ndarray = np.zeros((1, d))
+        self.m, self.d, self.threshold, self.branching = m, d, threshold, max(2, branching)
         self.rebuilds = 0
+        self._clear()
+
+    def _clear(self) -> None:
+        self.root, self.entries, self.height = _Page(self.branching, self.d, True), 0, 1
 
     def insert(self, mean: np.ndarray, w: int, within: float = 0.0) -> None:
-        g = 0
-        if len(self.groups) > 1:
-            diff = self.heads - mean
-            g = int(np.einsum("ij,ij->i", diff, diff).argmin())
-        group = self.groups[g]
-        if group:
-            own = np.array([self.mean[i] for i in group])
-            d2 = ((own - mean) ** 2).sum(1)
-            i = group[int(d2.argmin())]
-            s = self.w[i]
-            joined = self.within[i] + within + s * w / (s + w) * float(d2.min())
-            if joined / (s + w) <= self.threshold**2:
-                self.mean[i] = self.mean[i] + (mean - self.mean[i]) * (w / (s + w))
-                self.w[i], self.within[i] = s + w, joined
+        page, path = self.root, []
+        while page.below is not None:
+            i, d2 = page.nearest(mean)
+            page.add(i, mean, w, within, d2)
+            path.append((page, i))
+            page = page.below[i]
+        if page.n:
+            i, d2 = page.nearest(mean)
+            s = page.w[i]
+            if (page.within[i] + within + s * w / (s + w) * d2) / (s + w) <= self.threshold**2:
+                page.add(i, mean, w, within, d2)
                 return
-        group.append(len(self.w))
-        self.w.append(w)
-        self.mean.append(mean.copy())
-        self.within.append(within)
-        if len(group) > self.branching:
-            self._split(g)
-        if len(self.w) > self.m:
+        page.append(mean, w, within)
+        self.entries += 1
+        while page.n > self.branching:
+            one, two = self._split(page)
+            if not path:
+                self.root = _Page(self.branching, self.d, False)
+                self.root.append(*one.sums(), one)
+                self.root.append(*two.sums(), two)
+                self.height += 1
+                break
+            page, i = path.pop()
+            page.mean[i], page.w[i], page.within[i] = one.sums()
+            page.below[i] = one
+            page.append(*two.sums(), two)
+        if self.entries > self.m:
             self._rebuild()
 
-    def _split(self, g: int) -> None:
-        group = self.groups[g]
-        own = np.array([self.mean[i] for i in group])
-        a = int(((own - own.mean(0)) ** 2).sum(1).argmax())
-        b = int(((own - own[a]) ** 2).sum(1).argmax())
-        left = ((own - own[a]) ** 2).sum(1) <= ((own - own[b]) ** 2).sum(1)
-        if left.all():
-            return
-        one, two = [i for i, z in zip(group, left) if z], [i for i, z in zip(group, left) if not z]
-        self.groups[g] = one
-        self.groups.append(two)
-        self.heads = np.array([np.mean([self.mean[i] for i in x], axis=0) for x in self.groups])
+    def _split(self, page: _Page) -> tuple[_Page, _Page]:
+        x = page.mean[: page.n]
+        a = int(((x - x.mean(0)) ** 2).sum(1).argmax())
+        far = ((x - x[a]) ** 2).sum(1)
+        b = int(far.argmax())
+        left = far <= ((x - x[b]) ** 2).sum(1)
+        if left.all():  # equal centroids
+            left = np.arange(page.n) < page.n // 2
+        made = []
+        for side in (left, ~left):
+            new = _Page(self.branching, self.d, page.below is None)
+            for i in np.flatnonzero(side).tolist():
+                new.append(page.mean[i], page.w[i], page.within[i], page.below[i] if page.below is not None else None)
+            made.append(new)
+        return made[0], made[1]
+
+    def _leaves(self) -> list[_Page]:
+        level = [self.root]
+        while level[0].below is not None:
+            level = [p for page in level for p in page.below]
+        return level
 
     def _rebuild(self) -> None:
-        self.rebuilds += 1
-        if self.threshold == 0:
-            own = np.array(self.mean[: min(len(self.mean), 200)])
-            d2 = ((own[:, None] - own[None]) ** 2).sum(2)
-            d2 = d2[d2 > 0]
-            self.threshold = float(np.sqrt(d2.min())) if len(d2) else 1e-9
-        else:
-            self.threshold *= 2**0.5
-        old = list(zip(self.mean, self.w, self.within))
-        self.w, self.mean, self.within, self.groups, self.heads = [], [], [], [[]], np.zeros((1, self.d))
-        for mean, w, within in old:
-            self.insert(mean, w, within)
-
-    def offer(self, x: np.ndarray, w: np.ndarray | None = None) -> None:
-        for p, c in zip(x, np.ones(len(x), np.int64) if w is None else w):
-            self.insert(np.asarray(p, float), int(c))
+        """Take the leaf entries in again with a radius that joins the closest of them."""
+        while self.entries > self.m:
+            self.rebuilds += 1
+            if self.threshold == 0:
+                least = np.inf
+                for page in self._leaves():
+                    x = page.mean[: page.n]
+                    d2 = ((x[:, None] - x[None]) ** 2).sum(2)
+                    least = min(least, float(d2[d2 > 0].min()) if (d2 > 0).any() else np.inf)
+                self.threshold = float(np.sqrt(least)) if np.isfinite(least) else 1e-9
+            else:
+                self.threshold *= 2**0.5
+            old = self.rows()
+            self._clear()
+            m, self.m = self.m, len(old[1]) + 1  # no rebuild inside of this one
+            for mean, w, within in zip(*old):
+                self.insert(mean, float(w), float(within))
+            self.m = m
+
+    def offer(self, x: np.ndarray, w: np.ndarray | None = None, within: np.ndarray | None = None) -> None:
+        x = np.asarray(x, float)
+        w = np.ones(len(x)) if w is None else np.asarray(w, float)
+        within = np.zeros(len(x)) if within is None else within
+        for p, c, e in zip(x, w.tolist(), within.tolist()):
+            self.insert(p, c, e)
 
     def rows(self) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        return np.array(self.mean).reshape(-1, self.d), np.array(self.w, np.int64), np.array(self.within)
+        pages = self._leaves()
+        return (np.concatenate([p.mean[: p.n] for p in pages]), np.rint(np.concatenate([p.w[: p.n] for p in pages])).astype(np.int64), np.concatenate([p.within[: p.n] for p in pages]))
 
 
 def sampling_coreset(x: np.ndarray, w: np.ndarray, m: int, seed) -> tuple[np.ndarray, np.ndarray]:
-    """Baseline: ``m`` representatives by squared-distance sampling, each with the weight of the points nearest to it."""
+    """Baseline: ``m`` representatives by squared-distance sampling, each with the weight of the points nearest to it.
+
+    Sampling runs down a binary tree over the points: each leaf holds the points nearest
+    to its representative and what they cost. A draw descends by the children's costs,
+    picks a point of the leaf by its cost and parts the leaf between the two
+    representatives, so a draw looks at one leaf and not at all points.
+    """
     n = len(x)
     if n <= m:
         return x, w.astype(np.int64)
     rng = np.random.default_rng(seed)
-    chosen = [int(rng.choice(n, p=w / w.sum()))]
-    d2 = ((x - x[chosen[0]]) ** 2).sum(1)
-    owner = np.zeros(n, np.int64)
-    while len(chosen) < m:
-        p = d2 * w
-        if p.sum() <= 0:
-            break
-        c = int(rng.choice(n, p=p / p.sum()))
-        e = ((x - x[c]) ** 2).sum(1)
-        closer = e < d2
-        owner[closer] = len(chosen)
-        d2 = np.minimum(d2, e)
-        chosen.append(c)
-    weight = np.bincount(owner, w, len(chosen)).astype(np.int64)
+    head = int(rng.choice(n, p=w / w.sum()))
+    d2 = ((x - x[head]) ** 2).sum(1)
+    members, heads, left, right = [np.arange(n)], [head], [-1], [-1]
+    costs, parent, leaves = [float((w * d2).sum())], [-1], 1
+    while leaves < m and costs[0] > 0:
+        v = 0
+        while left[v] >= 0:
+            a, b = costs[left[v]], costs[right[v]]
+            v = left[v] if rng.random() * (a + b) < a else right[v]
+        at = members[v]
+        p = d2[at] * w[at]
+        total = p.sum()
+        if total > 0:
+            new = int(at[rng.choice(len(at), p=p / total)])
+            far = ((x[at] - x[new]) ** 2).sum(1)
+            goes = far < d2[at]
+            d2[at[goes]] = far[goes]
+            for side, who in ((~goes, heads[v]), (goes, new)):
+                members.append(at[side])
+                heads.append(who)
+                left.append(-1)
+                right.append(-1)
+                costs.append(float((d2[at[side]] * w[at[side]]).sum()))
+                parent.append(v)
+            left[v], right[v], members[v] = len(costs) - 2, len(costs) - 1, None
+            leaves += 1
+            new_cost = costs[-2] + costs[-1]
+        else:  # what rounding left
+            new_cost = 0.0
+        while v >= 0:
+            costs[v] = new_cost
+            v = parent[v]
+            new_cost = costs[left[v]] + costs[right[v]] if v >= 0 else 0.0
+    ends = [v for v in range(len(costs)) if left[v] < 0]
+    chosen = np.array([heads[v] for v in ends])
+    weight = np.array([w[members[v]].sum() for v in ends]).astype(np.int64)
     keep = weight > 0
     return x[chosen][keep], weight[keep]

@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 from kmfold.functions.arrays import to_column, to_matrix
 from kmfold.operators.linalg import project_matrix
 from kmfold.operators.sphere import SphereTree
-from kmfold.plans.pieces import TreeParams, parent, plan_levels
+from kmfold.plans.pieces import TreeParams, dense_index, parent, plan_levels
 from kmfold.staging import ship_package, stage
 
 FACTOR = 200
@@ -45,8 +45,8 @@ class Node:
         self.tree: SphereTree | None = None
         self.e_proj = self.svd_s = self.insert_s = 0.0
 
-    def take(self, x: np.ndarray, w: np.ndarray, l: int, kind: str, key: int) -> None:  # noqa: E741
-        """Project one piece and feed it."""
+    def take(self, x: np.ndarray, w: np.ndarray, l: int, kind: str, key: int, within: np.ndarray | None = None) -> None:  # noqa: E741
+        """Project one piece and feed it with the inner costs that its points bring along."""
         if not len(x):
             return
         t = time.process_time()
@@ -54,7 +54,7 @@ class Node:
         u = time.process_time()
         if self.tree is None:
             self.tree = SphereTree(self.m, x.shape[1], [self.seed, self.level, self.node], **self.options)
-        self.tree.offer(y, w)
+        self.tree.offer(y, w, within)
         self.svd_s += u - t
         self.insert_s += time.process_time() - u
         self.e_proj += moved
@@ -65,7 +65,7 @@ class Node:
         mean, w, within = self.tree.rows()
         n, c = len(w), self.tree.counters
         one = {"n_in": c["n_in"], "w_in": c["w_in"], "n_out": n, "rebuilds": c["rebuilds"], "dist_evals": c["dist_evals"], "splits": c["splits"]}
-        reals = {"threshold": self.tree.limit, "e_proj": self.e_proj, "e_merge": float(within.sum()), "svd_cpu_s": self.svd_s, "insert_cpu_s": self.insert_s}
+        reals = {"threshold": self.tree.limit, "e_proj": self.e_proj, "e_merge": self.tree.merged(), "svd_cpu_s": self.svd_s, "insert_cpu_s": self.insert_s}
         cols = {"level": pa.array(np.full(n, self.level), pa.int32()), "node": pa.array(np.full(n, self.node), pa.int64()), "id": pa.array(np.arange(n), pa.int64()), "x": to_column(mean), "w": pa.array(w, pa.int64()), "ss_within": pa.array(within)}
         cols |= {k: pa.array(np.full(n, v), pa.int64()) for k, v in one.items()} | {k: pa.array(np.full(n, v, float)) for k, v in reals.items()}
         return pa.RecordBatch.from_pydict(cols)
@@ -108,8 +108,9 @@ def piecewise_full(pts: DataFrame, k: int, ps: int, l: int | None = None, m: int
     """Pieces of ``ps`` points, each projected on ``l`` dimensions, fed to one summarizer.
 
     ``single`` keeps the order of ids and runs in one task: small inputs only.
-    ``sharded`` runs one summarizer a partition without moving a point, then reduces
-    the union of the summaries. ``svd='none'`` is the direct method.
+    ``sharded`` runs one summarizer a partition, in the order of ids inside it, without
+    moving a point, then reduces the union of the summaries. ``svd='none'`` is the
+    direct method.
     """
     spark = pts.sparkSession
     ship_package(spark)
@@ -118,9 +119,10 @@ def piecewise_full(pts: DataFrame, k: int, ps: int, l: int | None = None, m: int
     if mode == "single":
         if rows.count() > SINGLE_ROWS:
             raise ValueError("too many points for one summarizer: use mode='sharded' or the tree")
-        rows = rows.repartition(1).sortWithinPartitions("id")
+        rows = rows.repartition(1)
     elif mode != "sharded":
         raise ValueError("mode must be single or sharded")
+    rows = rows.sortWithinPartitions("id")
 
     def run(batches):
         from pyspark import TaskContext
@@ -158,14 +160,14 @@ def _reduce(df: DataFrame, m: int, level: int, l: int | None, kind: str, seed: i
     def run(key, batches):
         t = pa.Table.from_batches(list(batches)).sort_by([("node", "ascending"), ("id", "ascending")])
         node = Node(m, level, int(key[0].as_py()), seed, **options)
-        x, w, child = to_matrix(t.column("x")), t.column("w").to_numpy(), t.column("node").to_numpy()
+        x, w, child, within = to_matrix(t.column("x")), t.column("w").to_numpy(), t.column("node").to_numpy(), t.column("ss_within").to_numpy()
         for c in np.unique(child):
             mine = child == c
-            node.take(x[mine], w[mine], l or 1 << 30, kind if l else "none", int(c))
-        # what the children lost stays on their rows: their inner costs move up with them
+            node.take(x[mine], w[mine], l or 1 << 30, kind if l else "none", int(c), within[mine])
         yield node.batch()
 
-    columns = df.select("up", "node", "id", "x", "w")
+    # the inner costs of the children move up with their rows
+    columns = df.select("up", "node", "id", "x", "w", "ss_within")
     return columns.groupBy("up").applyInArrow(run_iter(run), FULL)
 
 
@@ -183,22 +185,24 @@ def run_iter(f):
 def reduce_summary(df: DataFrame, k: int, m: int | None = None, seed: int = 0, factor: int = FACTOR, **options) -> DataFrame:
     """Reduce a union of bounded summaries to one of at most ``m`` rows (weighted insertion)."""
     ship_package(df.sparkSession)
-    rows = df.select(F.lit(0).cast("bigint").alias("up"), F.col("node").cast("bigint").alias("node"), "id", "x", "w")
+    rows = df.select(F.lit(0).cast("bigint").alias("up"), F.col("node").cast("bigint").alias("node"), "id", "x", "w", "ss_within")
     return _reduce(rows, m or factor * k, 1, None, "none", seed, options).select(*SUMMARY_COLUMNS)
 
 
-def reduce_levels(df: DataFrame, m: int, fan: int = 16, seed: int = 0, l: int | None = None, kind: str = "none", **options) -> DataFrame:  # noqa: E741
-    """Reduce node summaries by a tree of degree ``fan`` until one node is left. Node names become dense first."""
+def reduce_levels(df: DataFrame, m: int, fan: int = 4, seed: int = 0, l: int | None = None, kind: str = "none", **options) -> DataFrame:  # noqa: E741
+    """Reduce node summaries (read twice: stage them) by a tree of degree ``fan`` until one node is left.
+
+    Nodes are numbers, best without gaps (a gap costs nothing but levels): their least
+    and greatest alone reach the driver.
+    """
     ship_package(df.sparkSession)
-    names = [r["node"] for r in df.select("node").distinct().orderBy("node").collect()]  # one row a node
-    if len(names) <= 1:
+    ends = df.agg(F.min("node").alias("low"), F.max("node").alias("high")).first()
+    if ends["low"] is None or ends["low"] == ends["high"]:
         return df
-    spark = df.sparkSession
-    dense = spark.createDataFrame([(n, i) for i, n in enumerate(names)], "node bigint, _dense bigint")
-    rows = df.join(F.broadcast(dense), "node").drop("node").withColumnRenamed("_dense", "node")
-    nodes, level = len(names), 1
+    rows = df.withColumn("node", F.col("node") - F.lit(ends["low"]))
+    nodes, level = ends["high"] - ends["low"] + 1, 1
     while nodes > 1:
-        rows = rows.withColumn("up", F.floor(F.col("node") / fan).cast("bigint"))
+        rows = rows.withColumn("up", F.expr(f"node div {fan}"))
         rows = _reduce(rows, m, level, l, kind, seed, options)
         nodes, level = -(-nodes // fan), level + 1
         if level % CHECKPOINT_LEVELS == 0 and nodes > 1:
@@ -215,16 +219,25 @@ def merge_reduce(pts: DataFrame, k: int, ps: int, m: int | None = None, fan_in:
 def tree_full(pts: DataFrame, params: TreeParams, n_points: int | None = None, keep_levels: bool = False, **options) -> DataFrame:
     """The wide computation tree; rows with counters, of the root or of all levels.
 
-    Ids are dense: piece = id div ps, node = piece div np. Level 0 is one exchange by
-    node (none where the table already lies so); each further level exchanges the
-    summaries below it. The driver only composes the plan.
+    Ids without gaps name the pieces: piece = (id - least id) div ps, node = piece div
+    np. Others are replaced by their places in the order of ids, for one more exchange.
+    Level 0 is one exchange by node (none where the table already lies so); each further
+    level exchanges the summaries below it, and the last level is one node. The driver
+    only composes the plan. ``n_points``, where given, must be the number of rows.
     """
     spark = pts.sparkSession
     ship_package(spark)
     rows = points(pts)
-    n = n_points if n_points is not None else rows.count()
+    told = rows.agg(F.count("*").alias("n"), F.count("id").alias("named"), F.min("id").alias("low"), F.max("id").alias("high")).first()  # a scan of the ids alone
+    n = told["n"]
+    if n_points is not None and n_points != n:
+        raise ValueError(f"n_points is {n_points}, the table has {n} rows")
     if not n:
         return spark.createDataFrame([], FULL)
+    if told["named"] < n or told["high"] - told["low"] + 1 != n:
+        rows = dense_index(rows.drop("_place"), ["id"], "_place").drop("id").withColumnRenamed("_place", "id").select("id", "x", "w")
+    elif told["low"]:
+        rows = rows.withColumn("id", F.col("id") - F.lit(told["low"]))
     levels = plan_levels(n, params)
     ps, kind = params.ps, params.svd
 

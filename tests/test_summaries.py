@@ -140,3 +140,119 @@ def test_more_centers_than_the_bound_are_refused(spark, monkeypatch):
     assert len(cost.center_list(centers.filter("cid < 10"))) == 10
     with pytest.raises(ValueError, match="too many centers"):
         cost.center_list(centers)
+
+
+@pytest.mark.parametrize("parts", [1, 3, 8])
+def test_sums_are_kept_through_every_reduction(spark, sf, parts):
+    from kmfold.operators import baselines
+
+    e = points.emb64(spark, sf).repartition(parts)
+    x = points.matrix(e)
+    made = {
+        "direct": summaries.direct_summary(e, 5, factor=12),
+        "tree": summaries.tree_summary(e, 5, l=64, ps=60, project_levels="none"),
+        "merge_reduce": summaries.merge_reduce(e, 5, ps=60),
+        "union": summaries.reduce_summary(summaries.union_summaries(summaries.direct_summary(e.filter("id % 2 = 0"), 5, m=40), summaries.direct_summary(e.filter("id % 2 = 1"), 5, m=40)), 5, m=50),
+        "cf_tree": baselines.cf_tree(e, 5, m=60),
+        "chain": baselines.chain_reduce(e, 5, 100, m=60),
+    }
+    for name, s in made.items():
+        got = measures.conservation(s).first()
+        rows = s.select("x", "w").collect()
+        assert got["weight"] == len(x) and got["size"] <= 60, name
+        assert np.isclose(got["ss"], (x**2).sum()), name
+        assert np.allclose(sum(r["w"] * np.array(r["x"]) for r in rows), x.sum(0)), name
+
+
+def test_inner_costs_move_with_copies_and_do_not_count_against_the_threshold():
+    from kmfold.operators.sphere import SphereTree
+
+    rng = np.random.default_rng(2)
+    x, w, c = rng.standard_normal((500, 3)), rng.integers(1, 20, 500), rng.random(500) * 9
+    for block in (1, 128):
+        a, b = SphereTree(40, 3, block=block), SphereTree(40, 3, block=block)
+        a.offer(x, w)
+        b.offer(x, w, c)
+        assert (a.rows()[1] == b.rows()[1]).all() and np.allclose(a.rows()[0], b.rows()[0])
+        assert np.isclose(b.rows()[2].sum(), a.rows()[2].sum() + c.sum()) and np.isclose(b.merged(), a.merged())
+
+
+def test_tree_over_any_ids(spark, sf):
+    e = points.emb64(spark, sf).select("id", "x", "w")
+    plain = summaries.tree_summary(e, 5, l=8, ps=50).collect()
+    for other in (e.withColumn("id", F.col("id") * 1_000_003 + 17), e.withColumn("id", F.col("id") + 5000), e.withColumn("id", -F.col("id"))):
+        rows = summaries.tree_summary(other, 5, l=8, ps=50).collect()
+        assert {r["node"] for r in rows} == {0} and len(rows) <= 50 and sum(r["w"] for r in rows) == 500
+    assert sorted(r["w"] for r in plain) == sorted(r["w"] for r in summaries.tree_summary(e.withColumn("id", F.col("id") * 7), 5, l=8, ps=50).collect())
+    with pytest.raises(ValueError):
+        summaries.tree_summary(e, 5, l=8, ps=50, n_points=400)
+
+
+def test_the_race_draws_in_proportion_to_the_distances(spark):
+    from kmfold.operators import clustering
+
+    rng = np.random.default_rng(0)
+    x = rng.standard_normal((400, 2)) + 12 * rng.standard_normal((6, 2))[rng.integers(0, 6, 400)]
+    pts = spark.createDataFrame([(i, v, 1 + i % 3) for i, v in enumerate(x.tolist())], "id bigint, x array<double>, w bigint").repartition(3)
+    for candidates in (8, 4096):
+        seeds = np.array([c for _, c in clustering.race_seeds(pts, 12, 3, candidates)])
+        if candidates == 8:
+            few = seeds
+    assert seeds.shape == (12, 2) and (few == seeds).all()  # the number of scans changes nothing
+    # the whole race by brute force: every clock to its end
+    clock = rng.exponential(size=400)
+    w = 1.0 + np.arange(400) % 3
+    chosen, times = [0], [0.0]
+    spent = np.zeros(400)
+    for _ in range(11):
+        rate = w * ((x[:, None] - x[chosen][None]) ** 2).sum(2).min(1)
+        with np.errstate(divide="ignore"):
+            left = np.where(rate > 0, (clock - spent) / rate, np.inf)
+        ends, now = clustering.clock_ends(x, w, clock, x[chosen], np.array(times))
+        assert np.allclose(ends[rate > 0], times[-1] + left[rate > 0]) and np.allclose(now, rate)
+        i = int(left.argmin())
+        spent += rate * left[i]
+        chosen.append(i)
+        times.append(times[-1] + left[i])
+    # the first draw: how often each point wins is its share of the cost
+    cost = w * ((x - x[0]) ** 2).sum(1)
+    wins = np.bincount([int(clustering.clock_ends(x, w, rng.exponential(size=400), x[[0]], np.array([0.0]))[0].argmin()) for _ in range(4000)], minlength=400)
+    assert np.abs(wins / 4000 - cost / cost.sum()).max() < 0.02
+
+
+def test_one_lloyd_step_is_the_plain_one(spark, sf):
+    from kmfold.operators import clustering
+
+    e = points.emb64(spark, sf).withColumn("w", F.pmod("id", F.lit(4)) + 1).repartition(3)
+    x, w = points.matrix(e), np.arange(500) % 4 + 1
+    centers = [*((10 + i, x[i].tolist()) for i in range(6)), (99, [50.0] * 64)]
+    moved, cost = clustering.lloyd_step(e, centers)
+    c = np.array([v for _, v in centers])
+    d2 = ((x[:, None] - c[None]) ** 2).sum(2)
+    near = d2.argmin(1)
+    assert np.isclose(cost, (w * d2.min(1)).sum()) and [i for i, _ in moved] == [i for i, _ in centers] and moved[-1][1] == centers[-1][1]
+    for k in range(6):
+        assert np.allclose(moved[k][1], np.average(x[near == k], axis=0, weights=w[near == k]))
+
+
+def test_the_feature_tree_is_balanced():
+    from kmfold.operators.sphere import FeatureTree
+
+    x = np.random.default_rng(5).standard_normal((3000, 3))
+    t = FeatureTree(400, 3, branching=6)
+    t.offer(x)
+    depths, todo = set(), [(t.root, 1)]
+    while todo:
+        page, depth = todo.pop()
+        assert 0 < page.n <= 6 or page is t.root
+        if page.below is None:
+            depths.add(depth)
+        else:
+            assert len(page.below) == page.n
+            for i, below in enumerate(page.below):
+                mean, w, within = below.sums()
+                assert np.allclose(page.mean[i], mean) and np.isclose(page.w[i], w) and np.isclose(page.within[i], within)
+                todo.append((below, depth + 1))
+    assert depths == {t.height} and t.height > 2
+    mean, w, within = t.rows()
+    assert w.sum() == 3000 and np.isclose((w * (mean**2).sum(1)).sum() + within.sum(), (x**2).sum())
