@@ -1,17 +1,21 @@
 """Removal of byte strings that also start in a document of smaller id.
 
-Suffixes are ordered only through their first ``length`` bytes, by passes over
-20-byte digits from the left; equal groups after the last pass are exactly the
-repeated windows. Ordering all windows would move fifty times the text, so three
-things keep the work small:
+Suffixes are ordered only through their first ``length`` bytes, by passes over digits of
+eight bytes from the left; equal groups after the last pass are exactly the repeated
+windows. Ordering all windows would move fifty times the text, so four things keep the
+work small:
 
 * Every window elects the 20-byte gram of least hash inside it. Equal windows elect
   the same gram, so only windows whose gram occurs in two documents can repeat; a
   first exchange of 32-bit gram codes finds these grams.
 * Consecutive windows that elect one gram travel as one context of at most 80 bytes.
-* Equal contexts of one part of the documents are settled there: one copy is sent,
-  that of the least id. A passage of a third of all documents costs one context
-  a part.
+* A stretch that repeats itself (blanks, dashes) travels as one period of windows.
+* Equal contexts, compared byte by byte, of one part of the documents are settled there:
+  one copy is sent, that of the least id. A passage of a third of all documents costs
+  one context a part. Where the contexts meet, equal ones are settled again, and only
+  the windows of different ones are ordered.
+
+Hashes only choose what is compared; what is removed is equal in its bytes.
 
 Documents are dealt to parts by a hash of their id, once; the three steps that need
 texts read the same exchange.
@@ -36,7 +40,10 @@ INDEX = np.uint64((1 << 24) - 1)
 SLICE = 1 << 20
 VALUES = byte_values()
 LAST_ID = np.int64(2**63 - 1)
-DIGITS = (0, GRAM, LENGTH - GRAM)
+#: Places of the digits of a window, and of the words of a context (clipped to its end).
+DIGIT = 8
+DIGITS = (*range(0, LENGTH - DIGIT, DIGIT), LENGTH - DIGIT)
+WORDS = np.arange(0, LENGTH + ELECT - 1, DIGIT)
 
 
 def gram_codes(buf: np.ndarray) -> np.ndarray:
@@ -56,6 +63,34 @@ def gram_codes(buf: np.ndarray) -> np.ndarray:
     return mix(sixteen[:n] * np.uint64(0xFF51AFD7ED558CCD) + four[16 : 16 + n])
 
 
+def digits(buf: np.ndarray) -> np.ndarray:
+    """The eight bytes that start at each position as one number, in the order of the bytes."""
+    if len(buf) < DIGIT:
+        return np.zeros(0, np.uint64)
+    two = (buf[:-1].astype(np.uint64) << np.uint64(8)) | buf[1:]
+    four = (two[:-2] << np.uint64(16)) | two[2:]
+    return (four[:-4] << np.uint64(32)) | four[4:]
+
+
+def context_words(number: np.ndarray, at: np.ndarray, width: np.ndarray) -> np.ndarray:
+    """All bytes of contexts of at most 80 bytes, as ten numbers each (the last ones overlap)."""
+    return number[at[:, None] + np.minimum(WORDS[None, :], width[:, None] - DIGIT)]
+
+
+def settle_equal(same: np.ndarray, words: np.ndarray, width: np.ndarray, total: np.ndarray, ids: np.ndarray) -> np.ndarray:
+    """Which contexts have an equal one of smaller id. ``same`` is a hash, the bytes decide."""
+    order = np.lexsort((ids, same))
+    if not len(order):
+        return np.zeros(0, bool)
+    ordered = same[order]
+    head = np.append(True, ordered[1:] != ordered[:-1])
+    first = order[np.maximum.accumulate(np.where(head, np.arange(len(order)), 0))]
+    equal = (width[order] == width[first]) & (total[order] == total[first]) & (words[order] == words[first]).all(axis=1)
+    out = np.zeros(len(order), bool)
+    out[order] = equal & (ids[order] > ids[first])
+    return out
+
+
 class Part:
     """The documents of a part in a fixed order, as one buffer of bytes."""
 
@@ -79,7 +114,10 @@ class Part:
             i = stop
 
     def runs(self):
-        """Windows that elect one gram: document, first window in it, number of windows, gram code; and the bytes."""
+        """Windows that elect one gram: document, first window in it, number of windows, period, gram code; and the bytes.
+
+        The period is 0, or that of a stretch whose windows repeat themselves.
+        """
         for i, stop in self.slices():
             for lo, hi, base, buf in self._cuts(i, stop):
                 yield self._runs_of(lo, hi, base, buf)
@@ -99,7 +137,7 @@ class Part:
         codes = gram_codes(buf)
         n = len(buf) - LENGTH + 1
         if n < 1:
-            return (np.zeros(0, np.int64),) * 3 + (np.zeros(0, np.uint64), buf, codes, np.zeros(0, np.int64))
+            return (np.zeros(0, np.int64),) * 4 + (np.zeros(0, np.uint64), buf, codes, np.zeros(0, np.int64))
         key = (codes & ~INDEX) | np.arange(len(codes), dtype=np.uint64)
         for step in (1, 2, 4, 8):
             key = np.minimum(key[:-step], key[step:])
@@ -113,13 +151,42 @@ class Part:
         new = np.empty(n, bool)
         new[0] = True
         new[1:] = (elected[1:] != elected[:-1]) | (valid[1:] != valid[:-1])
+        period = np.zeros(n, np.int64)
+        for a, z, step in self._periodic(np.flatnonzero(new), n, valid, elected, codes, buf):
+            new[a + 1 : z] = False
+            new[a] = True
+            if z < n:
+                new[z] = True
+            period[a] = step
         first = np.flatnonzero(new)
         count = np.diff(np.append(first, n))
         keep = valid[first]
         first, count = first[keep], count[keep]
         doc = np.searchsorted(starts, first, "right") - 1
         # an empty document shares its start with the next one: the last of equal starts is the right one
-        return lo + doc, base + first - starts[doc], count, codes[elected[first]], buf, codes, first
+        return lo + doc, base + first - starts[doc], count, period[first], codes[elected[first]], buf, codes, first
+
+    @staticmethod
+    def _periodic(first, n, valid, elected, codes, buf):
+        """Stretches of windows ``a`` to ``z`` that repeat every ``step``, found where windows in a row elect one code."""
+        code = codes[elected[first]]
+        joined = np.append(False, (code[1:] == code[:-1]) & valid[first[1:]] & valid[first[:-1]])
+        heads = np.flatnonzero(~joined)
+        for i, j in zip(heads.tolist(), np.append(heads[1:], len(first)).tolist()):
+            if j - i < 3:
+                continue
+            a, z = int(first[i]), int(first[j]) if j < len(first) else n
+            step = int(elected[first[i + 1]] - elected[first[i]])
+            if not 0 < step <= ELECT or z - a < 3 * step:
+                continue
+            end = z + LENGTH - 1
+            differ = np.flatnonzero(buf[a : end - step] != buf[a + step : end])
+            edges = np.concatenate([[-1], differ, [end - step - a]])
+            k = int(np.diff(edges).argmax())
+            start, stop = int(edges[k]) + 1, int(edges[k + 1])  # bytes start to stop + step repeat
+            windows = stop + step - start - LENGTH + 1
+            if windows >= 3 * step:
+                yield a + start, a + start + windows, step
 
 
 def bucket_and_code(codes: np.ndarray, buckets: int) -> tuple[np.ndarray, np.ndarray]:
@@ -131,7 +198,7 @@ def offered_grams(table: pa.Table, buckets: int) -> list[tuple[int, bytes]]:
     """Codes of the elected grams of a part by bucket, with a flag for those of two documents."""
     part = Part(table)
     keys, docs = [], []
-    for doc, _, _, codes, *_ in part.runs():
+    for doc, _, _, _, codes, *_ in part.runs():
         b, c = bucket_and_code(codes, buckets)
         keys.append((b.astype(np.uint64) << np.uint64(32)) | c)
         docs.append(part.ids[doc])
@@ -195,85 +262,92 @@ def contexts(table: pa.Table, replies: list[tuple[int, bytes]], buckets: int):
     part = Part(table)
     wanted = np.sort(np.concatenate([(np.uint64(b) << np.uint64(32)) | unpack(c)[0].astype(np.uint64) for b, c in replies])) if replies else np.zeros(0, np.uint64)
     held = []
-    for doc, first, count, codes, buf, grams, at in part.runs():
+    for doc, first, total, period, codes, buf, grams, at in part.runs():
         b, c = bucket_and_code(codes, buckets)
         key = (b.astype(np.uint64) << np.uint64(32)) | c
         place = np.searchsorted(wanted, key)
         found = (wanted[np.minimum(place, len(wanted) - 1)] == key) if len(wanted) else np.zeros(len(key), bool)
-        doc, first, count, b, at = doc[found], first[found], count[found], b[found], at[found]
-
-        def window_code(p):
-            return mix(grams[p] * np.uint64(3) + mix(grams[p + GRAM] * np.uint64(5) + grams[p + LENGTH - GRAM]))
-
-        same = mix(window_code(at) + np.uint64(7) * window_code(at + count - 1) + count.astype(np.uint64))
-        held.append((doc, first, count, b, same, [buf] * 1, at))
+        doc, first, total, period, b, at = doc[found], first[found], total[found], period[found], b[found], at[found]
+        count = np.where(period > 0, period, total)
+        words = context_words(digits(buf), at, count + LENGTH - 1)
+        held.append((doc, first, total, count, b, context_codes(grams, at, count, total), words, at, [buf]))
     if not held:
         return
-    doc, first, count, bucket, same, at = (np.concatenate([h[k] for h in held]) for k in (0, 1, 2, 3, 4, 6))
+    doc, first, total, count, bucket, same, words, at = (np.concatenate([h[k] for h in held]) for k in range(8))
     source = np.repeat(np.arange(len(held)), [len(h[0]) for h in held])
     ids = part.ids[doc]
-    order = np.lexsort((ids, same))
-    head = np.append(True, same[order][1:] != same[order][:-1]) if len(order) else np.zeros(0, bool)
-    least = ids[order][np.maximum.accumulate(np.where(head, np.arange(len(order)), 0))] if len(order) else ids
-    send = np.empty(len(order), bool)
-    send[order] = ids[order] == least
-    settled = ~send
-    d, s, e = merge_spans(doc[settled], first[settled], (first + count + LENGTH - 1)[settled])
+    settled = settle_equal(same, words, count, total, ids)
+    d, s, e = merge_spans(doc[settled], first[settled], (first + total + LENGTH - 1)[settled])
     if len(d):
         yield None, pack(d, s, e)
-    out = np.flatnonzero(send)
+    out = np.flatnonzero(~settled)
     out = out[np.argsort(bucket[out], kind="stable")]
     cuts = np.flatnonzero(np.append(True, np.diff(bucket[out]) != 0)) if len(out) else np.zeros(0, np.int64)
     for a, z in zip(cuts, np.append(cuts[1:], len(out))):
         rows = out[a:z]
-        raw = np.concatenate([held[source[r]][5][0][at[r] : at[r] + count[r] + LENGTH - 1] for r in rows])
-        yield int(bucket[rows[0]]), pack(doc[rows].astype(np.int32), ids[rows], first[rows], count[rows].astype(np.uint8), raw)
+        raw = np.concatenate([held[source[r]][8][0][at[r] : at[r] + count[r] + LENGTH - 1] for r in rows])
+        yield int(bucket[rows[0]]), pack(doc[rows].astype(np.int32), ids[rows], first[rows], count[rows].astype(np.uint8), total[rows], raw)
+
+
+def context_codes(grams: np.ndarray, at: np.ndarray, count: np.ndarray, total: np.ndarray) -> np.ndarray:
+    """A hash of each context by its first and last window."""
+
+    def window_code(p):
+        return mix(grams[p] * np.uint64(3) + mix(grams[p + GRAM] * np.uint64(5) + grams[p + LENGTH - GRAM]))
+
+    return mix(window_code(at) + np.uint64(7) * window_code(at + count - 1) + mix(count.astype(np.uint64) + (total.astype(np.uint64) << np.uint64(8))))
 
 
-def radix_groups(codes: np.ndarray, at: np.ndarray, ids: np.ndarray) -> np.ndarray:
+def radix_groups(number: np.ndarray, at: np.ndarray, ids: np.ndarray) -> np.ndarray:
     """Which windows equal one of a smaller id.
 
-    ``at`` are their places in the buffer of ``codes``. Each pass orders the groups
-    by the next digit and leaves out those that one document alone has.
+    ``at`` are their places in the buffer of ``number`` (eight bytes at each place). Each
+    pass orders every group by its next digit, parts it where digits differ, and leaves
+    out the groups that one document alone has.
     """
     dup = np.zeros(len(at), bool)
     alive = np.arange(len(at))
-    group = np.zeros(len(at), np.uint64)
-    for digit in DIGITS:
-        group = mix(group * np.uint64(0x9E3779B97F4A7C15) + codes[at[alive] + digit])
-        order = np.argsort(group, kind="stable")
-        alive, group = alive[order], group[order]
+    group = np.zeros(len(at), np.int64)
+    least = ids
+    for place in DIGITS:
         if not len(alive):
             return dup
-        first = np.flatnonzero(np.append(True, group[1:] != group[:-1]))
+        digit = number[at[alive] + place]
+        order = np.lexsort((digit, group)) if group[-1] else np.argsort(digit, kind="stable")
+        alive, group, digit = alive[order], group[order], digit[order]
+        first = np.flatnonzero(np.append(True, (group[1:] != group[:-1]) | (digit[1:] != digit[:-1])))
         sizes = np.diff(np.append(first, len(alive)))
         least, most = np.minimum.reduceat(ids[alive], first), np.maximum.reduceat(ids[alive], first)
-        keep = np.repeat(least != most, sizes)
+        two = least != most
+        keep = np.repeat(two, sizes)
         least = np.repeat(least, sizes)[keep]
-        alive, group = alive[keep], group[keep]
+        alive, group = alive[keep], np.repeat(np.arange(int(two.sum())), sizes[two])
     dup[alive] = ids[alive] > least
     return dup
 
 
 def settle(cells: list[tuple[int, bytes]]) -> dict[int, tuple[np.ndarray, np.ndarray, np.ndarray]]:
     """Spans to remove by part, from the contexts of one bucket."""
-    doc, ids, first, count, raw = gather([c for _, c in cells])
+    doc, ids, first, count, total, raw = gather([c for _, c in cells])
     sizes = [len(gather([c])[0]) for _, c in cells]
     part = np.repeat([p for p, _ in cells], sizes)
-    count = count.astype(np.int64)
-    codes = gram_codes(raw)
+    doc, count = doc.astype(np.int64), count.astype(np.int64)
     width = count + LENGTH - 1
     begin = np.cumsum(width) - width
-    total = int(count.sum())
-    owner = np.repeat(np.arange(len(count)), count)
-    inner = np.arange(total) - np.repeat(np.cumsum(count) - count, count)
+    codes, number = gram_codes(raw), digits(raw)
+    whole = settle_equal(context_codes(codes, begin, count, total), context_words(number, begin, width), count, total, ids)
+    left = np.flatnonzero(~whole)
+    windows = int(count[left].sum())
+    owner = np.repeat(left, count[left])
+    inner = np.arange(windows) - np.repeat(np.cumsum(count[left]) - count[left], count[left])
     at = begin[owner] + inner
-    dup = np.zeros(total, bool)
-    ways = 1 << max(0, (total >> 20).bit_length())
+    dup = np.zeros(windows, bool)
+    # windows that start alike are in one lane: some MB at a time
+    ways = 1 << max(0, (windows >> 20).bit_length())
     lane = codes[at] & np.uint64(ways - 1)
     for k in range(ways):
         mine = np.flatnonzero(lane == np.uint64(k))
-        dup[mine] = radix_groups(codes, at[mine], ids[owner[mine]])
+        dup[mine] = radix_groups(number, at[mine], ids[owner[mine]])
     new = dup.copy()
     new[1:] &= ~(dup[:-1] & (owner[1:] == owner[:-1]))
     start = np.flatnonzero(new)
@@ -282,7 +356,16 @@ def settle(cells: list[tuple[int, bytes]]) -> dict[int, tuple[np.ndarray, np.nda
     stop = np.flatnonzero(ends)
     where = owner[start]
     a, z = first[where] + inner[start], first[where] + inner[stop] + LENGTH
-    return {int(p): (doc[where[m]].astype(np.int64), a[m], z[m]) for p in np.unique(part[where]) for m in [part[where] == p]}
+    # a period stands for all its repetitions: less than a window apart, so their spans are one
+    more = (total > count)[where]
+    step, most = count[where], total[where] - 1
+    last = inner[stop] + (most - inner[stop]) // step * step
+    # where the last, cut repetition holds a part of the run only, the run ends with it
+    last = np.where((most - inner[start]) // step > (most - inner[stop]) // step, most, last)
+    z = np.where(more, first[where] + last + LENGTH, z)
+    gone = np.flatnonzero(whole)
+    where, a, z = np.concatenate([where, gone]), np.concatenate([a, first[gone]]), np.concatenate([z, first[gone] + total[gone] + LENGTH - 1])
+    return {int(p): (doc[where[m]], a[m], z[m]) for p in np.unique(part[where]) for m in [part[where] == p]}
 
 
 def removed_spans(table: pa.Table, cells: list[bytes]):
@@ -367,7 +450,7 @@ def dedup_digests(docs: DataFrame) -> DataFrame:
     """What is removed of each document, and a digest of what is kept.
 
     A null text counts as empty; texts under ``LENGTH`` bytes lose nothing; rows of
-    one id are not removed for each other; a null id is larger than all others. Other
+    one id are not removed for each other; a null id counts as the largest long. Other
     columns are ignored; an empty table gives an empty result.
     """
 

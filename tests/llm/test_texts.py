@@ -50,33 +50,61 @@ def test_dedup_of_repeated_and_null_ids(repeated, empty):
     assert suffixdedup.dedup_digests(empty).count() == 0
 
 
-def test_a_text_longer_than_the_index_is_cut_with_overlap(spark, monkeypatch):
-    monkeypatch.setattr(suffixdedup, "SLICE", 200)
-    monkeypatch.setattr(suffixdedup, "INDEX", np.uint64((1 << 24) - 1))
-    rng = np.random.default_rng(0)
-    long = bytes(rng.integers(97, 123, 1500, dtype=np.uint8)).decode()
-    docs = [(1, long[300:900]), (2, long), (3, long[100:1400])]
-    df = spark.createDataFrame(docs, "doc_id bigint, text string")
-    want = brute_dedup(docs)
-    got = {r["doc_id"]: (r["n_bytes"], r["n_removed"], r["n_spans"], r["kept_sha256"]) for r in suffixdedup.dedup_digests(df).collect()}
-    assert got == want
+PERIODIC = ["-" * 400, "x" + "-" * 300 + "y", " " * 900, "ab" * 200, "ab" * 333 + "a", "q" + "ab" * 60 + "zz" + "ab" * 150, ("=" * 79 + "\n") * 9, "t" + ("=" * 79 + "\n") * 6 + "end of it", "abcabd" * 90, "dabcab" * 40 + "c", ("0123456789abcdefghijklmnopqrst" * 20), "5" + "0123456789abcdefghijklmnopqrst" * 9, ("0123456789abcdefghijklmnopqrstu" * 12), ("0123456789abcdefghijklmnopqrstuv" * 12) * 2]
 
 
-@pytest.mark.parametrize("parts", [1, 2])
-def test_a_text_longer_than_the_index_behind_a_short_one(monkeypatch, parts):
+@pytest.mark.parametrize("parts", [1, 2, 5])
+def test_stretches_that_repeat_themselves(monkeypatch, parts):
+    """Blanks, dashed lines and periods up to 32 bytes, equal, longer, shorter and shifted."""
+    rng = np.random.default_rng(1)
+    texts = list(PERIODIC)
+    for _ in range(60):
+        t = str(rng.choice(PERIODIC))
+        a = int(rng.integers(0, len(t) - 50))
+        texts.append("".join(rng.choice(list("klmn"), rng.integers(0, 40))) + t[a : a + int(rng.integers(50, 500))] + "".join(rng.choice(list("opq-"), rng.integers(0, 60))))
+    docs = [(i + 1, t) for i, t in enumerate(texts)]
+    assert dedup_by_kernels(docs, parts) == brute_dedup(docs)
+
+
+def test_a_repeating_stretch_is_sent_once():
     import pyarrow as pa
 
-    monkeypatch.setattr(suffixdedup, "SLICE", 200)
-    monkeypatch.setattr(suffixdedup, "INDEX", np.uint64((1 << 10) - 1))
-    rng = np.random.default_rng(0)
+    for text in (" " * 200_000, ("-" * 30) * 5000):
+        table = pa.table({"doc_id": [1], "text": [text]})
+        offered = suffixdedup.offered_grams(table, 1)
+        sent = [c for b, c in suffixdedup.contexts(table, [(0, blobs.pack(blobs.unpack(offered[0][1])[0]))], 1) if b is not None]
+        assert sum(len(blobs.unpack(c)[5]) for c in sent) < 1000
+
+
+def test_equal_hashes_are_not_taken_for_equal_bytes(monkeypatch):
+    """With a hash that tells nothing apart the bytes still decide."""
+    rng = np.random.default_rng(9)
+    base = "".join(rng.choice(list("abcdefgh"), 600))
+    docs = [(1, base), (2, base[100:400] + "x" + base[401:]), (3, "z" * 30 + base[:300]), (4, base)]
+    monkeypatch.setattr(suffixdedup, "gram_codes", lambda buf: np.zeros(max(0, len(buf) - suffixdedup.GRAM + 1), np.uint64))
+    for parts in (1, 3):
+        assert dedup_by_kernels(docs, parts) == brute_dedup(docs)
+
+
+def test_long_texts_in_one_table(spark):
+    """Two megabytes: several slices and buckets, on a real exchange."""
+    rng = np.random.default_rng(4)
+    words = np.array(["".join(w) for w in rng.choice(list("abcdefghijklmnopqrstuvwxyz"), (3000, 6))])
 
     def text(n):
-        return bytes(rng.integers(97, 123, n, dtype=np.uint8)).decode()
+        return " ".join(words[rng.integers(0, 3000, n)])
+
+    long = text(250_000)
+    docs = [(1, text(50)), (2, long), (3, text(400) + long[900_000:1_100_000] + " " * 5000), (4, long[:300] + text(20) + " " * 7000)]
+    got = {r["doc_id"]: (r["n_bytes"], r["n_removed"], r["n_spans"], r["kept_sha256"]) for r in suffixdedup.dedup_digests(spark.createDataFrame(docs, "doc_id bigint, text string")).collect()}
+    assert got == brute_dedup(docs)
+
+
+def dedup_by_kernels(docs, parts):
+    """The steps of the operator over tables in memory, with one bucket."""
+    import pyarrow as pa
 
-    long = text(6000)
-    docs = [(1, text(80)), (2, text(120)), (3, long), (4, text(30)), (5, long[1100:2900] + text(60) + long[4000:5999]), (6, text(900)), (7, text(60) + long[3000:3100])]
     tables = [pa.table({"doc_id": [d for d, _ in docs[k::parts]], "text": [t for _, t in docs[k::parts]]}) for k in range(parts)]
-    assert all(len(buf) <= 1023 for t in tables for *_, buf, _, _ in suffixdedup.Part(t).runs())
     offered = [suffixdedup.offered_grams(t, 1) for t in tables]
     told = suffixdedup.repeated_grams([o[0][1] for o in offered])
     cells, sent = {k: [] for k in range(parts)}, []
@@ -86,15 +114,34 @@ def test_a_text_longer_than_the_index_behind_a_short_one(monkeypatch, parts):
                 cells[k].append(cell)
             else:
                 sent.append((k, cell))
-    for k, spans in suffixdedup.settle(sent).items():
-        cells[k].append(blobs.pack(*spans))
+    if sent:
+        for k, spans in suffixdedup.settle(sent).items():
+            cells[k].append(blobs.pack(*spans))
     got = {}
     for k, t in enumerate(tables):
         part, spans = suffixdedup.removed_spans(t, cells[k])
         for d, raw, (a, z) in zip(part.ids.tolist(), part.texts, spans):
             kept = suffixdedup.keep_bytes(raw, a, z)
             got[d] = (len(raw), len(raw) - len(kept), len(a), hashlib.sha256(kept).hexdigest())
-    assert got == brute_dedup(docs)
+    return got
+
+
+@pytest.mark.parametrize("parts", [1, 2])
+def test_a_text_longer_than_the_index_behind_a_short_one(monkeypatch, parts):
+    import pyarrow as pa
+
+    monkeypatch.setattr(suffixdedup, "SLICE", 200)
+    monkeypatch.setattr(suffixdedup, "INDEX", np.uint64((1 << 10) - 1))
+    rng = np.random.default_rng(0)
+
+    def text(n):
+        return bytes(rng.integers(97, 123, n, dtype=np.uint8)).decode()
+
+    long = text(6000)
+    docs = [(1, text(80)), (2, text(120)), (3, long), (4, text(30)), (5, long[1100:2900] + text(60) + long[4000:5999]), (6, text(900)), (7, text(60) + long[3000:3100])]
+    tables = [pa.table({"doc_id": [d for d, _ in docs[k::parts]], "text": [t for _, t in docs[k::parts]]}) for k in range(parts)]
+    assert all(len(run[5]) <= 1023 for t in tables for run in suffixdedup.Part(t).runs())
+    assert dedup_by_kernels(docs, parts) == brute_dedup(docs)
 
 
 def test_merge_spans():
