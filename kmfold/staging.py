@@ -18,7 +18,10 @@ from pathlib import Path
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+#: Only for a master that runs in one process.
 FALLBACK_ROOT = "/tmp/checkpoints/kmfold"
+#: More partitions of one exchange than this cost more than they spread.
+MOST_PARTITIONS = 1 << 17
 #: Estimates from here on mean that the plan does not know.
 UNKNOWN_BYTES = 1 << 58
 _made: dict[str, SparkSession] = {}
@@ -26,11 +29,15 @@ _shipped: set[str] = set()
 
 
 def scratch_root(spark: SparkSession) -> str:
-    """The shared folder for intermediate tables of this session."""
+    """The shared folder for intermediate tables of this session; a cluster has to name one."""
     named = spark.conf.get("spark.checkpoint.dir", None)
     if not named:
         found = spark.sparkContext._jsc.sc().getCheckpointDir()
-        named = found.get() if found.isDefined() else FALLBACK_ROOT
+        named = found.get() if found.isDefined() else None
+    if not named:
+        if not spark.sparkContext.master.startswith("local"):
+            raise ValueError("set spark.checkpoint.dir to a folder that all executors share")
+        named = FALLBACK_ROOT
     return named.rstrip("/")
 
 
@@ -90,8 +97,8 @@ def input_bytes(df: DataFrame) -> int:
     return int(sum(row))
 
 
-def pieces_for(df: DataFrame, bytes_each: int, least: int = 1, most: int = 65536) -> int:
-    """How many pieces of about ``bytes_each`` the input makes."""
+def pieces_for(df: DataFrame, bytes_each: int, least: int = 1, most: int = 1 << 30) -> int:
+    """How many pieces of about ``bytes_each`` the input makes (``most``: for partitions or plan literals, not for memory)."""
     size = input_bytes(df)
     return max(least, min(most, -(-size // bytes_each)))
 
