@@ -233,7 +233,11 @@ def decode_documents(encoded: DataFrame, path: str, pattern: str) -> DataFrame:
 
 
 def round_trip_digests(docs: DataFrame, path: str, pattern: str) -> DataFrame:
-    """Encode every text and decode the ids again in one pass; digests of both."""
+    """Encode every text and decode the ids again in one pass; digests of both.
+
+    A null or empty text has no ids and the digest of nothing. Repeated ids are separate
+    rows; other columns are ignored; an empty table gives an empty result.
+    """
     ship_package(docs.sparkSession)
 
     def run(batches):

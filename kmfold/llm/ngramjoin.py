@@ -27,7 +27,7 @@ from pyspark.sql import functions as F
 from kmfold.llm.blobs import byte_values, mix, pack, tidy, unpack
 from kmfold.llm.components import components
 from kmfold.numbering import number_within
-from kmfold.staging import pieces_for, ship_package, stage
+from kmfold.staging import MOST_PARTITIONS, pieces_for, ship_package, stage
 
 PART_BYTES, EXCHANGE_BYTES, BUCKET_BYTES, SLICE = 1 << 20, 4 << 20, 2 << 20, 1 << 20
 BLOCK, LEADERS = 512, 4
@@ -379,10 +379,10 @@ def told_sets(docs: DataFrame, n: int, num: int, den: int) -> tuple[DataFrame, D
     """
     ship_package(docs.sparkSession)
     known = docs.select("doc_id", "text")
-    parts, buckets = pieces_for(known, PART_BYTES), pieces_for(known, BUCKET_BYTES, most=1 << 24)
+    parts, buckets = pieces_for(known, PART_BYTES), pieces_for(known, BUCKET_BYTES)
     text1, text2 = text_hashes()
     dealt = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", text1.alias("text1"), text2.alias("text2"))
-    dealt = dealt.withColumn("part", F.pmod(F.xxhash64("doc_id"), F.lit(parts)).cast("int")).repartition(pieces_for(known, EXCHANGE_BYTES), "part")
+    dealt = dealt.withColumn("part", F.pmod(F.xxhash64("doc_id"), F.lit(parts)).cast("int")).repartition(pieces_for(known, EXCHANGE_BYTES, most=MOST_PARTITIONS), "part")
 
     def offer(table):
         sets = Sets(table, n)

@@ -31,7 +31,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from kmfold.llm.blobs import byte_values, gather, mix, pack, tidy, unpack
-from kmfold.staging import pieces_for, ship_package
+from kmfold.staging import MOST_PARTITIONS, pieces_for, ship_package
 
 LENGTH, GRAM = 50, 20
 ELECT = LENGTH - GRAM + 1
@@ -398,8 +398,8 @@ def with_spans(docs: DataFrame, finish, schema: str, columns: list[str]) -> Data
     ship_package(docs.sparkSession)
     known = docs.select("doc_id", "text")
     parts = pieces_for(known, PART_BYTES)
-    buckets = pieces_for(known, BUCKET_BYTES, most=1 << 24)
-    n = pieces_for(known, EXCHANGE_BYTES)
+    buckets = pieces_for(known, BUCKET_BYTES)
+    n = pieces_for(known, EXCHANGE_BYTES, most=MOST_PARTITIONS)
     dealt = docs.select(*columns).withColumn("part", F.pmod(F.xxhash64("doc_id"), F.lit(parts)).cast("int")).repartition(n, "part")
 
     def offer(table):

@@ -32,6 +32,7 @@ MAGIC = b"KMTK"
 #: Several shards share a partition, so that their sizes even out.
 SHARD_BYTES, SHARDS_A_PARTITION = 2 << 20, 3
 CHUNK_IDS = 1 << 18
+MOST_SHARDS = 1 << 16
 PAIRS_A_ROUND = 3500
 LEAST_COUNT = 8
 END_ID = 0
@@ -70,7 +71,7 @@ class JsonTokenizer:
         model, pre = spec["model"], spec.get("pre_tokenizer") or {}
         plain = (
             model.get("type", "BPE") == "BPE" and not model.get("dropout") and not model.get("continuing_subword_prefix")
-            and not model.get("end_of_word_suffix") and not model.get("byte_fallback") and not spec.get("normalizer")
+            and not model.get("end_of_word_suffix") and not model.get("byte_fallback") and not model.get("ignore_merges") and not spec.get("normalizer")
             and pre.get("type") == "ByteLevel" and not pre.get("add_prefix_space") and pre.get("use_regex", True)
         )
         if not plain:
@@ -258,7 +259,7 @@ def write_token_files(docs: DataFrame, path: str, out: str, vocabulary: int = 50
     """
     ship_package(docs.sparkSession)
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
-    shards = pieces_for(docs.select("doc_id", "text"), shard_bytes)
+    shards = pieces_for(docs.select("doc_id", "text"), shard_bytes, most=MOST_SHARDS)  # their bounds stand in the plan; memory is that of a chunk
     bounds = range_bounds(rows, "doc_id", shards)
     dealt = rows.withColumn("shard", F.coalesce(bucket_of(F.col("doc_id"), bounds), F.lit(0)) if bounds else F.lit(0))
     dealt = dealt.withColumn("shard", F.when(F.col("doc_id").isNull(), 0).otherwise(F.col("shard")))
@@ -319,7 +320,10 @@ def read_token_files(spark: SparkSession, out: str) -> DataFrame:
 
 
 def token_file_digests(docs: DataFrame, path: str) -> DataFrame:
-    """Write the files to the shared folder, read them back, and tell of each document."""
+    """Write the files to the shared folder, read them back, and tell of each document.
+
+    Nulls, empty texts, repeated ids and empty tables: as ``write_token_files`` says.
+    """
     spark = docs.sparkSession
     out = scratch_path(spark, "token_files")
     write_token_files(docs, path, out)

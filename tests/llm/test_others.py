@@ -158,11 +158,19 @@ def test_bloom_has_no_false_negatives(spark):
     keys = [f"k{i}/p" for i in range(500)]
     b = urlfilter.BlockedBloom(keys)
     df = spark.createDataFrame([(k,) for k in keys + [f"other{i}" for i in range(2000)]], "k string")
-    hits = df.filter(b.might_hold(F.col("k"))).select("k").collect()
+    hits = df.crossJoin(b.row(spark)).filter(b.might_hold(F.col("k"), F.col("_bloom"))).select("k").collect()
     got = {r["k"] for r in hits}
     assert set(keys) <= got and len(got) < 500 + 100
 
 
+def test_a_long_list_still_filters(spark):
+    """A hundred thousand keys: 24 bits each, few false hits."""
+    b = urlfilter.BlockedBloom([f"k{i}/p" for i in range(100_000)])
+    assert b.blocks * 256 >= 24 * 100_000
+    df = spark.range(20_000).select(F.concat(F.lit("other"), F.col("id")).alias("k"))
+    assert df.crossJoin(b.row(spark)).filter(b.might_hold(F.col("k"), F.col("_bloom"))).count() < 400
+
+
 def exact(x, ids, q, n):
     s = x @ x[q]
     s[q] = -np.inf
