@@ -23,7 +23,7 @@ from kmfold.staging import ship_package, stage
 
 FACTOR = 200
 SUMMARY = "level int, node bigint, id bigint, x array<double>, w bigint, ss_within double"
-COUNTERS = "n_in bigint, w_in bigint, n_out bigint, rebuilds bigint, dist_evals bigint, splits bigint, threshold double, e_proj double, e_merge double, svd_cpu_s double, insert_cpu_s double"
+COUNTERS = "n_in bigint, w_in bigint, n_out bigint, rebuilds bigint, dist_evals bigint, splits bigint, svds bigint, threshold double, e_proj double, e_merge double, svd_cpu_s double, insert_cpu_s double"
 #: A node's rows carry its counters; readers take them from the row of id 0.
 FULL = f"{SUMMARY}, {COUNTERS}"
 SINGLE_ROWS = 20_000_000
@@ -43,7 +43,7 @@ class Node:
     def __init__(self, m: int, level: int, node: int, seed: int, **options):
         self.m, self.level, self.node, self.seed, self.options = m, level, node, seed, options
         self.tree: SphereTree | None = None
-        self.e_proj = self.svd_s = self.insert_s = 0.0
+        self.svds, self.e_proj, self.svd_s, self.insert_s = 0, 0.0, 0.0, 0.0
 
     def take(self, x: np.ndarray, w: np.ndarray, l: int, kind: str, key: int, within: np.ndarray | None = None) -> None:  # noqa: E741
         """Project one piece and feed it with the inner costs that its points bring along."""
@@ -51,6 +51,7 @@ class Node:
             return
         t = time.process_time()
         y, moved = project_matrix(x, l, w, kind, [self.seed, self.level, self.node, key])
+        self.svds += kind != "none"  # asked for, even where l reaches the rank and nothing is computed
         u = time.process_time()
         if self.tree is None:
             self.tree = SphereTree(self.m, x.shape[1], [self.seed, self.level, self.node], **self.options)
@@ -64,7 +65,7 @@ class Node:
             return None
         mean, w, within = self.tree.rows()
         n, c = len(w), self.tree.counters
-        one = {"n_in": c["n_in"], "w_in": c["w_in"], "n_out": n, "rebuilds": c["rebuilds"], "dist_evals": c["dist_evals"], "splits": c["splits"]}
+        one = {"n_in": c["n_in"], "w_in": c["w_in"], "n_out": n, "rebuilds": c["rebuilds"], "dist_evals": c["dist_evals"], "splits": c["splits"], "svds": self.svds}
         reals = {"threshold": self.tree.limit, "e_proj": self.e_proj, "e_merge": self.tree.merged(), "svd_cpu_s": self.svd_s, "insert_cpu_s": self.insert_s}
         cols = {"level": pa.array(np.full(n, self.level), pa.int32()), "node": pa.array(np.full(n, self.node), pa.int64()), "id": pa.array(np.arange(n), pa.int64()), "x": to_column(mean), "w": pa.array(w, pa.int64()), "ss_within": pa.array(within)}
         cols |= {k: pa.array(np.full(n, v), pa.int64()) for k, v in one.items()} | {k: pa.array(np.full(n, v, float)) for k, v in reals.items()}

@@ -40,32 +40,19 @@ def svd_comparison_words(spark, sf_dir):
     return spark.createDataFrame(rows, "d int, l int, below_seven_percent boolean")
 
 
-@query("SELECT ps, l, count(*) AS weight, true AS below_one_center FROM embeddings CROSS JOIN (VALUES (100), (250)) a(ps) CROSS JOIN (VALUES (5), (8), (10), (64)) b(l) GROUP BY ps, l")
+@query("SELECT ps, l, count(*) AS weight, true AS below_one_center FROM embeddings CROSS JOIN (VALUES (50), (100), (250), (500)) a(ps) CROSS JOIN (VALUES (5), (8), (10), (64)) b(l) GROUP BY ps, l")
 def piecewise_sweep(spark, sf_dir):
     """Piece sizes and target dimensions k, 1.5k, 2k and d."""
     e = stage(points.emb64(spark, sf_dir).select("id", "x", "w"), "embeddings")
     base = experiments.one_center_cost(e)
-    return experiments.sweep_piecewise(e, 5, (100, 250)).select("ps", "l", "weight", (F.col("cost") <= base).alias("below_one_center"))
+    return experiments.sweep_piecewise(e, 5, (50, 100, 250, 500)).select("ps", "l", "weight", (F.col("cost") <= base).alias("below_one_center"))
 
 
-@query("SELECT ps, np, count(*) AS weight, true AS below_one_center FROM embeddings CROSS JOIN (VALUES (50), (100)) a(ps) CROSS JOIN (VALUES (2), (3), (5), (10)) b(np) GROUP BY ps, np")
+@query("SELECT ps, l, np, count(*) AS weight, true AS below_one_center FROM embeddings CROSS JOIN (VALUES (5), (10)) c(l) CROSS JOIN (VALUES (50), (100)) a(ps) CROSS JOIN (VALUES (2), (3), (5), (10)) b(np) GROUP BY ps, l, np")
 def tree_sweep(spark, sf_dir):
     e = stage(points.emb64(spark, sf_dir).select("id", "x", "w"), "embeddings")
     base = experiments.one_center_cost(e)
-    return experiments.sweep_tree(e, 5).select("ps", "np", "weight", (F.col("cost") <= base).alias("below_one_center"))
-
-
-@query("SELECT k, count(*) AS weight, true AS falls FROM lineitem CROSS JOIN (VALUES (5), (10), (50)) a(k) GROUP BY k")
-def descriptors_by_k(spark, sf_dir):
-    """Many rows of 32 coordinates: the cost falls as k grows, beyond the dimension too."""
-    pts = stage(points.line_points(spark, sf_dir, 32), "descriptors")
-    rows, last = [], float("inf")
-    n = pts.count()
-    for k in (5, 10, 50):
-        c, _ = experiments.solve(pts, "direct", k, 1, 500, 3, 0, 20, restarts=2)
-        rows.append((k, n, c < last))
-        last = c
-    return spark.createDataFrame(rows, "k int, weight bigint, falls boolean")
+    return experiments.sweep_tree(e, 5, dims=(5, 10)).select("ps", "l", "np", "weight", (F.col("cost") <= base).alias("below_one_center"))
 
 
 @query("SELECT true AS skipped, true AS same_cost")
@@ -79,11 +66,11 @@ def no_gain_beyond_dimension(spark, sf_dir):
     return spark.createDataFrame([(moved == 0.0, abs(a - b) < 1e-9)], "skipped boolean, same_cost boolean")
 
 
-@query("SELECT method, CASE WHEN method = 'cf_tree' THEN 1 ELSE 3 END AS runs, true AS near_kmeanspp FROM (VALUES ('direct'), ('piecewise'), ('tree'), ('cf_tree'), ('sampling_coreset'), ('kmeanspp')) a(method)")
+@query("SELECT method, CASE WHEN method = 'cf_tree' THEN 1 ELSE 5 END AS runs, true AS near_kmeanspp FROM (VALUES ('direct'), ('piecewise'), ('tree'), ('cf_tree'), ('sampling_coreset'), ('kmeanspp')) a(method)")
 def methods_on_words(spark, sf_dir):
-    """All methods on word counts, three seeds: median cost within a quarter of k-means++ on the full data."""
+    """All methods on word counts, five seeds: median cost within a quarter of k-means++ on the full data."""
     pts = stage(points.bag_of_words(points.table(spark, sf_dir, "documents"), "doc_id", 64), "words")
-    runs = stage(experiments.compare_methods(pts, 4, [m for m in experiments.METHODS if m != "uniform_sample"], ps=250, seeds=range(3), factor=20), "runs")
+    runs = stage(experiments.compare_methods(pts, 4, [m for m in experiments.METHODS if m != "uniform_sample"], ps=250, seeds=range(5), factor=20), "runs")
     ratio = measures.ratios(runs, "kmeanspp", ["k"])
     count = runs.groupBy("method").agg(F.count("*").cast("int").alias("runs"))
     return ratio.join(count, "method").select("method", "runs", (F.col("cost_ratio") <= 1.25).alias("near_kmeanspp"))

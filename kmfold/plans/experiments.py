@@ -128,6 +128,26 @@ def svd_table(spark: SparkSession, ys=(10, 20), ds=(100,), ls=(20, 25, 30), bloc
     return out
 
 
+def svd_blocks(spark: SparkSession, ys, ds, ls, blocks: int, x: int, seeds: int = 5, kind: str = "random") -> DataFrame:
+    """The same comparison for every block as a matrix of its own: one task a block, ranks in one go."""
+    ship_package(spark)
+    names = [c.split(" ")[0] for c in SVD.split(", ")]
+    types = {"y": pa.int32(), "d": pa.int32(), "l": pa.int32(), "seed": pa.int32()}
+
+    def run(table):
+        a = to_matrix(table.sort_by("id").column("x"))
+        rows = [{**t, "y": len(a), "d": a.shape[1]} for l in ls for t in linalg.svd_comparison(a, l, range(seeds), kind, reference_rank=ls[0])]  # noqa: E741
+        return pa.table({n: pa.array([r[n] for r in rows], types.get(n, pa.float64())) for n in names})
+
+    out = None
+    for d in ds:
+        for y in ys:
+            pts = generators.block_signal(spark, blocks, y, d, x=x).select("id", "x", "label")
+            one = pts.groupBy("label").applyInArrow(run, SVD)
+            out = one if out is None else out.unionByName(one)
+    return out
+
+
 def svd_statistics(table: DataFrame) -> DataFrame:
     """Minimum, maximum, average and median deviation, CPU seconds and the speed ratio by matrix and dimension."""
     p = F.col("percent")

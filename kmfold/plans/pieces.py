@@ -20,6 +20,17 @@ def by_hash(pts: DataFrame, pieces: int, key: str = "id") -> DataFrame:
     return pts.withColumn("piece", F.pmod(F.xxhash64(key), F.lit(pieces)))
 
 
+def in_split(pts: DataFrame, ps: int) -> DataFrame:
+    """``ps`` rows of a partition in the order they lie there form a piece; no row moves, the last piece is short.
+
+    A piece is named by its partition (high half) and its place in it.
+    """
+    row = F.monotonically_increasing_id()  # partition in the bits above 33, row below
+    named = pts.withColumn("_row", row)
+    part, at = F.shiftright("_row", 33), F.col("_row").bitwiseAND(F.lit((1 << 33) - 1))
+    return named.withColumn("piece", F.shiftleft(part, 33) + F.floor(at / F.lit(int(ps))).cast("bigint")).drop("_row")
+
+
 def by_time(pts: DataFrame, ts: str, width: str) -> DataFrame:
     """Pieces of a time width: neighbours in time tend to share a subspace."""
     start = F.window(F.col(ts).cast("timestamp"), width)["start"]
