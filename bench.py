@@ -59,6 +59,10 @@ def main() -> None:
             s = timed(f"{name}_line64_k{k}", lambda: stage(f(), "summary"))
             c = clustering.center_rows(clustering.kmeanspp_summary(s, k, 3))
             notes[f"cost_{name}_line64_k{k}"] = base[name, k] = cost.cost_value(line, c)
+    # the summary size that the published times stand for: 200 points a center
+    for name, f in {"direct": lambda: summaries.direct_summary(line, 50), "piecewise": lambda: summaries.piecewise_summary(line, 50, 10_000, 50), "tree": lambda: summaries.tree_summary(line, 50, 50, 10_000, 10, n_points=total)}.items():
+        s = timed(f"{name}_line64_k50_m10000", lambda: stage(f(), "summary"))
+        notes[f"cost_{name}_line64_k50_m10000"] = cost.cost_value(line, clustering.center_rows(clustering.kmeanspp_summary(s, 50, 1)))
     _, history = timed("kmeanspp_full_line64_k10", lambda: clustering.kmeanspp(line, 10, max_iter=5))
     notes["cost_kmeanspp_full_line64_k10"] = history[-1]
     for name, f in {"cf_tree": lambda: baselines.cf_tree(emb, 10, 400), "sampling_coreset": lambda: baselines.sampling_coreset_summary(emb, 10, 400), "tree": lambda: summaries.tree_summary(emb, 10, 15, 400, 3, n_points=emb.count())}.items():
@@ -68,9 +72,10 @@ def main() -> None:
     timed("spectrum_line64", lambda: linalg.spectrum(line).collect())
     table = timed("svd_10000x500", lambda: experiments.svd_statistics(experiments.svd_table(spark, (100,), (500,), (100,), 100, 100, 2)).collect())
     notes["svd_exact_cpu_s"], notes["svd_random_cpu_s"], notes["svd_percent_max"] = table[0]["exact_cpu_s"], table[0]["random_cpu_s"], table[0]["percent_max"]
-    blocks = stage(generators.block_signal(spark, 100, 100, 500), "blocks")
-    timed("direct_blocks_10000x500_k10", lambda: stage(summaries.direct_summary(blocks, 10, factor=40), "summary"))
-    timed("tree_blocks_10000x500_k10", lambda: stage(summaries.tree_summary(blocks, 10, 15, 400, 5, n_points=10000), "summary"))
+    blocks = stage(generators.block_signal(spark, 100, 200, 500).select("id", "x", "w").repartition(2 * n), "blocks")
+    for name, f in {"direct": lambda: summaries.direct_summary(blocks, 10), "piecewise": lambda: summaries.piecewise_summary(blocks, 10, 2000, 15), "tree": lambda: summaries.tree_summary(blocks, 10, 15, 2000, 5, n_points=20_000)}.items():
+        s = timed(f"{name}_blocks_20000x500_k10", lambda: stage(f(), "summary"))
+        notes[f"cost_{name}_blocks_20000x500_k10"] = cost.cost_value(blocks, clustering.center_rows(clustering.kmeanspp_summary(s, 10, 1)))
     timed("flagship", lambda: flagship(spark, SF_DIR).collect())
     for name in ("dense_index_counts", "join_sort_merge", "aggregate_hash", "join_asof", "window_ranking", "doc_term_counts"):
         timed(name, lambda: QUERIES[name](spark, SF_DIR).write.format("noop").mode("overwrite").save())
