@@ -501,11 +501,46 @@ def stream_stream_join(spark, sf_dir):
 
 @query("SELECT count(*) AS kept, 0 AS late FROM events")
 def stream_in_order_keeps_all(spark, sf_dir):
-    """Three files in time order: nothing is behind the watermark."""
-    path = windows.split_files(t(spark, sf_dir, "events"), 3, "ts")
-    out = windows.run_to_table(windows.tumbling(windows.file_stream(spark, path, windows.EVENTS)), "complete")
-    last = out.agg(F.max("_batch").alias("_batch"))
-    return out.join(last, "_batch").agg(F.sum("n").alias("kept")).select("kept", F.lit(0).alias("late"))
+    """Three files in time order: nothing is behind the watermark (rows that no window counted are the late ones)."""
+    e = t(spark, sf_dir, "events")
+    path = windows.split_files(e, 3, "ts")
+    out = windows.run_to_table(windows.tumbling(windows.file_stream(spark, path, windows.EVENTS)), "update")
+    return _kept_and_late(out, e)
+
+
+@query("SELECT count(*) FILTER (ts >= top - INTERVAL 5 DAY) AS kept, CAST(count(*) FILTER (ts < top - INTERVAL 5 DAY) AS INTEGER) AS late FROM events CROSS JOIN (SELECT max(ts) AS top FROM events)")
+def stream_late_rows(spark, sf_dir):
+    """The last five days come first, in two micro-batches: every earlier row is behind the watermark by then and is left out."""
+    e = t(spark, sf_dir, "events")
+    cut = e.agg((F.max("ts") - F.expr("INTERVAL 5 DAYS")).alias("cut"))
+    sided = e.crossJoin(F.broadcast(cut)).withColumn("old", F.col("ts") < F.col("cut")).drop("cut")
+    path = windows.files_in_turn([sided.filter(c).drop("old") for c in ("not old and event_id % 2 = 0", "not old and event_id % 2 <> 0", "old")])
+    out = windows.run_to_table(windows.tumbling(windows.file_stream(spark, path, windows.EVENTS)), "update")
+    return _kept_and_late(out, e)
+
+
+def _kept_and_late(out, events):
+    """Rows that the last state of each window counts, and all others of the input."""
+    last = out.groupBy("w", "event_type").agg(F.max_by("n", "_batch").alias("n")).agg(F.coalesce(F.sum("n"), F.lit(0)).alias("kept"))
+    return last.crossJoin(events.agg(F.count("*").alias("n"))).select("kept", (F.col("n") - F.col("kept")).cast("int").alias("late"))
+
+
+@query("SELECT 300 AS w, 20 AS most, CAST(44850 AS BIGINT) AS ids")
+def stream_rate_points(spark, sf_dir):
+    """One micro-batch of 300 points from a rate stream through the summary log."""
+    pts = windows.rate_points(spark, 300, 8)
+    out, check = scratch_path(spark, "rate_log"), scratch_path(spark, "rate_checkpoint")
+    seen = scratch_path(spark, "rate_rows")
+    write = log.summary_writer(out, 2, 50, None, 20)
+
+    def both(df, batch_id):
+        write(df, batch_id)
+        df.select("id").write.mode("overwrite").parquet(f"{seen}/batch={batch_id}")
+
+    pts.writeStream.foreachBatch(both).option("checkpointLocation", check).trigger(once=True).start().awaitTermination()
+    ids = spark.read.schema("id bigint").option("recursiveFileLookup", "true").parquet(seen).agg(F.sum("id").alias("ids"))
+    s = log.compact(spark, out, 20).agg(F.sum("w").alias("w"), F.when(F.count("*") <= 20, 20).otherwise(F.count("*")).alias("most"))
+    return s.crossJoin(ids)
 
 
 @query("SELECT count(*) AS w, true AS small FROM events")

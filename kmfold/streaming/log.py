@@ -1,9 +1,8 @@
-"""One pass over a stream: a log of summaries that grows like the computation tree.
+"""One pass over a stream: a log of summaries, one a micro-batch.
 
 Each micro-batch is summarized by the leaf kernel and written below its batch id, so
-a replayed batch overwrites itself. ``compact`` merges ``fan`` summaries of a level
-into one of the next and notes the merge in the child's row of the ledger; a crash
-between the two leaves both readable states intact, since readers take the ledger.
+a replayed batch overwrites itself. ``compact`` reads all leaves and reduces them along
+a tree; it writes nothing, so the log stays the only state.
 """
 
 from __future__ import annotations

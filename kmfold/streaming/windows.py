@@ -19,6 +19,23 @@ def file_stream(spark: SparkSession, path: str, schema: str, files: int = 1) ->
     return spark.readStream.schema(schema).option("maxFilesPerTrigger", files).parquet(path)
 
 
+def rate_points(spark: SparkSession, rows: int, d: int, seed: int = 3) -> DataFrame:
+    """Points ``id, x, w`` from a rate stream, ``rows`` a micro-batch; coordinates by hash of their place."""
+    from kmfold.functions.hashing import uniform
+
+    rate = spark.readStream.format("rate-micro-batch").option("rowsPerBatch", rows).option("numPartitions", 2).load()
+    x = F.transform(F.sequence(F.lit(0), F.lit(d - 1)), lambda j: uniform(F.col("value") * d + j, seed))
+    return rate.select(F.col("value").alias("id"), x.alias("x"), F.lit(1).cast("bigint").alias("w"))
+
+
+def files_in_turn(frames: list[DataFrame]) -> str:
+    """Write each table as one file, one after the other: micro-batches in any order of time."""
+    path = scratch_path(frames[0].sparkSession, "stream_input")
+    for df in frames:
+        df.coalesce(1).write.mode("append").parquet(path)
+    return path
+
+
 def split_files(df: DataFrame, files: int, order: str) -> str:
     """Write a bounded table as files in the order of a column: a stream of several micro-batches."""
     path = scratch_path(df.sparkSession, "stream_input")
