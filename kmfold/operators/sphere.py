@@ -582,8 +582,11 @@ def sampling_coreset(x: np.ndarray, w: np.ndarray, m: int, seed) -> tuple[np.nda
             costs[v] = new_cost
             v = parent[v]
             new_cost = costs[left[v]] + costs[right[v]] if v >= 0 else 0.0
-    ends = [v for v in range(len(costs)) if left[v] < 0]
-    chosen = np.array([heads[v] for v in ends])
-    weight = np.array([w[members[v]].sum() for v in ends]).astype(np.int64)
+    chosen = x[[heads[v] for v in range(len(costs)) if left[v] < 0]]
+    # the leaves only decide what is drawn: weights go to the nearest representative of all
+    sq, weight = (chosen * chosen).sum(1), np.zeros(len(chosen))
+    for a in range(0, n, 4096):
+        near = (sq - 2.0 * (x[a : a + 4096] @ chosen.T)).argmin(axis=1)
+        weight += np.bincount(near, w[a : a + 4096], len(chosen))
     keep = weight > 0
-    return x[chosen][keep], weight[keep]
+    return chosen[keep], np.rint(weight[keep]).astype(np.int64)
