@@ -23,8 +23,8 @@ from kmfold.staging import ship_package, stage
 
 PIVOTS = 512
 ORDER = 64
-#: Lists, lists that a vector is posted in, and lists that a query visits: recall 0.94 on even random directions.
-LISTS, POSTED, VISITED = 128, 4, 24
+#: Lists, lists that a vector is posted in, and lists that a query visits: recall above 0.94 on even random directions.
+LISTS, POSTED, VISITED = 128, 4, 32
 LIST_ROWS, QUERY_ROWS = 8192, 4096
 CANDIDATE_SHARE = 0.3
 LEAST_CANDIDATES = 200
@@ -131,40 +131,54 @@ def search(embeddings: DataFrame, nearest: int = 20, every: int = 20, id_col: st
     held = spark.sparkContext.broadcast(chosen / np.linalg.norm(chosen, axis=1, keepdims=True))
     n_pivots, n_lists = len(chosen), min(lists, len(chosen))
     posted, visited = min(posted, n_lists), min(visited, n_lists)
-    cell = "kind string, list int, n int, keys binary, ids binary, x binary, orders binary, lists binary"
 
-    def post(batches):
+    def permute(batches):
         from pyspark import TaskContext
 
         row = TaskContext.get().partitionId() << 40
         for b in batches:
             ids = b.column(0).to_numpy()
             x = np.asarray(b.column(1).flatten()).reshape(len(ids), width)
+            directions, asks = lifted(x), ids % every == 0
+            flat = np.column_stack([x, np.zeros(len(ids))])
             keys = row + np.arange(len(ids))
             row += len(ids)
-            yield cells("index", keys, ids, x, lifted(x), posted)
-            q = ids % every == 0
-            if q.any():
-                yield cells("query", keys[q], ids[q], x[q], np.column_stack([x[q], np.zeros(int(q.sum()))]), visited)
-
-    def cells(kind, keys, ids, x, directions, many):
-        orders = pivot_orders(directions, held.value, order)
-        near = pivot_orders(directions, held.value[:n_lists], many)
-        owner, name = np.divmod(np.argsort(near.ravel(), kind="stable"), many)[0], np.sort(near.ravel(), kind="stable")
-        cuts = np.flatnonzero(np.append(True, name[1:] != name[:-1]))
-        parts = [owner[a:z] for a, z in zip(cuts, np.append(cuts[1:], len(owner)))]
-        columns = {"kind": [kind] * len(parts), "list": pa.array(name[cuts], pa.int32()), "n": pa.array([len(p) for p in parts], pa.int32())}
-        columns |= {c: pa.array([v[p].tobytes() for p in parts], pa.binary()) for c, v in (("keys", keys), ("ids", ids), ("x", x), ("orders", orders), ("lists", near))}
-        return pa.RecordBatch.from_pydict(columns)
-
-    packed = stage(rows.mapInArrow(post, cell), "postings")
-    # at most two rows a list: how many parts its vectors and its queries make
-    sizes = {(r["kind"], r["list"]): r["n"] for r in packed.groupBy("kind", "list").agg(F.sum("n").alias("n")).collect()}
+            rows = [keys, ids, x, pivot_orders(directions, held.value, order), pivot_orders(directions, held.value[:n_lists], posted)]
+            yield narrow(asks, *rows, pivot_orders(flat, held.value, order), pivot_orders(flat, held.value[:n_lists], visited))
+
+    def narrow(asks, keys, ids, x, orders, near, query_orders, visits):
+        def cells(v, there=None):
+            return pa.array([r.tobytes() if there is None or there[i] else None for i, r in enumerate(np.ascontiguousarray(v))], pa.binary())
+
+        def shorts(v, there=None):
+            return pa.array([r.tolist() if there is None or there[i] else None for i, r in enumerate(v)], pa.list_(pa.int16()))
+
+        return pa.RecordBatch.from_arrays([pa.array(keys), pa.array(ids), cells(x), cells(orders), shorts(near), cells(query_orders, asks), shorts(visits, asks)], ["key", "id", "x", "orders", "posted", "query_orders", "visited"])
+
+    # one narrow row a vector; what follows is packed by list, batch by batch
+    told = stage(rows.mapInArrow(permute, "key long, id long, x binary, orders binary, posted array<short>, query_orders binary, visited array<short>"), "permutations")
+    sides = {"index": told.select("key", "id", "x", "orders", F.col("posted").alias("lists")), "query": told.filter("visited is not null").select("key", "id", "x", F.col("query_orders").alias("orders"), F.col("visited").alias("lists"))}
+    # at most two numbers a list: how many parts its vectors and its queries make
+    sizes = {(kind, r["list"]): r["count"] for kind, side in sides.items() for r in side.select(F.explode("lists").alias("list")).groupBy("list").count().collect()}
     parts = {kind: F.element_at(F.array(*[F.lit(max(1, -(-sizes.get((kind, i), 0) // most))) for i in range(n_lists)]), F.col("list") + 1) for kind, most in (("index", LIST_ROWS), ("query", QUERY_ROWS))}
 
+    def pack(batches):
+        for b in batches:
+            if not b.num_rows:
+                continue
+            columns = [np.frombuffer(b"".join(b.column(i).to_pylist()), np.uint8).reshape(b.num_rows, -1) for i in (2, 3)]
+            near = np.asarray(b.column(4).flatten(), np.int16).reshape(b.num_rows, -1)
+            by_list = np.argsort(near.ravel(), kind="stable")
+            owner, name = by_list // near.shape[1], near.ravel()[by_list]
+            cuts = np.flatnonzero(np.append(True, name[1:] != name[:-1]))
+            held_rows = [owner[a:z] for a, z in zip(cuts, np.append(cuts[1:], len(owner)))]
+            arrays = {"keys": b.column(0).to_numpy(), "ids": b.column(1).to_numpy(), "x": columns[0], "orders": columns[1], "lists": near}
+            yield pa.RecordBatch.from_pydict({"list": pa.array(name[cuts], pa.int32())} | {c: pa.array([v[p].tobytes() for p in held_rows], pa.binary()) for c, v in arrays.items()})
+
     def dealt(kind, own, other, other_kind):
+        cells = sides[kind].mapInArrow(pack, "list int, keys binary, ids binary, x binary, orders binary, lists binary")
         mine = F.pmod(F.xxhash64("keys", "ids"), parts[kind]).cast("int")
-        return packed.filter(F.col("kind") == kind).withColumn(own, mine).withColumn(other, F.explode(F.sequence(F.lit(0), parts[other_kind] - 1)))
+        return cells.withColumn(own, mine).withColumn(other, F.explode(F.sequence(F.lit(0), parts[other_kind] - 1)))
 
     index, asked = dealt("index", "_i", "_q", "query"), dealt("query", "_q", "_i", "index")
 
