@@ -72,10 +72,10 @@ def main() -> None:
     timed("spectrum_line64", lambda: linalg.spectrum(line).collect())
     table = timed("svd_10000x500", lambda: experiments.svd_statistics(experiments.svd_table(spark, (100,), (500,), (100,), 100, 100, 2)).collect())
     notes["svd_exact_cpu_s"], notes["svd_random_cpu_s"], notes["svd_percent_max"] = table[0]["exact_cpu_s"], table[0]["random_cpu_s"], table[0]["percent_max"]
-    blocks = stage(generators.block_signal(spark, 100, 200, 500).select("id", "x", "w").repartition(2 * n), "blocks")
-    for name, f in {"direct": lambda: summaries.direct_summary(blocks, 10), "piecewise": lambda: summaries.piecewise_summary(blocks, 10, 2000, 15), "tree": lambda: summaries.tree_summary(blocks, 10, 15, 2000, 5, n_points=20_000)}.items():
-        s = timed(f"{name}_blocks_20000x500_k10", lambda: stage(f(), "summary"))
-        notes[f"cost_{name}_blocks_20000x500_k10"] = cost.cost_value(blocks, clustering.center_rows(clustering.kmeanspp_summary(s, 10, 1)))
+    blocks = stage(generators.block_signal(spark, 100, 100, 500), "blocks")
+    for name, f in {"direct": lambda: summaries.direct_summary(blocks, 10, factor=40), "tree": lambda: summaries.tree_summary(blocks, 10, 15, 400, 5, n_points=10000)}.items():
+        s = timed(f"{name}_blocks_10000x500_k10", lambda: stage(f(), "summary"))
+        notes[f"cost_{name}_blocks_10000x500_k10"] = cost.cost_value(blocks, clustering.center_rows(clustering.kmeanspp_summary(s, 10, 1)))
     timed("flagship", lambda: flagship(spark, SF_DIR).collect())
     for name in ("dense_index_counts", "join_sort_merge", "aggregate_hash", "join_asof", "window_ranking", "doc_term_counts"):
         timed(name, lambda: QUERIES[name](spark, SF_DIR).write.format("noop").mode("overwrite").save())
