@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from kmfold.staging import scratch_path
+from kmfold.staging import scratch_path, stage
 
 EVENTS = "event_id bigint, ts timestamp_ntz, user_id bigint, event_type string, value double, props string"
 
@@ -37,10 +37,12 @@ def files_in_turn(frames: list[DataFrame]) -> str:
 
 
 def split_files(df: DataFrame, files: int, order: str) -> str:
-    """Write a bounded table as files in the order of a column: a stream of several micro-batches."""
-    path = scratch_path(df.sparkSession, "stream_input")
-    df.repartitionByRange(files, order).sortWithinPartitions(order).write.parquet(path)
-    return path
+    """Write a bounded table as files in the order of a column: a stream of several micro-batches.
+
+    A stream takes files by the time they were written, so a later range is written after an earlier one.
+    """
+    dealt = stage(df.repartitionByRange(files, order).withColumn("_file", F.spark_partition_id()), "dealt", ["_file"])
+    return files_in_turn([dealt.filter(F.col("_file") == i).drop("_file").coalesce(1).sortWithinPartitions(order) for i in range(files)])
 
 
 def run_to_table(out: DataFrame, mode: str, name: str = "stream_output") -> DataFrame:

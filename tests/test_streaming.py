@@ -1,5 +1,8 @@
 """Replays, restarts and late data."""
 
+import glob
+import os
+
 from pyspark.sql import functions as F
 
 from kmfold.sources import points
@@ -33,3 +36,12 @@ def test_late_rows_are_dropped_and_counted(spark, sf):
     q.stop()
     assert dropped > 0
     assert spark.table("late_windows").agg(F.sum("n")).first()[0] == new.count()
+
+
+def test_files_are_written_in_their_order(spark):
+    """The first range takes longest to write, and is still the first that a stream reads."""
+    text = F.when(F.col("id") < 20_000, F.array_join(F.transform(F.sequence(F.lit(1), F.lit(60)), lambda i: F.sha2(F.concat_ws("-", i, "id"), 512)), "")).otherwise("")
+    path = windows.split_files(spark.range(60_000).withColumn("text", text), 3, "id")
+    files = sorted(glob.glob(f"{path}/*.parquet"), key=os.path.getmtime)
+    lows = [spark.read.parquet(f).agg(F.min("id")).first()[0] for f in files]
+    assert len(lows) == 3 and lows == sorted(lows)
