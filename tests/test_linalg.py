@@ -79,3 +79,30 @@ def test_spectra_tell_the_families_apart(spark):
     for name, pts in {"cube": generators.uniform_cube(spark, 400, 40), "simplex": generators.nested_simplex(spark, 5, 50), "blocks": generators.block_signal(spark, 2, 100, 40, x=8)}.items():
         share[name] = linalg.spectrum(pts, 10).orderBy("rank").collect()[-1]["energy_cum"]
     assert share["simplex"] > share["blocks"] > share["cube"]
+
+
+def test_triangle_stands_for_the_whole_table(spark):
+    a = np.random.default_rng(4).standard_normal((700, 12)) * np.arange(1, 13)
+    pts = spark.createDataFrame([(i, [float(v) for v in x], 1) for i, x in enumerate(a)], "id bigint, x array<double>, w bigint").repartition(5)
+    r = linalg.triangle(pts)
+    assert r.shape == (12, 12)
+    for want, got in zip(linalg.svd_comparison(a, 2, range(3)), linalg.svd_comparison(r, 2, range(3))):
+        for key in ("exact_residual", "random_residual", "percent"):
+            assert abs(want[key] - got[key]) <= 1e-9 * max(1.0, abs(want[key]))
+
+
+def test_words_are_not_collected(spark, sf, monkeypatch):
+    from kmfold.plans import catalog
+
+    def refuse(*_):
+        raise AssertionError("all rows on the driver")
+
+    seen, compare = {}, linalg.svd_comparison
+    whole = {d: points.matrix(points.bag_of_words(points.table(spark, sf, "documents"), "doc_id", d)) for d in (128, 256)}
+    monkeypatch.setattr(points, "matrix", refuse)
+    monkeypatch.setattr(linalg, "svd_comparison", lambda a, l, s: seen.setdefault((a.shape[1], l), compare(a, l, s)))
+    assert all(r["below_seven_percent"] for r in catalog.QUERIES["svd_comparison_words"](spark, sf).collect())
+    for (d, l), told in seen.items():
+        for want, got in zip(compare(whole[d], l, range(3)), told):
+            assert abs(want["random_residual"] - got["random_residual"]) <= 1e-6 * want["random_residual"]
+    assert len(seen) == 6
