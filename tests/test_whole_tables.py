@@ -1,11 +1,18 @@
 """Queries look at every row of a table larger than the smallest ones."""
 
+import glob
+import os
+
+import duckdb
 import pytest
 
 from kmfold.plans import catalog
 from kmfold.sources import points
+from test_catalog import normal
 
 LARGE = "/root/testdata/sf0.1"
+SMALL = "/root/testdata/sf0.001"
+FROM_TABLES = ["block_signal_onecenter"]
 
 
 @pytest.mark.parametrize("name", ["svd_random_vs_exact", "weighted_subspace", "naive_against_exact"])
@@ -38,3 +45,16 @@ def test_trees_are_reduced_to_one_root(spark, monkeypatch):
     monkeypatch.setattr(summaries, "plan_levels", lambda n, params: planned.append(n) or plan(n, params))
     catalog.QUERIES["repeated_runs"](spark, LARGE).collect()
     assert set(planned) == {2000}
+
+
+@pytest.mark.parametrize("name", FROM_TABLES)
+def test_result_is_that_of_the_given_table(spark, name):
+    """Another table, another result, and the one of the SQL."""
+    got = {sf: catalog.QUERIES[name](spark, sf) for sf in (SMALL, LARGE)}
+    rows = {sf: normal([tuple(r) for r in df.collect()], df.columns) for sf, df in got.items()}
+    assert rows[SMALL] != rows[LARGE]
+    con = duckdb.connect()
+    for f in glob.glob(f"{LARGE}/*.parquet"):
+        con.execute(f"CREATE VIEW {os.path.basename(f)[:-8]} AS SELECT * FROM read_parquet('{f}')")
+    cur = con.execute(catalog.ORACLE_SQL[name])
+    assert rows[LARGE] == normal(cur.fetchall(), [c[0] for c in cur.description])
