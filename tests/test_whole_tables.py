@@ -12,7 +12,7 @@ from test_catalog import normal
 
 LARGE = "/root/testdata/sf0.1"
 SMALL = "/root/testdata/sf0.001"
-FROM_TABLES = ["block_signal_onecenter", "cost_cube"]
+FROM_TABLES = ["block_signal_onecenter", "cost_cube", "generator_data_source"]
 
 
 @pytest.mark.parametrize("name", ["svd_random_vs_exact", "weighted_subspace", "naive_against_exact"])
