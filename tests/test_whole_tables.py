@@ -12,7 +12,7 @@ from test_catalog import normal
 
 LARGE = "/root/testdata/sf0.1"
 SMALL = "/root/testdata/sf0.001"
-FROM_TABLES = ["block_signal_onecenter", "cost_cube", "generator_data_source", "memory_guard", "method_advice", "one_center_expectations"]
+FROM_TABLES = ["block_signal_onecenter", "cost_cube", "generator_data_source", "memory_guard", "method_advice", "one_center_expectations", "nested_simplex_optimum"]
 
 
 @pytest.mark.parametrize("name", ["svd_random_vs_exact", "weighted_subspace", "naive_against_exact"])
