@@ -5,7 +5,9 @@ import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
-from kmfold.operators.sphere import FeatureTree, SphereTree, copies_that_fit, sampling_coreset
+from kmfold.functions.arrays import block_distances
+from kmfold.operators.clustering import kmeanspp_array
+from kmfold.operators.sphere import FeatureTree, SphereTree, copies_that_fit, sampled_cells, sampling_coreset
 
 
 def cloud(n, d, seed=0):
@@ -106,3 +108,23 @@ def test_baseline_kernels_keep_the_weight():
     assert t.rows()[1].sum() == 800 and len(t.rows()[1]) <= 60
     y, w = sampling_coreset(x, np.ones(800), 40, 1)
     assert w.sum() == 800 and len(w) <= 40
+
+
+def test_sampled_cells_keep_weight_vector_sum_and_energy():
+    rng = np.random.default_rng(4)
+    x, w, within = cloud(5000, 3), rng.integers(1, 9, 5000).astype(float), rng.random(5000)
+    y, c, inner = sampled_cells(x, w, 40, 1, within)
+    assert len(c) <= 40 and c.sum() == w.sum()
+    assert np.allclose(c @ y, w @ x)
+    energy = lambda a, b, e: float((b * (a * a).sum(1)).sum() + e.sum())
+    assert np.isclose(energy(y, c, inner), energy(x, w, within))
+
+
+def test_sampled_cells_cost_no_more_than_one_center_on_flat_data():
+    """Hardly clusterable points of 400 dimensions: centers made of drawn points cost more than the mean of all."""
+    x, worse = np.random.default_rng(5).uniform(-1, 1, (600, 400)), 0
+    one = float(((x - x.mean(0)) ** 2).sum())
+    for seed in range(5):
+        y, c, _ = sampled_cells(x, np.ones(600), 60, seed)
+        worse += float(block_distances(x, kmeanspp_array(y, c.astype(float), 5, seed, 3)[0]).min(1).sum()) > one
+    assert worse == 0
