@@ -128,3 +128,17 @@ def test_sampled_cells_cost_no_more_than_one_center_on_flat_data():
         y, c, _ = sampled_cells(x, np.ones(600), 60, seed)
         worse += float(block_distances(x, kmeanspp_array(y, c.astype(float), 5, seed, 3)[0]).min(1).sum()) > one
     assert worse == 0
+
+
+@pytest.mark.parametrize("m", [100, 190, 300])
+def test_first_threshold_is_none_that_cannot_fit(m):
+    """A feature goes only where another reference is within the top radius: as many gaps as must go lie within it."""
+    x = cloud(400, 12)
+    t = SphereTree(m, 12, block=400)
+    limits, first = [], t._first_limit
+    t._first_limit = lambda: limits.append(first()) or limits[-1]
+    t.offer(x)
+    d2 = ((x[:, None] - x[None]) ** 2).sum(2)
+    np.fill_diagonal(d2, np.inf)
+    assert (d2.min(1) <= limits[0] / 8 * (1 + 1e-9)).sum() >= 400 - (m - m // 16)
+    assert len(limits) == 1 and t.rows()[1].sum() == 400 and t.n <= m

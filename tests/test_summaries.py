@@ -256,3 +256,15 @@ def test_the_feature_tree_is_balanced():
     assert depths == {t.height} and t.height > 2
     mean, w, within = t.rows()
     assert w.sum() == 3000 and np.isclose((w * (mean**2).sum(1)).sum() + within.sum(), (x**2).sum())
+
+
+def test_one_scan_costs_several_summaries(spark, sf, monkeypatch):
+    from kmfold.plans.comparison_queries import cost_of, costs_of
+    from kmfold.staging import stage
+
+    e = stage(points.emb64(spark, sf).select("id", "x", "w"), "embeddings")
+    made = [(k, stage(summaries.direct_summary(e, k, factor=10), "summary")) for k in (3, 5)]
+    each = [cost_of(e, s, k, range(1)) for k, s in made]
+    scans, once = [], cost.panel_costs
+    monkeypatch.setattr(cost, "panel_costs", lambda *a: scans.append(1) or once(*a))
+    assert costs_of(e, made) == pytest.approx(each, rel=1e-12) and len(scans) == 1
