@@ -142,3 +142,57 @@ def test_first_threshold_is_none_that_cannot_fit(m):
     np.fill_diagonal(d2, np.inf)
     assert (d2.min(1) <= limits[0] / 8 * (1 + 1e-9)).sum() >= 400 - (m - m // 16)
     assert len(limits) == 1 and t.rows()[1].sum() == 400 and t.n <= m
+
+
+def test_a_block_is_compared_with_many_references_by_parts():
+    """The product of a block and all top references is never held at once, nor copies of the block's own distances."""
+    import tracemalloc
+
+    t = SphereTree(4000, 32)
+    t.offer(cloud(4000, 32))
+    x = cloud(1024, 32, seed=1)
+    tracemalloc.start()
+    t._absorb(x, x, np.ones(1024, np.int64), np.zeros(1024), np.zeros(1024), split=True)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    assert peak < 1024 * 4000 * 8 and t.rows()[1].sum() == 5024
+
+
+def test_full_features_take_no_part_in_the_sums(monkeypatch):
+    """Points pass a feature that the nearest of them does not fit without any sum; those that fit elsewhere are joined."""
+    t = SphereTree(8, 2)
+    t.limit = 1.0
+    t.open(np.zeros(2), np.zeros(2), 10, 1.0, -1)
+    t.open(np.array([9.0, 0.0]), np.array([9.0, 0.0]), 10, 0.0, -1)
+    x = np.array([[0.1, 0.0], [9.1, 0.0], [0.0, 0.2], [9.0, 0.1]])
+    seen, join = [], SphereTree._join_nearest
+    monkeypatch.setattr(SphereTree, "_join_nearest", lambda self, todo, *a: seen.append(todo.tolist()) or join(self, todo, *a))
+    t.offer(x)
+    assert sorted(seen[0]) == [1, 3] and t.w[:2].tolist() == [10, 12] and t.rows()[1].sum() == 24
+
+
+def test_nearest_child_is_that_of_a_search_through_all():
+    """Runs of points below nodes of no, one, few and many children."""
+    t = SphereTree(400, 3)
+    t.limit = 8.0
+    for node, kids in ((0, 0), (1, 1), (2, 3), (3, 90)):
+        t.open(np.full(3, float(node)), np.full(3, float(node)), 1, 0.0, -1)
+    for node, kids in ((1, 1), (2, 3), (3, 90)):
+        for p in cloud(kids, 3, seed=node):
+            t.open(p, p, 1, 0.0, node)
+    node = np.repeat([0, 1, 2, 3], [4, 5, 6, 40])
+    x = cloud(55, 3, seed=7)
+    best, d2 = t._nearest(x, node, 1)
+    for i in range(55):
+        at = t._children(int(node[i]))
+        far = ((t.ref[at] - x[i]) ** 2).sum(1)
+        assert best[i] == (at[far.argmin()] if len(at) else -1) and (d2[i] == np.inf if not len(at) else np.isclose(d2[i], far.min()))
+
+
+@pytest.mark.parametrize("r2", [0.0, 0.05, 0.5, 40.0])
+def test_leaders_are_the_same_from_a_list_of_pairs(r2):
+    x = np.concatenate([cloud(150, 2), cloud(10, 2)])
+    near = ((x[:, None] - x[None]) ** 2).sum(2) <= r2
+    listed = SphereTree._lead_listed(x, near, r2)
+    assert (listed == SphereTree._lead(x, near, r2)).all()
+    assert (((x - x[listed]) ** 2).sum(1) <= r2).all() and not near[listed[:, None], listed[None]][listed[:, None] != listed[None]].any()
